@@ -16,6 +16,25 @@ def tokenizer_file(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+# op3: rules (host, path), as the contract states them, and the listed sites of this deployment
+URL_RULES = [("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block")]
+LISTED_URLS = [("casino-win.example.com", "/", "block"), ("spam-farm.example.com", "/", "block"), ("casino-win.example.net", "/", "block"), ("casino-win.example.org", "/", "block"), ("spam-farm.example.net", "/", "block"), ("spam-farm.example.org", "/", "block")]
+
+
+def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from frsketch.llm.simhash import hex_digits, near_duplicates
+
+    out = near_duplicates(table(spark, sf_dir, "documents"), most=4, width=4)
+    return out.select("doc_id", hex_digits(F.col("fp")).alias("fingerprint"), "component_id")
+
+
+def op3_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from frsketch.llm.url_filter import judge_urls, url_list
+
+    out = judge_urls(table(spark, sf_dir, "pages"), url_list(spark, URL_RULES), url_list(spark, LISTED_URLS))
+    return out.select("page_id", "host", "path", "rule", "verdict")
+
+
 def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from frsketch.llm.token_counts import count_tokens
 
@@ -29,8 +48,29 @@ def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_simhash": op1_simhash,
+    "op3_url_rules": op3_url_rules,
     "op4_token_counts": op4_token_counts,
     "op5_byte_bpe": op5_byte_bpe,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+def _values(rows: list[tuple[str, str, str]]) -> str:
+    return ", ".join(f"('{h}', '{p}', '{a}')" for h, p, a in rows)
+
+
+ORACLE_SQL: dict[str, str] = {
+    "op3_url_rules": f"""
+WITH entry(eh, ep, act, kind) AS (
+  SELECT *, 1 FROM (VALUES {_values(URL_RULES)}) UNION ALL SELECT *, 0 FROM (VALUES {_values(LISTED_URLS)})
+), cut AS (
+  SELECT page_id, CASE WHEN coalesce(position('://' IN url), 0) = 0 THEN '' ELSE substr(url, position('://' IN url) + 3) END AS rest FROM pages
+), part AS (
+  SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+         regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM cut
+), fit AS (
+  SELECT page_id, host, path, arg_max(struct_pack(k := kind, e := eh || ep, a := act), kind * 100000 + length(eh || ep)) AS best
+  FROM part LEFT JOIN entry ON (host = eh OR ends_with(host, '.' || eh)) AND starts_with(path, ep)
+  GROUP BY ALL
+)
+SELECT page_id, host, path, CASE WHEN best.k = 1 THEN best.e END AS rule, coalesce(best.a, 'allow') AS verdict FROM fit""",
+}
