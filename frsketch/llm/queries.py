@@ -47,11 +47,25 @@ def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_frame(table(spark, sf_dir, "documents"), tokenizer_file("byte_bpe_50k.tiktoken"), with_ids=False)
 
 
+def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from frsketch.llm.quality import quality_frame
+
+    return quality_frame(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).drop("score")
+
+
+def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from frsketch.llm.toxicity import toxicity_frame
+
+    return toxicity_frame(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).drop("ratio")
+
+
 QUERIES = {
     "op1_simhash": op1_simhash,
     "op3_url_rules": op3_url_rules,
     "op4_token_counts": op4_token_counts,
     "op5_byte_bpe": op5_byte_bpe,
+    "op8_quality_rules": op8_quality_rules,
+    "op9_toxicity": op9_toxicity,
 }
 
 def _values(rows: list[tuple[str, str, str]]) -> str:
