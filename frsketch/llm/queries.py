@@ -47,6 +47,21 @@ def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_frame(table(spark, sf_dir, "documents"), tokenizer_file("byte_bpe_50k.tiktoken"), with_ids=False)
 
 
+def op7_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``documents`` has no file names: a document lies at source/lang/doc_id, and one that is mostly
+    licence text stands for its directory's licence file."""
+    from frsketch.llm.license_scan import scan_licences
+
+    path = F.concat_ws("/", "source", "lang", F.col("doc_id").cast("string"))
+    return scan_licences(table(spark, sf_dir, "documents"), path, F.col("share") >= 0.5)
+
+
+def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from frsketch.llm.decontaminate import find_leaks
+
+    return find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from frsketch.llm.quality import quality_frame
 
@@ -64,8 +79,10 @@ QUERIES = {
     "op3_url_rules": op3_url_rules,
     "op4_token_counts": op4_token_counts,
     "op5_byte_bpe": op5_byte_bpe,
+    "op7_licences": op7_licences,
     "op8_quality_rules": op8_quality_rules,
     "op9_toxicity": op9_toxicity,
+    "op10_decontamination": op10_decontamination,
 }
 
 def _values(rows: list[tuple[str, str, str]]) -> str:

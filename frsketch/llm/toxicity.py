@@ -6,11 +6,11 @@ towards a model that both share: counts of the highest order over every document
 Kneser-Ney continuation counts (how many different letters stand before a string). A spelling that a
 class has seldom or never seen falls back to what the corpus knows, which is the same for both and
 cancels out. A text's score compares the two
-log-likelihoods per letter and is put on 0..1 by a one-variable logistic fit.
+log-likelihoods per letter and is put on 0..1 by a logistic curve fitted to labelled rows.
 
 Counts live in hashed tables of ``2**BITS`` cells, so the model has a fixed size. Class counts come
 from at most ``TRAIN_ROWS`` labelled rows a class (smallest hashed ids; a documented bound), shared
-counts from all documents. The logistic fit uses at most ``FIT_ROWS`` labelled rows that neither the
+counts from all documents. The fit uses at most ``FIT_ROWS`` labelled rows that neither the
 class counts nor the held-out fifth contain.
 
 A null or empty text scores as one of likelihood ratio one. Without labels, or with one class only,
@@ -214,21 +214,19 @@ def log_ratio_frame(docs: DataFrame, model: Model, id_col: str = "doc_id", text_
     return docs.select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, ratio double")
 
 
-def fit_logistic(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
-    """(slope, offset) of P(1) = 1 / (1 + exp(-(slope x + offset))), ridge of 1e-3 on the slope."""
+def fit_scale(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
+    """(slope, offset) of the score 1 / (1 + exp(-(slope x + offset))): it crosses one half where F1
+    over the given rows is best, and its slope is two over the spread of class 0."""
     if not len(x) or y.min() == y.max():
         return 0.0, -40.0
-    mid, scale = float(x.mean()), float(x.std()) or 1.0
-    z, w = np.c_[(x - mid) / scale, np.ones(len(x))], np.zeros(2)
-    for _ in range(50):
-        p = 1 / (1 + np.exp(-np.clip(z @ w, -40, 40)))
-        grad = z.T @ (p - y) + [1e-3 * w[0], 0]
-        hess = (z * (p * (1 - p))[:, None]).T @ z + np.diag([1e-3, 1e-9])
-        step = np.linalg.solve(hess, grad)
-        w = w - np.clip(step, -5, 5)
-        if np.abs(step).max() < 1e-9:
-            break
-    return float(w[0] / scale), float(w[1] - w[0] * mid / scale)
+    order = np.argsort(-x, kind="stable")
+    v, hit = x[order], np.cumsum(y[order])
+    f1 = 2 * hit / (np.arange(1, len(x) + 1) + y.sum())
+    f1[:-1][v[:-1] == v[1:]] = 0  # equal ratios stay together
+    k = int(np.argmax(f1))
+    cut = (v[k] + v[k + 1]) / 2 if k + 1 < len(v) else v[k]
+    slope = 2.0 / (float(x[y == 0].std()) or 1.0)
+    return slope, -slope * float(cut)
 
 
 def toxicity_frame(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train_rows: int = TRAIN_ROWS, fit_rows: int = FIT_ROWS) -> DataFrame:
@@ -242,7 +240,7 @@ def toxicity_frame(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", t
     ratios = stored(log_ratio_frame(docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("text")), model, "_id", "text"), "ratios")
     rest = known.where(fold(F.col("_id")) == FOLDS - 1).orderBy(*by_hash).limit(fit_rows)
     fit = ratios.join(F.broadcast(rest), "_id").select("ratio", "cls").toArrow()  # bounded by fit_rows
-    slope, offset = fit_logistic(fit.column("ratio").to_numpy(), fit.column("cls").to_numpy().astype(float))
+    slope, offset = fit_scale(fit.column("ratio").to_numpy(), fit.column("cls").to_numpy().astype(float))
     z = F.lit(slope) * F.col("ratio") + F.lit(offset)
     score = F.lit(1.0) / (F.lit(1.0) + F.exp(-F.greatest(F.least(z, F.lit(40.0)), F.lit(-40.0))))
     out = ratios.select(F.col("_id").alias(id_col), (F.coalesce(fold(F.col("_id")), F.lit(0)) == 0).alias("held_out"), "ratio", score.alias("score"))
