@@ -28,6 +28,12 @@ def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", hex_digits(F.col("fp")).alias("fingerprint"), "component_id")
 
 
+def op2_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from frsketch.llm.suffix_dedup import without_repeats
+
+    return without_repeats(table(spark, sf_dir, "documents"), keep_bytes=False)
+
+
 def op3_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from frsketch.llm.url_filter import judge_urls, url_list
 
@@ -76,6 +82,7 @@ def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_simhash": op1_simhash,
+    "op2_suffix_array": op2_suffix_array,
     "op3_url_rules": op3_url_rules,
     "op4_token_counts": op4_token_counts,
     "op5_byte_bpe": op5_byte_bpe,
