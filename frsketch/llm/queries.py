@@ -53,6 +53,17 @@ def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_frame(table(spark, sf_dir, "documents"), tokenizer_file("byte_bpe_50k.tiktoken"), with_ids=False)
 
 
+def op6_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import uuid
+
+    from frsketch.llm.shared import shared_dir
+    from frsketch.llm.token_store import read_tokens, write_tokens
+
+    path = f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}"
+    write_tokens(table(spark, sf_dir, "documents"), path, tokenizer_file("byte_bpe_50k.json"), end_id=0)
+    return read_tokens(spark, path)
+
+
 def op7_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
     """``documents`` has no file names: a document lies at source/lang/doc_id, and one that is mostly
     licence text stands for its directory's licence file."""
@@ -86,6 +97,7 @@ QUERIES = {
     "op3_url_rules": op3_url_rules,
     "op4_token_counts": op4_token_counts,
     "op5_byte_bpe": op5_byte_bpe,
+    "op6_token_store": op6_token_store,
     "op7_licences": op7_licences,
     "op8_quality_rules": op8_quality_rules,
     "op9_toxicity": op9_toxicity,

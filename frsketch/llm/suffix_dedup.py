@@ -293,13 +293,15 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     return out
 
 
-def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep_bytes: bool = True) -> DataFrame:
-    """The rows of docs' id with n_bytes, n_removed, n_spans, kept_sha256, spans (begin, end) and kept
-    (the bytes left)."""
+def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep_bytes: bool = True, carry: list[str] | None = None) -> DataFrame:
+    """id, n_bytes, n_removed, n_spans, kept_sha256 of every row and, with ``keep_bytes``, spans (begin,
+    end) and kept (the bytes left); then the carried columns of docs."""
+    carry = carry or []
     kind = docs.schema[id_col].dataType.simpleString()
     spans = repeated_spans(docs, id_col, text_col).groupBy("id").agg(F.collect_list(F.struct("lo", "n")).alias("runs"))  # bounded by the text
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(spans, "id", "left").select("id", "text", "runs")
+    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), *[F.col(c).alias(f"_{c}") for c in carry]).join(spans, "id", "left").select("id", "text", "runs", *[f"_{c}" for c in carry])
     schema = f"{id_col} {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", spans array<struct<begin:bigint,end:bigint>>, kept binary" if keep_bytes else "")
+    schema += "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
 
     def run(batches):
         for b in batches:
@@ -323,6 +325,7 @@ def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             arrays = [b.column(0), pa.array(size, pa.int64()), pa.array(gone, pa.int64()), pa.array(n, pa.int64()), pa.array(digest, pa.string())]
             if keep_bytes:
                 arrays += [pa.array(where, pa.list_(pa.struct([("begin", pa.int64()), ("end", pa.int64())]))), pa.array(kept, pa.binary())]
-            yield pa.RecordBatch.from_arrays(arrays, [id_col, "n_bytes", "n_removed", "n_spans", "kept_sha256", "spans", "kept"][: len(arrays)])
+            names = [id_col, "n_bytes", "n_removed", "n_spans", "kept_sha256", "spans", "kept"][: len(arrays)]
+            yield pa.RecordBatch.from_arrays([*arrays, *b.columns[3:]], [*names, *carry])
 
     return rows.mapInArrow(run, schema)

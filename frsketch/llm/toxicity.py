@@ -193,15 +193,16 @@ def fit_counts(rows: DataFrame, order: int = ORDER, bits: int = BITS) -> Model:
     return Model(tables, order, bits)
 
 
-def log_ratio_frame(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, ratio: log-likelihood ratio per letter."""
-    kind = docs.schema[id_col].dataType.simpleString()
+def log_ratio_frame(docs: DataFrame, model: Model, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
+    """The kept columns (default: all) and _ratio, the log-likelihood ratio per letter."""
+    keep = docs.columns if keep is None else keep
+    kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
     sent = docs.sparkSession.sparkContext.broadcast((model.t, model.order, model.bits))
 
     def run(batches):
         m = Model(*sent.value)
         for b in batches:
-            texts = [t or "" for t in b.column(1).to_pylist()]
+            texts = [t or "" for t in b.column(0).to_pylist()]
             out = np.zeros(len(texts))
             for lo, hi in groups(texts):
                 split = [t.lower().split() for t in texts[lo:hi]]
@@ -209,9 +210,9 @@ def log_ratio_frame(docs: DataFrame, model: Model, id_col: str = "doc_id", text_
                 for k, ws in enumerate(split, lo):
                     if ws:
                         out[k] = sum([look[w] for w in ws]) / (sum(map(len, ws)) + len(ws))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out)], [id_col, "ratio"])
+            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(out)], [*keep, "_ratio"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, ratio double")
+    return docs.select(F.col(text_col).alias("_text"), *keep).mapInArrow(run, f"{kinds}, _ratio double")
 
 
 def fit_scale(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
@@ -229,19 +230,27 @@ def fit_scale(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return slope, -slope * float(cut)
 
 
-def toxicity_frame(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train_rows: int = TRAIN_ROWS, fit_rows: int = FIT_ROWS) -> DataFrame:
-    """id, held_out, ratio, score, predicted."""
-    known = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("cls")).distinct()
+def scored(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train_rows: int = TRAIN_ROWS, fit_rows: int = FIT_ROWS, keep: list[str] | None = None) -> DataFrame:
+    """The kept columns of docs (default: all) with _ratio and _score."""
+    known = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("_cls")).distinct()
     by_hash = [F.xxhash64("_id"), F.col("_id")]
-    train = [known.where((F.col("cls") == c) & fold(F.col("_id")).between(1, FOLDS - 2)).orderBy(*by_hash).limit(train_rows) for c in (0, 1)]
+    train = [known.where((F.col("_cls") == c) & fold(F.col("_id")).between(1, FOLDS - 2)).orderBy(*by_hash).limit(train_rows) for c in (0, 1)]
     train = stored(train[0].unionByName(train[1]), "train")  # at most 2 * train_rows rows
-    rows = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("text")).join(F.broadcast(train), "_id", "left").select("text", "cls")
-    model = fit_counts(rows)
-    ratios = stored(log_ratio_frame(docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("text")), model, "_id", "text"), "ratios")
-    rest = known.where(fold(F.col("_id")) == FOLDS - 1).orderBy(*by_hash).limit(fit_rows)
-    fit = ratios.join(F.broadcast(rest), "_id").select("ratio", "cls").toArrow()  # bounded by fit_rows
-    slope, offset = fit_scale(fit.column("ratio").to_numpy(), fit.column("cls").to_numpy().astype(float))
-    z = F.lit(slope) * F.col("ratio") + F.lit(offset)
-    score = F.lit(1.0) / (F.lit(1.0) + F.exp(-F.greatest(F.least(z, F.lit(40.0)), F.lit(-40.0))))
-    out = ratios.select(F.col("_id").alias(id_col), (F.coalesce(fold(F.col("_id")), F.lit(0)) == 0).alias("held_out"), "ratio", score.alias("score"))
-    return out.withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
+    rows = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("text"))
+    model = fit_counts(rows.join(F.broadcast(train), "_id", "left").select("text", F.col("_cls").alias("cls")))
+    rest = stored(known.where(fold(F.col("_id")) == FOLDS - 1).orderBy(*by_hash).limit(fit_rows), "fit")
+    fit = log_ratio_frame(rows.join(F.broadcast(rest), "_id"), model, "text", ["_cls"]).toArrow()  # bounded by fit_rows
+    slope, offset = fit_scale(fit.column("_ratio").to_numpy(), fit.column("_cls").to_numpy().astype(float))
+    z = F.lit(slope) * F.col("_ratio") + F.lit(offset)
+    return log_ratio_frame(docs, model, text_col, keep).withColumn("_score", F.lit(1.0) / (F.lit(1.0) + F.exp(-F.greatest(F.least(z, F.lit(40.0)), F.lit(-40.0)))))
+
+
+def toxicity_frame(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train_rows: int = TRAIN_ROWS, fit_rows: int = FIT_ROWS) -> DataFrame:
+    """id, held_out, ratio, score, predicted."""
+    out = scored(docs, labels, id_col, text_col, label_col, train_rows, fit_rows, [id_col])
+    return out.select(id_col, (F.coalesce(fold(F.col(id_col)), F.lit(0)) == 0).alias("held_out"), F.col("_ratio").alias("ratio"), F.col("_score").alias("score"), (F.col("_score") >= 0.5).cast("int").alias("predicted"))
+
+
+def ordinary_only(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> DataFrame:
+    """docs without the rows predicted toxic."""
+    return scored(docs, labels, id_col, text_col, label_col).where("_score < 0.5").select(*docs.columns)
