@@ -1,10 +1,746 @@
-"""Every registered query of the sketch engine and, where SQL can say it, its DuckDB text."""
+"""Every registered query of the sketch engine and, where SQL can say it, its DuckDB text.
+
+Doubles are rounded to six digits on both sides. Each query runs over its whole tables.
+"""
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from frsketch.functions import collisions as coll
+from frsketch.functions.hashing import element_key
+from frsketch.functions.text import strip_html, word_shingles
+from frsketch.operators import baselines as base
+from frsketch.operators import build, exact, measures, simulate
+from frsketch.operators.advisor import choose_params, space_orders
+from frsketch.operators.boolean import cnf_count
+from frsketch.operators.cardinality import cardinality, loglog, superloglog, union_cardinality
+from frsketch.operators.jaccard import intersection_cardinality, pairwise_jaccard
+from frsketch.operators.similar_pairs import similar_pairs, top_similar
+from frsketch.params import MEDIUM, SMALL, FrsParams
+from frsketch.plans import duck
+from frsketch.sources.tables import shared_dir, table
+from frsketch.streaming import sketches as streams
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE_SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    def put(f):
+        QUERIES[name] = f
+        if sql is not None:
+            ORACLE_SQL[name] = sql
+        return f
+
+    return put
+
+
+def r6(c: Column | str) -> Column:
+    return F.round(c, 6)
+
+
+CUST = "o_custkey::VARCHAR"
+
+
+def priorities(spark: SparkSession, d: str, params: FrsParams = SMALL) -> DataFrame:
+    return build.sketch(table(spark, d, "orders"), "o_custkey", ["o_orderpriority"], params)
+
+
+def suppliers(spark: SparkSession, d: str, params: FrsParams) -> DataFrame:
+    return build.sketch(table(spark, d, "lineitem"), "l_partkey", ["l_suppkey"], params)
+
+
+# ---- registers
+
+for _name, _params, _table, _by, _key in [
+    ("frs_registers_by_priority", SMALL, "orders", "o_orderpriority", "o_custkey"),
+    ("frs_registers_contiguous", FrsParams(10, 6, 8, hash="sha1", mantissa="contiguous"), "orders", "o_orderpriority", "o_custkey"),
+    ("frs_registers_overflow_tail", FrsParams(6, 2, 4, tail="overflow"), "lineitem", "l_returnflag", "l_partkey"),
+    ("frs_registers_sha256", FrsParams(6, 6, 4, hash="sha256", seed=7), "customer", "c_mktsegment", "c_custkey"),
+]:
+
+    def _registers(spark, d, params=_params, t=_table, by=_by, key=_key):
+        return build.sketch(table(spark, d, t), key, [by], params).select(F.col(by).alias("k"), "bucket", "reg")
+
+    query(_name, f"SELECT {_by} AS k, bucket, reg FROM ({duck.registers(_table, f'{_key}::VARCHAR', [_by], _params)})")(_registers)
+
+
+@query("frs_registers_unpacked", f"SELECT o_orderpriority AS k, bucket, reg FROM ({duck.registers('orders', CUST, ['o_orderpriority'], SMALL)})")
+def frs_registers_unpacked(spark, d):
+    return build.sketch(table(spark, d, "orders"), "o_custkey", ["o_orderpriority"], SMALL, packed=False).withColumnRenamed("o_orderpriority", "k")
+
+
+@query("frs_registers_bulk_hash")
+def frs_registers_bulk_hash(spark, d):
+    return build.sketch(table(spark, d, "lineitem"), ["l_orderkey", "l_linenumber"], ["l_returnflag"], FrsParams(10, 6, 8, hash="xx"))
+
+
+@query("frs_registers_composite", f"SELECT l_returnflag AS k, bucket, reg FROM ({duck.registers('lineitem', chr(40) + ' || '.join(f'length({c}::VARCHAR)::VARCHAR || chr(58) || {c}::VARCHAR' for c in ('l_orderkey', 'l_partkey')) + chr(41), ['l_returnflag'], SMALL)})")
+def frs_registers_composite(spark, d):
+    return build.sketch(table(spark, d, "lineitem"), ["l_orderkey", "l_partkey"], ["l_returnflag"], SMALL).withColumnRenamed("l_returnflag", "k")
+
+
+CONTIGUOUS = FrsParams(6, 4, 8, hash="sha1", mantissa="contiguous")
+
+
+@query("frs_from_minhash", f"SELECT bucket, reg FROM ({duck.registers('orders', CUST, [], CONTIGUOUS)})")
+def frs_from_minhash(spark, d):
+    bits = CONTIGUOUS.zeros + CONTIGUOUS.r
+    mh = base.minhash_kpart(table(spark, d, "orders"), "o_custkey", [], CONTIGUOUS.p, bits, CONTIGUOUS, contiguous=True)
+    return build.compress_minhash(mh, CONTIGUOUS, bits)
+
+
+@query("frs_union_months_to_year", f"SELECT yr, bucket, reg FROM ({duck.registers('(SELECT year(o_orderdate)::INTEGER AS yr, o_custkey FROM orders)', CUST, ['yr'], MEDIUM)})")
+def frs_union_months_to_year(spark, d):
+    months = table(spark, d, "orders").withColumn("month", F.trunc(F.col("o_orderdate").cast("date"), "month"))
+    sk = build.sketch(months, "o_custkey", ["month"], MEDIUM)
+    return build.rollup_sketch(sk.withColumn("yr", F.year("month")), ["yr"])
+
+
+_CUBE = "(SELECT c_mktsegment AS segment, o_orderpriority AS priority, o_custkey FROM orders JOIN customer ON o_custkey = c_custkey)"
+
+
+@query(
+    "frs_cube_sketch",
+    f"""WITH x AS ({duck.registers(_CUBE, CUST, ['segment', 'priority'], SMALL)}), c AS (
+SELECT segment, priority, bucket, max(reg) AS reg FROM x GROUP BY GROUPING SETS ((segment, priority, bucket), (segment, bucket), (priority, bucket), (bucket)))
+SELECT segment, priority, count(*) AS filled, sum(reg)::BIGINT AS reg_sum FROM c GROUP BY segment, priority""",
+)
+def frs_cube_sketch(spark, d):
+    o = table(spark, d, "orders").select("o_custkey", F.col("o_orderpriority").alias("priority"))
+    c = table(spark, d, "customer").select("c_custkey", F.col("c_mktsegment").alias("segment"))
+    fine = build.sketch(o.join(c, o.o_custkey == c.c_custkey), "o_custkey", ["segment", "priority"], SMALL)
+    cube = build.cube_sketch(fine, ["segment", "priority"])
+    return cube.groupBy("g", "segment", "priority").agg(F.count("*").alias("filled"), F.sum("reg").alias("reg_sum")).drop("g")
+
+
+@query("frs_packed_roundtrip", f"SELECT o_orderpriority AS k, bucket, reg FROM ({duck.registers('orders', CUST, ['o_orderpriority'], MEDIUM)})")
+def frs_packed_roundtrip(spark, d):
+    packed = build.to_packed(priorities(spark, d, MEDIUM), MEDIUM, ["o_orderpriority"])
+    return build.from_packed(packed, MEDIUM, ["o_orderpriority"]).withColumnRenamed("o_orderpriority", "k")
+
+
+@query("frs_to_hll", f"SELECT o_orderpriority AS k, bucket, reg >> {MEDIUM.r} AS e FROM ({duck.registers('orders', CUST, ['o_orderpriority'], MEDIUM)})")
+def frs_to_hll(spark, d):
+    return build.to_hll(priorities(spark, d, MEDIUM), MEDIUM).withColumnRenamed("o_orderpriority", "k")
+
+
+# ---- cardinality
+
+COLUMNS = [("orders", "o_custkey"), ("orders", "o_orderkey"), ("lineitem", "l_partkey"), ("lineitem", "l_suppkey"), ("lineitem", "l_orderkey"), ("customer", "c_custkey"), ("part", "p_partkey"), ("supplier", "s_suppkey"), ("events", "user_id"), ("events", "props"), ("documents", "text")]
+
+
+def column_elements(spark, d) -> DataFrame:
+    parts = [table(spark, d, t).select(F.lit(t).alias("tbl"), F.lit(c).alias("col"), F.col(c).cast("string").alias("x")) for t, c in COLUMNS]
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.unionByName(x)
+    return out
+
+
+_COLUMNS = "(" + " UNION ALL ".join(f"SELECT '{t}' AS tbl, '{c}' AS col, {c}::VARCHAR AS x FROM {t}" for t, c in COLUMNS) + ")"
+
+for _method in ("hll", "minvalue", "auto"):
+
+    def _card(spark, d, method=_method):
+        sk = build.sketch(column_elements(spark, d), "x", ["tbl", "col"], MEDIUM)
+        return cardinality(sk, ["tbl", "col"], MEDIUM, method).select("tbl", "col", r6("est").alias("est"))
+
+    query(f"card_{_method}", f"SELECT tbl, col, round({duck.estimate(MEDIUM, _method)}, 6) AS est FROM (SELECT tbl, col, {duck.moments(MEDIUM)} FROM ({duck.registers(_COLUMNS, 'x', ['tbl', 'col'], MEDIUM)}) GROUP BY tbl, col)")(_card)
+
+
+@query("card_union_priorities", f"SELECT filled, round({duck.estimate(MEDIUM)}, 6) AS est FROM (SELECT {duck.moments(MEDIUM)} FROM ({duck.registers(chr(40) + 'SELECT * FROM orders WHERE o_orderpriority <= ' + chr(39) + '3' + chr(39) + chr(41), CUST, [], MEDIUM)}))")
+def card_union_priorities(spark, d):
+    sk = priorities(spark, d, MEDIUM)
+    both = [sk.where(F.col("o_orderpriority").startswith(c)) for c in ("1", "2")]
+    return union_cardinality(MEDIUM, *both).select("filled", r6("est").alias("est"))
+
+
+@query("card_loglog", f"SELECT k, round(0.39701 * {MEDIUM.k} * power(2.0, sum(reg >> {MEDIUM.r}) / {float(MEDIUM.k)}), 6) AS est FROM (SELECT l_suppkey AS k, bucket, reg FROM ({duck.registers('lineitem', 'l_partkey::VARCHAR', ['l_suppkey'], MEDIUM)})) GROUP BY k")
+def card_loglog(spark, d):
+    return loglog(suppliers(spark, d, MEDIUM), ["l_suppkey"], MEDIUM).select(F.col("l_suppkey").alias("k"), r6("est").alias("est"))
+
+
+@query(
+    "card_superloglog",
+    f"""WITH s AS (SELECT l_returnflag AS k, bucket, reg >> {MEDIUM.r} AS e FROM ({duck.registers('lineitem', 'l_partkey::VARCHAR', ['l_returnflag'], MEDIUM)})),
+f AS (SELECT k, b.i AS bucket, coalesce(s.e, 0) AS e FROM (SELECT DISTINCT k FROM s) CROSS JOIN range(0, {MEDIUM.k}) b(i) LEFT JOIN s USING (k) WHERE s.bucket = b.i OR s.bucket IS NULL),
+g AS (SELECT k, e, row_number() OVER (PARTITION BY k ORDER BY e) AS rn FROM (SELECT k, e FROM s UNION ALL SELECT k, 0 FROM (SELECT k, {MEDIUM.k} - count(*) AS n FROM s GROUP BY k), range(0, {MEDIUM.k}) x(i) WHERE i < n))
+SELECT k, round(1.093 * {int(.7 * MEDIUM.k)} * power(2.0, sum(e) / {float(int(.7 * MEDIUM.k))}), 6) AS est FROM g WHERE rn <= {int(.7 * MEDIUM.k)} GROUP BY k""",
+)
+def card_superloglog(spark, d):
+    sk = build.sketch(table(spark, d, "lineitem"), "l_partkey", ["l_returnflag"], MEDIUM)
+    return superloglog(sk, ["l_returnflag"], MEDIUM).select(F.col("l_returnflag").alias("k"), r6("est").alias("est"))
+
+
+ORACLE_SQL["card_superloglog"] = ORACLE_SQL["card_superloglog"].split("f AS (")[0] + "g AS (" + ORACLE_SQL["card_superloglog"].split("g AS (")[1]
+
+_KMV = "(SELECT DISTINCT o_orderpriority AS k, ('0x' || substr(md5(o_custkey::VARCHAR), 1, 12))::BIGINT AS v FROM orders)"
+_KMV_LISTS = f"(SELECT k, list(v ORDER BY v)[1:64] AS vals FROM {_KMV} GROUP BY k)"
+
+
+def kmv_priorities(spark, d):
+    return base.kmv(table(spark, d, "orders").withColumnRenamed("o_orderpriority", "k"), "o_custkey", ["k"], 64)
+
+
+@query("card_kmv", f"SELECT k, round(CASE WHEN len(vals) < 64 THEN len(vals) ELSE 63 / (vals[-1] / power(2.0, 48)) END, 6) AS est FROM {_KMV_LISTS}")
+def card_kmv(spark, d):
+    return base.kmv_cardinality(kmv_priorities(spark, d), ["k"], 64).select("k", r6("est").alias("est"))
+
+
+@query("card_exact", f"SELECT tbl, col, count(DISTINCT x) AS exact FROM {_COLUMNS} GROUP BY tbl, col")
+def card_exact(spark, d):
+    return exact.exact_count(column_elements(spark, d), ["tbl", "col"], "x")
+
+
+@query("card_builtin")
+def card_builtin(spark, d):
+    return table(spark, d, "orders").groupBy("o_orderpriority").agg(F.approx_count_distinct("o_custkey", 0.02).alias("approx"), F.hll_sketch_estimate(F.hll_sketch_agg("o_custkey", 12)).alias("hll"), F.theta_sketch_estimate(F.theta_sketch_agg("o_custkey", 12)).alias("theta"))
+
+
+# ---- Jaccard
+
+_SK = f"WITH sk AS (SELECT o_orderpriority AS k, bucket, reg FROM ({duck.registers('orders', CUST, ['o_orderpriority'], SMALL)})), {duck.pair_cells(SMALL)}"
+_EC = duck.expected_collisions("n", "m", 6, 4, 4)
+
+
+@query("jaccard_raw", f"{_SK} SELECT a, b, c, n_filled, round(c / n_filled, 6) AS t FROM pr")
+def jaccard_raw(spark, d):
+    return pairwise_jaccard(priorities(spark, d), "o_orderpriority", SMALL).select("a", "b", "c", "n_filled", r6("t_raw").alias("t"))
+
+
+@query("jaccard_all_buckets", f"{_SK} SELECT a, b, c, n_filled, round(c / {float(SMALL.k)}, 6) AS t FROM pr")
+def jaccard_all_buckets(spark, d):
+    return pairwise_jaccard(priorities(spark, d), "o_orderpriority", SMALL, denominator="all").select("a", "b", "c", "n_filled", r6("t_raw").alias("t"))
+
+
+@query("jaccard_corrected_exact", f"{_SK} SELECT a, b, round(ec, 6) AS ec, round((c - ec) / n_filled, 6) AS t FROM (SELECT *, {_EC} AS ec FROM pr)")
+def jaccard_corrected_exact(spark, d):
+    return pairwise_jaccard(priorities(spark, d), "o_orderpriority", SMALL, "exact").select("a", "b", r6("ec").alias("ec"), r6("t_raw").alias("t"))
+
+
+@query("jaccard_corrected_approx_priorities", f"{_SK} SELECT a, b, round(ec, 6) AS ec, round((c - ec) / n_filled, 6) AS t, 'ok' AS status FROM (SELECT *, {duck.approx_collisions('n', 'm', SMALL)} AS ec FROM pr)")
+def jaccard_corrected_approx_priorities(spark, d):
+    return pairwise_jaccard(priorities(spark, d), "o_orderpriority", SMALL, "approx").select("a", "b", r6("ec").alias("ec"), r6("t_raw").alias("t"), "status")
+
+
+_SUPP = f"WITH sk AS (SELECT l_suppkey AS k, bucket, reg FROM ({duck.registers('lineitem', 'l_partkey::VARCHAR', ['l_suppkey'], SMALL)})), {duck.pair_cells(SMALL)}"
+
+
+@query("jaccard_corrected_approx", f"{_SUPP} SELECT a, b, round(ec, 6) AS ec, round((c - ec) / n_filled, 6) AS t FROM (SELECT *, {duck.approx_collisions('n', 'm', SMALL)} AS ec FROM pr)")
+def jaccard_corrected_approx(spark, d):
+    return pairwise_jaccard(suppliers(spark, d, SMALL), "l_suppkey", SMALL, "approx").select("a", "b", r6("ec").alias("ec"), r6("t_raw").alias("t"))
+
+
+@query("jaccard_corrected_limit", f"{_SK} SELECT a, b, round(ec, 6) AS ec, round((c - ec) / n_filled, 6) AS t FROM (SELECT *, {duck.approx_collisions('n', 'm', SMALL)} AS ec FROM pr)")
+def jaccard_corrected_limit(spark, d):
+    return pairwise_jaccard(priorities(spark, d), "o_orderpriority", SMALL, "limit").select("a", "b", r6("ec").alias("ec"), r6("t_raw").alias("t"))
+
+
+@query("jaccard_overlap_aware")
+def jaccard_overlap_aware(spark, d):
+    return pairwise_jaccard(suppliers(spark, d, SMALL), "l_suppkey", SMALL, "overlap").select("a", "b", r6("t_raw").alias("t"))
+
+
+_LAPS = f"""WITH a AS ({duck.registers('(SELECT c_mktsegment, c_custkey FROM customer)', 'c_custkey::VARCHAR', ['c_mktsegment'], MEDIUM)}),
+u AS ({duck.registers("(SELECT o_custkey FROM orders WHERE o_orderpriority = '1-URGENT')", CUST, [], MEDIUM)}),
+b AS (SELECT c_mktsegment, bucket, u.reg FROM (SELECT DISTINCT c_mktsegment FROM customer) CROSS JOIN u),
+x AS (SELECT c_mktsegment, bucket, a.reg AS ra, b.reg AS rb FROM a FULL JOIN b USING (c_mktsegment, bucket)),
+j AS (SELECT c_mktsegment, count(*) FILTER (ra = rb) / count(*) AS t, {duck.moments(MEDIUM, "greatest(ra, rb)")} FROM x GROUP BY c_mktsegment),
+e AS (SELECT c_mktsegment, count(DISTINCT c_custkey) AS exact FROM customer SEMI JOIN (SELECT * FROM orders WHERE o_orderpriority = '1-URGENT') ON c_custkey = o_custkey GROUP BY c_mktsegment)
+SELECT c_mktsegment AS segment, round(t * {duck.estimate(MEDIUM)}, 6) AS est, exact FROM j JOIN e USING (c_mktsegment)"""
+
+
+@query("intersection_segment_priority", _LAPS)
+def intersection_segment_priority(spark, d):
+    c, o = table(spark, d, "customer"), table(spark, d, "orders").where("o_orderpriority = '1-URGENT'")
+    a = build.sketch(c, "c_custkey", ["c_mktsegment"], MEDIUM)
+    one = build.sketch(o, "o_custkey", [], MEDIUM)
+    # the same urgent set beside every segment: as many copies as there are segments
+    b = c.select("c_mktsegment").distinct().join(F.broadcast(one), F.lit(True)).select("c_mktsegment", "bucket", "reg")
+    est = intersection_cardinality(a, b, MEDIUM, ["c_mktsegment"])
+    truth = c.join(o, c.c_custkey == o.o_custkey, "left_semi").groupBy("c_mktsegment").agg(F.count_distinct("c_custkey").alias("exact"))
+    return est.join(truth, "c_mktsegment").select(F.col("c_mktsegment").alias("segment"), r6("est").alias("est"), "exact")
+
+
+_EV = "(SELECT strftime(ts, '%Y-%m-%d') AS day, length(user_id::VARCHAR)::VARCHAR || ':' || user_id::VARCHAR || length(props)::VARCHAR || ':' || props AS x FROM events)"
+_EVSK = f"WITH sk AS (SELECT day AS k, bucket, reg FROM ({duck.registers(_EV, 'x', ['day'], MEDIUM)})), {duck.pair_cells(MEDIUM)}, ex AS (SELECT DISTINCT day, x FROM {_EV}), es AS (SELECT day, count(*) AS n FROM ex GROUP BY day), ep AS (SELECT a.day AS a, b.day AS b, count(*) AS c FROM ex a JOIN ex b ON a.x = b.x AND a.day < b.day GROUP BY ALL)"
+
+
+def event_days(spark, d) -> DataFrame:
+    return table(spark, d, "events").select(F.date_format("ts", "yyyy-MM-dd").alias("day"), element_key(["user_id", "props"]).alias("x"))
+
+
+@query("event_period_similarity", f"{_EVSK} SELECT pr.a AS day_a, pr.b AS day_b, round(pr.c / n_filled, 6) AS t, round(coalesce(ep.c, 0) / (sa.n + sb.n - coalesce(ep.c, 0)), 6) AS exact_t FROM pr JOIN es sa ON sa.day = pr.a JOIN es sb ON sb.day = pr.b LEFT JOIN ep ON ep.a = pr.a AND ep.b = pr.b")
+def event_period_similarity(spark, d):
+    ev = event_days(spark, d)
+    est = pairwise_jaccard(build.sketch(ev, "x", ["day"], MEDIUM), "day", MEDIUM).select("a", "b", F.col("t_raw").alias("t"))
+    truth = exact.exact_jaccard(ev, "day", "x", est.select("a", "b")).select("a", "b", F.col("t").alias("exact_t"))
+    return est.join(truth, ["a", "b"]).select(F.col("a").alias("day_a"), F.col("b").alias("day_b"), r6("t").alias("t"), r6("exact_t").alias("exact_t"))
+
+
+# ---- Boolean formulas
+
+_Y96 = "(SELECT * FROM orders WHERE year(o_orderdate) = 1996)"
+
+
+def _cnf_sql(clauses: list[list[str]]) -> str:
+    names = lambda c: ", ".join(f"'{x}'" for x in c)
+    sk = f"s AS ({duck.registers(_Y96, CUST, ['o_orderpriority'], MEDIUM)})"
+    parts = " UNION ALL ".join(f"SELECT {i} AS cl, bucket, max(reg) AS reg FROM s WHERE o_orderpriority IN ({names(c)}) GROUP BY bucket" for i, c in enumerate(clauses))
+    hits = " AND ".join(f"o_custkey IN (SELECT o_custkey FROM {_Y96} WHERE o_orderpriority IN ({names(c)}))" for c in clauses)
+    return f"""WITH {sk}, u AS ({parts}), b AS (SELECT bucket, count(*) AS k, min(reg) AS lo, max(reg) AS reg FROM u GROUP BY bucket),
+w AS (SELECT count(*) FILTER (k = {len(clauses)} AND lo = reg) AS c, count(*) AS nf, {duck.moments(MEDIUM)} FROM b)
+SELECT round(c / nf, 6) AS est_j, round(c / nf * {duck.estimate(MEDIUM)}, 6) AS est, (SELECT count(DISTINCT o_custkey) FROM {_Y96} WHERE {hits}) AS exact FROM w"""
+
+
+CNF = {"cnf_two_clause": [["1-URGENT"], ["2-HIGH", "3-MEDIUM"]], "cnf_three_clause": [["1-URGENT", "2-HIGH"], ["3-MEDIUM"], ["4-NOT SPECIFIED", "5-LOW"]]}
+for _name, _clauses in CNF.items():
+
+    def _cnf(spark, d, clauses=_clauses):
+        o = table(spark, d, "orders").where(F.year("o_orderdate") == 1996)
+        est = cnf_count(build.sketch(o, "o_custkey", ["o_orderpriority"], MEDIUM), clauses, MEDIUM, "o_orderpriority")
+        return est.join(F.broadcast(exact.exact_cnf(o, "o_orderpriority", "o_custkey", clauses)), F.lit(True)).select(r6("j").alias("est_j"), r6("est").alias("est"), "exact")
+
+    query(_name, _cnf_sql(_clauses))(_cnf)
+
+
+# ---- collisions
+
+GRID = [(2**a, 2**a // s, *x) for a in range(4, 86, 3) for s in (1, 2, 4, 16) for x in ((6, 4, 4), (8, 5, 8), (15, 6, 10)) if 2**a // s >= 1]
+LOW_GRID = [g for g in GRID if g[0] <= 2**12 and g[2] == 6]
+
+
+def collision_rows(spark, grid) -> DataFrame:
+    """Each row's counts, with the exact sums of all grid rows of one parameter set in one plan."""
+    out = None
+    for p, q, r in sorted({g[2:] for g in grid}):
+        rows = spark.createDataFrame([(float(n), float(m)) for n, m, *x in grid if tuple(x) == (p, q, r)], "n double, m double")
+        got = coll.expected_collisions_df(rows, p, q, r)
+        approx = coll.approx_collisions_col(F.col("n"), F.col("m"), FrsParams(p, q, r, hash="xx" if q > 6 else "md5"))
+        got = got.select("n", "m", F.lit(p).alias("p"), F.lit(q).alias("q"), F.lit(r).alias("r"), "ec", approx.alias("approx"), coll.collision_bound_col(F.col("n"), p, q, r).alias("bound"), coll.collision_variance_bound(F.col("ec")).alias("var_bound"))
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
+@query(
+    "expected_collisions_small",
+    f"SELECT n, m, round(ec, 6) AS ec, round({duck.approx_collisions('n', 'm', SMALL)}, 6) AS approx, round({SMALL.k} * (5 / {float(SMALL.scale)} + n / {2.0 ** (6 + 16 + 4)!r}), 6) AS bound, round(ec * ec + ec, 6) AS var_bound FROM (SELECT *, {_EC} AS ec FROM (VALUES {', '.join(f'({float(n)}::DOUBLE, {float(m)}::DOUBLE)' for n, m, *_ in LOW_GRID)}) v(n, m))",
+)
+def expected_collisions_small(spark, d):
+    return collision_rows(spark, LOW_GRID).select("n", "m", *[r6(c).alias(c) for c in ("ec", "approx", "bound", "var_bound")])
+
+
+@query("expected_collisions_grid")
+def expected_collisions_grid(spark, d):
+    return collision_rows(spark, GRID)
+
+
+UNBOUNDED = [(10, 5, 3), (100, 50, 3), (1000, 1000, 4)]
+
+
+@query(
+    "expected_collisions_unbounded",
+    "SELECT n, m, r, round(list_sum(list_transform(range(0, 40 * (1 << r)), lambda i: (power(1 - ((1 << r) + i % (1 << r)) * power(2.0, -(r + 1 + i // (1 << r))), n) - power(greatest(0.0, 1 - ((1 << r) + i % (1 << r) + 1) * power(2.0, -(r + 1 + i // (1 << r)))), n)) * (power(1 - ((1 << r) + i % (1 << r)) * power(2.0, -(r + 1 + i // (1 << r))), m) - power(greatest(0.0, 1 - ((1 << r) + i % (1 << r) + 1) * power(2.0, -(r + 1 + i // (1 << r)))), m)))), 6) AS ec FROM (VALUES "
+    + ", ".join(f"({n}, {m}, {r})" for n, m, r in UNBOUNDED)
+    + ") v(n, m, r)",
+)
+def expected_collisions_unbounded(spark, d):
+    return spark.createDataFrame([(n, m, r, round(coll.expected_collisions_unbounded(n, m, r), 6)) for n, m, r in UNBOUNDED], "n int, m int, r int, ec double")
+
+
+@query(
+    "disjoint_collisions",
+    " UNION ALL ".join(
+        f"SELECT {s} AS seed, count(*) AS c FROM ({duck.registers('(SELECT * FROM orders WHERE o_orderkey % 2 = 0)', 'o_orderkey::VARCHAR', [], SMALL.with_(seed=s))}) a JOIN ({duck.registers('(SELECT * FROM orders WHERE o_orderkey % 2 = 1)', 'o_orderkey::VARCHAR', [], SMALL.with_(seed=s))}) b USING (bucket, reg)" for s in range(1, 9)
+    ),
+)
+def disjoint_collisions(spark, d):
+    o = table(spark, d, "orders").select((F.col("o_orderkey") % 2).alias("odd"), "o_orderkey", F.explode(F.sequence(F.lit(1), F.lit(8))).alias("seed"))
+    keyed = o.select("odd", "seed", F.concat(F.col("seed").cast("string"), F.lit("|"), F.col("o_orderkey").cast("string")).alias("x"))
+    sk = build.sketch(keyed, "x", ["seed", "odd"], SMALL)
+    cells = sk.groupBy("seed", "bucket").agg(F.max(F.when(F.col("odd") == 0, F.col("reg"))).alias("a"), F.max(F.when(F.col("odd") == 1, F.col("reg"))).alias("b"))
+    return cells.groupBy("seed").agg(F.count_if(F.col("a") == F.col("b")).alias("c"))
+
+
+# ---- baselines
+
+for _bits in (8, 16, 64):
+
+    def _kpart(spark, d, bits=_bits):
+        mh = base.minhash_kpart(table(spark, d, "orders"), "o_custkey", ["o_orderpriority"], 6, bits)
+        return base.minhash_jaccard(mh, "o_orderpriority").select("a", "b", "c", r6("t").alias("t"))
+
+    _val = f"(({duck.num('d', 8)} << 31) + ({duck.num('d', 16)} >> 1))" if _bits == 64 else f"({duck.num('d', 8)} >> {32 - _bits})"
+    _mh = f"mh AS (SELECT o_orderpriority AS k, {duck.num('d', 0)} & 63 AS bucket, min({_val}) AS val FROM (SELECT o_orderpriority, md5({CUST}) AS d FROM orders) GROUP BY ALL)"
+    _tail = "sz AS (SELECT k, count(*) AS f FROM mh GROUP BY k) SELECT a.k AS a, b.k AS b, count(*) FILTER (a.val = b.val) AS c, round(count(*) FILTER (a.val = b.val) / (any_value(sa.f) + any_value(sb.f) - count(*)), 6) AS t FROM mh a JOIN mh b ON a.bucket = b.bucket AND a.k < b.k JOIN sz sa ON sa.k = a.k JOIN sz sb ON sb.k = b.k GROUP BY a.k, b.k"
+    query(f"minhash_kpart_{_bits}", f"WITH {_mh}, {_tail}")(_kpart)
+
+
+@query("minhash_cardinality", f"WITH mh AS (SELECT o_orderpriority AS k, {duck.num('d', 0)} & 1023 AS bucket, min({duck.num('d', 8)}) AS val FROM (SELECT o_orderpriority, md5({CUST}) AS d FROM orders) GROUP BY ALL) SELECT k, round(1048576.0 / (sum(val / 4294967296.0) + 1024 - count(*)), 6) AS est FROM mh GROUP BY k")
+def minhash_cardinality(spark, d):
+    mh = base.minhash_kpart(table(spark, d, "orders"), "o_custkey", ["o_orderpriority"], 10, 32)
+    return base.minhash_cardinality(mh, ["o_orderpriority"], 10, 32).select(F.col("o_orderpriority").alias("k"), r6("est").alias("est"))
+
+
+@query("minhash_khash", f"WITH mh AS (SELECT o_orderpriority AS k, i, min(('0x' || substr(md5(i::VARCHAR || ':' || {CUST}), 1, 12))::BIGINT) AS val FROM orders, range(0, 32) r(i) GROUP BY ALL) SELECT a.k AS a, b.k AS b, count(*) FILTER (a.val = b.val) AS c, round(count(*) FILTER (a.val = b.val) / 32.0, 6)::DOUBLE AS t FROM mh a JOIN mh b ON a.i = b.i AND a.k < b.k GROUP BY a.k, b.k")
+def minhash_khash(spark, d):
+    mh = base.minhash_khash(table(spark, d, "orders"), "o_custkey", ["o_orderpriority"], 32)
+    return base.khash_jaccard(mh, "o_orderpriority", 32).select("a", "b", "c", r6("t").alias("t"))
+
+
+@query(
+    "kmv_jaccard",
+    f"WITH s AS (SELECT * FROM {_KMV_LISTS}) SELECT a, b, len(list_filter(u, lambda x: list_contains(va, x) AND list_contains(vb, x))) AS c, round(len(list_filter(u, lambda x: list_contains(va, x) AND list_contains(vb, x))) / len(u), 6) AS t FROM (SELECT a.k AS a, b.k AS b, a.vals AS va, b.vals AS vb, list_sort(list_distinct(list_concat(a.vals, b.vals)))[1:64] AS u FROM s a JOIN s b ON a.k < b.k)",
+)
+def kmv_jaccard(spark, d):
+    return base.kmv_jaccard(kmv_priorities(spark, d), "k", 64).select("a", "b", F.col("c").cast("long").alias("c"), r6("t").alias("t"))
+
+
+@query("bottomk_float_jaccard")
+def bottomk_float_jaccard(spark, d):
+    sk = base.bottomk_float(kmv_priorities(spark, d), ["k"], FrsParams(0, 6, 10))
+    return base.bottomk_float_jaccard(sk, "k", 64).select("a", "b", "c", r6("t").alias("t"))
+
+
+_B4 = f"mh AS (SELECT k, bucket, val & 15 AS val FROM (SELECT o_orderpriority AS k, {duck.num('d', 0)} & 1023 AS bucket, min({duck.num('d', 8)}) AS val FROM (SELECT o_orderpriority, md5({CUST}) AS d FROM orders) GROUP BY ALL))"
+
+
+@query("bbit_jaccard", f"WITH {_B4}, sz AS (SELECT k, count(*) AS f FROM mh GROUP BY k) SELECT a.k AS a, b.k AS b, round((count(*) FILTER (a.val = b.val) / (any_value(sa.f) + any_value(sb.f) - count(*)) - 0.0625) / 0.9375, 6) AS t FROM mh a JOIN mh b ON a.bucket = b.bucket AND a.k < b.k JOIN sz sa ON sa.k = a.k JOIN sz sb ON sb.k = b.k GROUP BY a.k, b.k")
+def bbit_jaccard(spark, d):
+    mh = base.minhash_kpart(table(spark, d, "orders"), "o_custkey", ["o_orderpriority"], 10, 32)
+    return base.bbit_jaccard(base.bbit_fingerprint(mh, 4), "o_orderpriority", 4).select("a", "b", r6("t").alias("t"))
+
+
+@query(
+    "bbit_not_mergeable",
+    f"WITH full_ AS (SELECT o_orderpriority AS k, {duck.num('d', 0)} & 1023 AS bucket, min({duck.num('d', 8)}) AS val FROM (SELECT o_orderpriority, md5({CUST}) AS d FROM orders) GROUP BY ALL), u AS (SELECT bucket, min(val) & 15 AS x, min(val & 15) AS y FROM full_ GROUP BY bucket) SELECT count(*) AS buckets, count(*) FILTER (x <> y) AS mismatches FROM u",
+)
+def bbit_not_mergeable(spark, d):
+    mh = base.minhash_kpart(table(spark, d, "orders"), "o_custkey", ["o_orderpriority"], 10, 32)
+    right = base.bbit_fingerprint(base.minhash_union(mh.drop("o_orderpriority")), 4)
+    wrong = base.minhash_union(base.bbit_fingerprint(mh, 4).drop("o_orderpriority")).withColumnRenamed("val", "y")
+    return right.join(wrong, "bucket").agg(F.count("*").alias("buckets"), F.count_if(F.col("val") != F.col("y")).alias("mismatches"))
+
+
+_F2 = """WITH x AS (SELECT DISTINCT l_suppkey AS k, l_partkey FROM lineitem), n AS (SELECT k, count(*) AS n FROM x GROUP BY k),
+z AS (SELECT k, i, sum(2 * ((('0x' || substr(md5(l_partkey::VARCHAR), 1 + 8 * (i // 32), 8))::BIGINT >> (31 - i % 32)) & 1) - 1)::BIGINT AS z FROM x, range(0, 64) r(i) GROUP BY k, i),
+p AS (SELECT a.k AS a, b.k AS b, avg(((a.z - b.z) * (a.z - b.z))::DOUBLE) AS d FROM z a JOIN z b ON a.i = b.i AND a.k < b.k GROUP BY a.k, b.k)
+SELECT a, b, round(d, 6) AS d, round((na.n + nb.n - d) / (na.n + nb.n + d), 6) AS t FROM p JOIN n na ON na.k = a JOIN n nb ON nb.k = b"""
+
+
+@query("f2_jaccard", _F2)
+def f2_jaccard(spark, d):
+    li = table(spark, d, "lineitem").withColumnRenamed("l_suppkey", "k")
+    sizes = exact.exact_count(li, ["k"], "l_partkey").withColumnRenamed("exact", "n")
+    return base.f2_jaccard(base.f2_fingerprint(li, "l_partkey", ["k"], 64), sizes, "k").select("a", "b", r6("d").alias("d"), r6("t").alias("t"))
+
+
+_HE = f"h AS (SELECT o_orderpriority AS k, bucket, reg >> {MEDIUM.r} AS e FROM ({duck.registers('orders', CUST, ['o_orderpriority'], MEDIUM)}))"
+_HM = "sum(power(2.0, -e)) AS pw, count(*) AS filled"
+
+
+@query(
+    "incl_excl_jaccard",
+    f"WITH {_HE}, s AS (SELECT k, {duck.hll('pw', 'filled', MEDIUM.k)} AS n FROM (SELECT k, {_HM} FROM h GROUP BY k)), u AS (SELECT a, b, {duck.hll('pw', 'filled', MEDIUM.k)} AS u FROM (SELECT a, b, {_HM} FROM (SELECT x.k AS a, y.k AS b, bucket, max(e) AS e FROM s x JOIN s y ON x.k < y.k JOIN h ON h.k = x.k OR h.k = y.k GROUP BY ALL) GROUP BY a, b)) SELECT a, b, round(x.n + y.n - u, 6) AS both, round((x.n + y.n - u) / u, 6) AS t FROM u JOIN s x ON x.k = a JOIN s y ON y.k = b",
+)
+def incl_excl_jaccard(spark, d):
+    return base.incl_excl_jaccard(priorities(spark, d, MEDIUM), "o_orderpriority", MEDIUM).select("a", "b", r6(F.col("n") + F.col("m") - F.col("u")).alias("both"), r6("t").alias("t"))
+
+
+@query("mle_jaccard")
+def mle_jaccard(spark, d):
+    sk = priorities(spark, d, MEDIUM)
+    names = sk.select("o_orderpriority").distinct()
+    pairs = names.select(F.col("o_orderpriority").alias("a")).join(names.select(F.col("o_orderpriority").alias("b")), F.col("a") < F.col("b"))
+    return base.mle_jaccard(sk, "o_orderpriority", MEDIUM, pairs)
+
+
+def _exact_sql(source: str) -> str:
+    return f"WITH x AS (SELECT DISTINCT k, e FROM {source}), n AS (SELECT k, count(*) AS n FROM x GROUP BY k), p AS (SELECT a.k AS a, b.k AS b, count(*) AS c FROM x a JOIN x b ON a.e = b.e AND a.k < b.k GROUP BY a.k, b.k) SELECT a, b, c AS both_, round(c / (na.n + nb.n - c), 6) AS t FROM p JOIN n na ON na.k = a JOIN n nb ON nb.k = b"
+
+
+@query("exact_jaccard_all_pairs", _exact_sql("(SELECT l_suppkey AS k, l_partkey AS e FROM lineitem)"))
+def exact_jaccard_all_pairs(spark, d):
+    return exact.exact_jaccard(table(spark, d, "lineitem"), "l_suppkey", "l_partkey").select("a", "b", F.col("both").alias("both_"), r6("t").alias("t"))
+
+
+_SETS = {"sets_union": "UNION", "sets_intersect": "INTERSECT", "sets_except": "EXCEPT"}
+for _name, _op in _SETS.items():
+
+    def _sets(spark, d, op=_op):
+        o = table(spark, d, "orders")
+        a, b = (o.where(F.col("o_orderpriority") == p).select(F.col("o_custkey").alias("custkey")) for p in ("1-URGENT", "2-HIGH"))
+        return {"UNION": a.union(b).distinct(), "INTERSECT": a.intersect(b), "EXCEPT": a.subtract(b)}[op]
+
+    query(_name, f"SELECT o_custkey AS custkey FROM orders WHERE o_orderpriority = '1-URGENT' {_op} SELECT o_custkey FROM orders WHERE o_orderpriority = '2-HIGH'")(_sets)
+
+
+# ---- experiments
+
+METHODS = [{"method": "frs_64x8", "kind": "frs", "p": 6, "q": 4, "r": 4}, {"method": "minhash_64x8", "kind": "minhash", "p": 6, "bits": 8}, {"method": "minhash_32x16", "kind": "minhash", "p": 5, "bits": 16}]
+FIG_T = (0.1, 1 / 3, 0.5, 0.9)
+
+
+def fig_grid(exponents=range(6, 26), methods=METHODS, ts=FIG_T) -> list[dict]:
+    return [m | {"t": t, "n": 2.0**e} for m in methods for t in ts for e in exponents]
+
+
+@query("fig6_register_sim")
+def fig6_register_sim(spark, d):
+    return measures.relative_error_summary(simulate.register_trials(spark, fig_grid(), 96))
+
+
+@query("fig6_usable_range")
+def fig6_usable_range(spark, d):
+    return measures.usable_range(measures.relative_error_summary(simulate.register_trials(spark, fig_grid(range(6, 26)), 96)))
+
+
+@query("fig6_hash_sweep")
+def fig6_hash_sweep(spark, d):
+    out = None
+    for n in (2**8, 2**10, 2**12):
+        for t in FIG_T:
+            x = simulate.hash_trials(spark, n, t, SMALL, 8)
+            out = x if out is None else out.unionByName(x)
+    return measures.relative_error_summary(out)
+
+
+
+
+@query("headline_sim")
+def headline_sim(spark, d):
+    frs = {"kind": "frs", "p": 15, "q": 6, "r": 10, "t": 0.01, "n": 1e19}
+    return measures.relative_error_summary(simulate.register_trials(spark, [frs | {"method": "frs_64KiB"}, frs | {"method": "frs_64KiB_debiased", "correct": True}], 48))
+
+
+@query("minhash64k_sim")
+def minhash64k_sim(spark, d):
+    grid = [{"method": "minhash_64KiB", "kind": "minhash", "p": 15, "bits": 16, "t": 0.01, "n": 2.0**e} for e in range(20, 41, 2)]
+    grid += [{"method": "frs_64KiB", "kind": "frs", "p": 15, "q": 6, "r": 10, "t": 0.01, "n": 2.0**e} for e in range(20, 41, 2)]
+    return measures.relative_error_summary(simulate.register_trials(spark, grid, 16))
+
+
+@query("ablation_mantissa_bits")
+def ablation_mantissa_bits(spark, d):
+    grid = [{"method": f"r{r}{'_debiased' if c else ''}", "kind": "frs", "p": 10, "q": 5, "r": r, "t": t, "n": 2.0**16, "correct": c} for r in range(0, 13, 2) for t in (0.1, 0.5) for c in (False, True)]
+    return measures.relative_error_summary(simulate.register_trials(spark, grid, 48))
+
+
+@query("ablation_buckets_and_window")
+def ablation_buckets_and_window(spark, d):
+    grid = [{"method": f"p{p}_q{q}", "kind": "frs", "p": p, "q": q, "r": 6, "t": 0.3, "n": 2.0**e} for p in (4, 6, 8, 10) for q in (3, 4, 5) for e in (10, 18, 26)]
+    return measures.relative_error_summary(simulate.register_trials(spark, grid, 48))
+
+
+@query("low_t_equal_bytes")
+def low_t_equal_bytes(spark, d):
+    """Supplier sets (Jaccard 0.1 to 0.2): mean relative error of four methods at about equal bytes."""
+    li = table(spark, d, "lineitem")
+    params = FrsParams(8, 4, 6)
+    sk = suppliers(spark, d, params)
+    truth = exact.exact_jaccard(li, "l_suppkey", "l_partkey").select("a", "b", F.col("t").alias("exact"))
+    sizes = exact.exact_count(li.withColumnRenamed("l_suppkey", "k"), ["k"], "l_partkey").withColumnRenamed("exact", "n")
+    got = [
+        ("frs", pairwise_jaccard(sk, "l_suppkey", params).select("a", "b", "t")),
+        ("minhash_8bit", base.minhash_jaccard(base.minhash_kpart(li, "l_partkey", ["l_suppkey"], 8, 8), "l_suppkey").select("a", "b", "t")),
+        ("incl_excl", base.incl_excl_jaccard(sk, "l_suppkey", params).select("a", "b", "t")),
+        ("f2", base.f2_jaccard(base.f2_fingerprint(li.withColumnRenamed("l_suppkey", "k"), "l_partkey", ["k"], 64), sizes, "k").select("a", "b", "t")),
+    ]
+    every = None
+    for name, x in got:
+        x = x.select(F.lit(name).alias("method"), "a", "b", "t")
+        every = x if every is None else every.unionByName(x)
+    err = F.abs(F.col("t") - F.col("exact")) / F.col("exact")
+    return every.join(truth, ["a", "b"]).groupBy("method").agg(F.avg(err).alias("mre"), F.avg("exact").alias("mean_t"), F.count("*").alias("pairs"))
+
+
+@query("small_sets_empty_buckets", f"WITH sk AS (SELECT s_nationkey AS k, bucket, reg FROM ({duck.registers('supplier', 's_suppkey::VARCHAR', ['s_nationkey'], SMALL)})) SELECT k, filled, round({duck.estimate(SMALL)}, 6) AS est, exact FROM (SELECT k, {duck.moments(SMALL)} FROM sk GROUP BY k) JOIN (SELECT s_nationkey AS k, count(DISTINCT s_suppkey) AS exact FROM supplier GROUP BY 1) USING (k)")
+def small_sets_empty_buckets(spark, d):
+    s = table(spark, d, "supplier")
+    est = cardinality(build.sketch(s, "s_suppkey", ["s_nationkey"], SMALL), ["s_nationkey"], SMALL)
+    return est.join(exact.exact_count(s, ["s_nationkey"], "s_suppkey"), "s_nationkey").select(F.col("s_nationkey").alias("k"), "filled", r6("est").alias("est"), "exact")
+
+
+# ---- texts
+
+DOC = FrsParams(6, 4, 8)
+
+
+def doc_shingles(spark, d, name: str = "documents", key: str = "doc_id", text: Column | None = None) -> DataFrame:
+    return word_shingles(table(spark, d, name), key, F.col("text") if text is None else text)
+
+
+def _similar_sql(source: str, key: str, text: str, least: float = 0.5) -> str:
+    sh = duck.shingles(source, key, text)
+    return f"""WITH sh AS MATERIALIZED ({sh}), sk AS MATERIALIZED ({duck.registers('sh', 'shingle', ['k'], DOC)}),
+w AS (SELECT k, list((bucket, reg) ORDER BY bucket) AS cells FROM sk GROUP BY k), rp AS (SELECT min(k) AS k FROM w GROUP BY cells),
+bd AS (SELECT k, bucket // 4 AS band, list((bucket, reg) ORDER BY bucket) AS cells FROM sk SEMI JOIN rp USING (k) GROUP BY k, bucket // 4 HAVING count(*) = 4),
+cp AS (SELECT DISTINCT a.k AS a, b.k AS b FROM bd a JOIN bd b ON a.band = b.band AND a.cells = b.cells AND a.k < b.k),
+fl AS (SELECT k, count(*) AS f FROM sk GROUP BY k),
+es AS (SELECT cp.a, cp.b, count(*) FILTER (x.reg = y.reg) / (any_value(fa.f) + any_value(fb.f) - count(*)) AS t FROM cp JOIN sk x ON x.k = cp.a JOIN sk y ON y.k = cp.b AND y.bucket = x.bucket JOIN fl fa ON fa.k = cp.a JOIN fl fb ON fb.k = cp.b GROUP BY cp.a, cp.b),
+ds AS (SELECT DISTINCT k, shingle FROM sh SEMI JOIN (SELECT a AS k FROM es WHERE t >= {least} UNION SELECT b FROM es WHERE t >= {least}) USING (k)), dn AS (SELECT k, count(*) AS n FROM ds GROUP BY k),
+ov AS (SELECT es.a, es.b, count(*) AS c FROM es JOIN ds x ON x.k = es.a JOIN ds y ON y.k = es.b AND x.shingle = y.shingle WHERE t >= {least} GROUP BY es.a, es.b)
+SELECT es.a AS doc_a, es.b AS doc_b, round(t, 6) AS t_est, round(coalesce(c, 0) / (na.n + nb.n - coalesce(c, 0)), 6) AS t_exact FROM es LEFT JOIN ov ON ov.a = es.a AND ov.b = es.b JOIN dn na ON na.k = es.a JOIN dn nb ON nb.k = es.b WHERE t >= {least}"""
+
+
+def similar_texts(sh: DataFrame, key: str) -> DataFrame:
+    sk = build.sketch(sh, "shingle", [key], DOC)
+    est = similar_pairs(sk, key, DOC, least=0.5).select("a", "b", "t")
+    some = est.select(F.explode(F.array("a", "b")).alias(key)).distinct()
+    truth = exact.exact_jaccard(sh.join(some, key, "left_semi"), key, "shingle", est.select("a", "b")).select("a", "b", F.col("t").alias("t_exact"))
+    return est.join(truth, ["a", "b"]).select(F.col("a").alias("doc_a"), F.col("b").alias("doc_b"), r6("t").alias("t_est"), r6("t_exact").alias("t_exact"))
+
+
+@query("doc_similar_pairs", _similar_sql("documents", "doc_id", "text"))
+def doc_similar_pairs(spark, d):
+    return similar_texts(doc_shingles(spark, d), "doc_id")
+
+
+@query("page_similar_pairs")
+def page_similar_pairs(spark, d):
+    return similar_texts(doc_shingles(spark, d, "pages", "page_id", strip_html(F.col("html"))), "page_id")
+
+
+@query("conversation_similarity", _similar_sql("(SELECT conv_id, string_agg(text, ' ' ORDER BY turn, role, text) AS text FROM conversations GROUP BY conv_id)", "conv_id", "text"))
+def conversation_similarity(spark, d):
+    c = table(spark, d, "conversations").groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("turn", "role", "text"))).alias("turns"))
+    return similar_texts(word_shingles(c, "conv_id", F.array_join("turns.text", " ")), "conv_id")
+
+
+_SRC = duck.shingles("(SELECT source, text FROM documents)", "source", "text")
+
+
+@query("doc_source_matrix", f"WITH sk AS ({duck.registers(f'({_SRC})', 'shingle', ['k'], MEDIUM)}), {duck.pair_cells(MEDIUM)} SELECT a, b, round(c / n_filled, 6) AS t FROM pr")
+def doc_source_matrix(spark, d):
+    sk = build.sketch(word_shingles(table(spark, d, "documents"), "source", "text"), "shingle", ["source"], MEDIUM)
+    return pairwise_jaccard(sk, "source", MEDIUM).select("a", "b", r6("t_raw").alias("t"))
+
+
+@query("nation_part_matrix", f"WITH sk AS (SELECT s_nationkey AS k, bucket, reg FROM ({duck.registers('(SELECT s_nationkey, l_partkey FROM lineitem JOIN supplier ON l_suppkey = s_suppkey)', 'l_partkey::VARCHAR', ['s_nationkey'], MEDIUM)})), {duck.pair_cells(MEDIUM)} SELECT a, b, round(c / n_filled, 6) AS t FROM pr")
+def nation_part_matrix(spark, d):
+    # the sketch of a nation is the union of its suppliers' sketches: only sketches meet the join
+    s = table(spark, d, "supplier").select("s_suppkey", "s_nationkey")
+    sk = suppliers(spark, d, MEDIUM).join(s, F.col("l_suppkey") == F.col("s_suppkey"))
+    return pairwise_jaccard(build.rollup_sketch(sk, ["s_nationkey"]), "s_nationkey", MEDIUM).select("a", "b", r6("t_raw").alias("t"))
+
+
+_BSH, _DSH = duck.shingles("benchmark", "item_id", "text"), duck.shingles("documents", "doc_id", "text")
+
+
+@query(
+    "benchmark_containment",
+    f"WITH b AS (SELECT DISTINCT k, shingle FROM ({_BSH})), x AS (SELECT DISTINCT k, shingle FROM ({_DSH})), n AS (SELECT k, count(*) AS n FROM b GROUP BY k) SELECT b.k AS item_id, x.k AS doc_id, round(count(*) / any_value(n), 6) AS containment FROM b JOIN x USING (shingle) JOIN n ON n.k = b.k GROUP BY b.k, x.k HAVING count(*) * 2 >= any_value(n)",
+)
+def benchmark_containment(spark, d):
+    """Pairs that share at least half an item's shingles, exactly."""
+    b = doc_shingles(spark, d, "benchmark", "item_id").distinct()
+    size = b.groupBy("item_id").agg(F.count("*").alias("n"))
+    x = doc_shingles(spark, d).join(b.select("shingle").distinct(), "shingle", "left_semi").distinct()
+    got = x.join(b, "shingle").groupBy("item_id", "doc_id").agg(F.count("*").alias("c")).join(size, "item_id")
+    return got.where("c * 2 >= n").select("item_id", "doc_id", r6(F.col("c") / F.col("n")).alias("containment"))
+
+
+@query("benchmark_containment_sketch")
+def benchmark_containment_sketch(spark, d):
+    """Containment from sketches: Jaccard times the union's cardinality over the item's, for pairs that share
+    a band of three registers."""
+    b = build.sketch(doc_shingles(spark, d, "benchmark", "item_id"), "shingle", ["item_id"], DOC).select(F.concat(F.lit("i"), F.col("item_id")).alias("key"), "bucket", "reg")
+    x = build.sketch(doc_shingles(spark, d), "shingle", ["doc_id"], DOC).select(F.concat(F.lit("d"), F.col("doc_id")).alias("key"), "bucket", "reg")
+    both = b.unionByName(x)
+    near = b.select(F.col("key").alias("b"), "bucket", "reg").join(x.select(F.col("key").alias("a"), "bucket", "reg"), ["bucket", "reg"]).groupBy("a", "b").count().where("count >= 3").select("a", "b")
+    got = pairwise_jaccard(both, "key", DOC, pairs=near)
+    cont = F.col("t") * (F.col("n") + F.col("m")) / (1 + F.col("t")) / F.col("m")
+    return got.select(F.col("b").alias("item"), F.col("a").alias("doc"), "c", r6("t").alias("t"), r6(cont).alias("containment")).where("containment >= 0.5")
+
+
+# ---- windows and streams
+
+_DAY = f"(SELECT date_trunc('day', ts)::DATE AS day, user_id::VARCHAR AS x FROM events)"
+_DSK = f"WITH sk AS ({duck.registers(_DAY, 'x', ['day'], MEDIUM)}), dd AS (SELECT DISTINCT day FROM sk)"
+
+
+def daily_users(spark, d) -> DataFrame:
+    return build.sketch(table(spark, d, "events").withColumn("day", F.col("ts").cast("date")), "user_id", ["day"], MEDIUM)
+
+
+for _name, _range in (("running_union_daily", None), ("sliding_7day_union", 6)):
+    _on = "sk.day <= dd.day" + (f" AND sk.day >= dd.day - {_range}" if _range is not None else "")
+
+    def _windows(spark, d, span=_range):
+        """A register counts for all later days, or for the next few: each register row is sent to the days
+        it covers as a maximum per day and bucket."""
+        sk = daily_users(spark, d)
+        days = sk.select(F.col("day").alias("on")).distinct()
+        on = (F.col("on") >= F.col("day")) if span is None else (F.col("on") >= F.col("day")) & (F.datediff("on", "day") <= span)
+        united = sk.join(F.broadcast(days), on).groupBy("on", "bucket").agg(F.max("reg").alias("reg"))
+        return cardinality(united, ["on"], MEDIUM).select(F.date_format("on", "yyyy-MM-dd").alias("day"), r6("est").alias("est"))
+
+    query(_name, f"{_DSK} SELECT strftime(day, '%Y-%m-%d') AS day, round({duck.estimate(MEDIUM)}, 6) AS est FROM (SELECT day, {duck.moments(MEDIUM)} FROM (SELECT dd.day AS day, bucket, max(reg) AS reg FROM dd JOIN sk ON {_on} GROUP BY dd.day, bucket) GROUP BY day)")(_windows)
+
+
+@query("top_similar_suppliers", f"{_SUPP}, e AS (SELECT a, b, round(c / n_filled, 6) AS t FROM pr), x AS (SELECT a AS supp, b AS other, t FROM e UNION ALL SELECT b, a, t FROM e) SELECT supp, rank, other, t FROM (SELECT *, row_number() OVER (PARTITION BY supp ORDER BY t DESC, other)::INTEGER AS rank FROM x) WHERE rank <= 3")
+def top_similar_suppliers(spark, d):
+    pairs = pairwise_jaccard(suppliers(spark, d, SMALL), "l_suppkey", SMALL).select("a", "b", r6("t_raw").alias("t"))
+    return top_similar(pairs, 3).withColumnRenamed("key", "supp")
+
+
+_STREAM = f"SELECT win, event_type, bucket, reg FROM ({duck.registers('(SELECT date_trunc(chr(100) || chr(97) || chr(121), ts)::TIMESTAMP AS win, event_type, user_id FROM events)', 'user_id::VARCHAR', ['win', 'event_type'], SMALL)})"
+
+
+@query("batch_window_sketch", f"SELECT strftime(win, '%Y-%m-%d') AS win, event_type, bucket, reg FROM ({_STREAM})")
+def batch_window_sketch(spark, d):
+    out = streams.stream_sketch(table(spark, d, "events"), "ts", "user_id", ["event_type"], SMALL)
+    return out.select(F.date_format("win", "yyyy-MM-dd").alias("win"), "event_type", "bucket", "reg")
+
+
+@query("stream_equals_batch", f"SELECT strftime(win, '%Y-%m-%d') AS win, event_type, bucket, reg FROM ({_STREAM})")
+def stream_equals_batch(spark, d):
+    """The same sketch from a file stream in micro-batches, merged by maximum."""
+    at = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    schema = table(spark, d, "events").schema
+    live = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("pathGlobFilter", "*events*").parquet(d) if not _is_folder(spark, f"{d}/events.parquet") else spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{d}/events.parquet")
+    out = streams.stream_sketch(live, "ts", "user_id", ["event_type"], SMALL, watermark="40 days")
+    streams.run_to_end(out, streams.merge_batch(f"{at}/table", []), f"{at}/checkpoint")
+    got = streams.read_merged(spark, f"{at}/table", ["win", "event_type"])
+    return got.select(F.date_format("win", "yyyy-MM-dd").alias("win"), "event_type", "bucket", "reg")
+
+
+def _is_folder(spark, path: str) -> bool:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(p).isDirectory()
+
+
+@query("stream_session_sketch")
+def stream_session_sketch(spark, d):
+    out = streams.session_sketch(table(spark, d, "events"), "ts", "user_id", "props", SMALL, "6 hours")
+    return out.select("user_id", "start", "bucket", "reg")
+
+
+# ---- advice
+
+CHOICES = [(0.1, 0.01, 1e19), (0.05, 0.1, 1e9), (0.1, 0.5, 1e12), (0.2, 0.05, 1e6)]
+
+
+@query(
+    "choose_params_table",
+    "SELECT eps, t, n, p, q, r, (q + r) * power(2, p) / 8 AS bytes FROM (SELECT eps, t, n, ceil(log2(1 / (eps * eps)))::INTEGER AS p, (floor(log2(6 / (eps * t))) + 1)::INTEGER AS r, greatest(2, ceil(log2(greatest(2.0, log2(n) - ceil(log2(1 / (eps * eps))) + 5))))::INTEGER AS q FROM (VALUES "
+    + ", ".join(f"({e}::DOUBLE, {t}::DOUBLE, {n}::DOUBLE)" for e, t, n in CHOICES)
+    + ") v(eps, t, n))",
+)
+def choose_params_table(spark, d):
+    rows = [(e, t, n, *[choose_params(e, t, n)[c] for c in ("p", "q", "r")], float(choose_params(e, t, n)["bytes"])) for e, t, n in CHOICES]
+    return spark.createDataFrame(rows, "eps double, t double, n double, p int, q int, r int, bytes double")
+
+
+@query("space_table")
+def space_table(spark, d):
+    rows = [(e, t, n, k, float(v)) for e, t, n in CHOICES for k, v in space_orders(e, t, n).items()]
+    return spark.createDataFrame(rows, "eps double, t double, n double, sketch string, bits double")
+
+
