@@ -65,5 +65,5 @@ def cnf_count(sk: DataFrame, clauses: list[list[str]], params: FrsParams, key: s
     ec = rest.agg(F.coalesce(F.sum(approx_collisions_col(F.col("n"), F.col("est"), params)), F.lit(0.0)).alias("ec_bound"))
     got = whole.join(F.broadcast(ec), F.lit(True))
     matches = F.col("c") - (F.col("ec_bound") if correction == "bound" else 0)
-    j = F.greatest(F.lit(0.0), matches / F.when(F.col("n_filled") > 0, F.col("n_filled")))
+    j = F.when(F.col("n_filled") > 0, F.greatest(F.lit(0.0), matches / F.greatest(F.col("n_filled"), F.lit(1))))
     return got.select("c", "n_filled", j.alias("j"), "ec_bound", "union_est", (j * F.col("union_est")).alias("est"))

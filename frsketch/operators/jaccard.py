@@ -47,7 +47,8 @@ def finish(df: DataFrame, params: FrsParams, correction: str = "none", denominat
         df = df.withColumn("t_raw", F.col("_t")).drop("_t")
     else:
         df = df.withColumn("t_raw", (F.col("c") - F.col("ec")) / base)
-    return df.withColumn("t", F.greatest(F.lit(0.0), F.least(F.lit(1.0), F.col("t_raw")))).withColumn("status", range_status(n, m, params))
+    clamped = F.when(F.col("t_raw").isNotNull(), F.greatest(F.lit(0.0), F.least(F.lit(1.0), F.col("t_raw"))))
+    return df.withColumn("t", clamped).withColumn("status", range_status(n, m, params))
 
 
 def side_moments(params: FrsParams, side: str, how: str = "lower") -> list[Column]:
