@@ -5,19 +5,22 @@ earlier in the same text) is repeated, and every byte of a repeated window goes.
 
 Sharding. Each window belongs to the leftmost minimum, under a fixed hash, of its ``GRAM``-byte strings
 (its anchor). Equal windows have equal anchors, so windows are only ever compared with those of the
-same anchor string, and consecutive windows with one anchor travel as one row (about 1 row for 39
-bytes, 24 bytes each). Three reductions come before any text moves, and all combine before the shuffle:
+same anchor string, and consecutive windows with one anchor travel as one row (about 1 row for 35
+bytes, four numbers each). Three reductions come before any text moves:
 
-1. anchor strings that occur once are dropped;
+1. anchor strings that occur once are dropped in the map task, by a filter of fixed size
+   (``FILTER_BITS``; where more strings repeat than it can tell apart, it only lets more rows pass);
 2. rows whose whole context (anchor offset and all bytes of their windows) is equal are one class; all
    but its first are repeated as they stand;
 3. the first rows of anchor strings with several classes are cut into runs of up to ``RUN`` windows,
-   keyed by the bytes that all windows of the run share. Equal runs are one class, as before.
+   keyed by the bytes that all windows of the run share, its core. Equal runs are one class, as before.
 
-What is left are runs that share their core and differ at an end. Their bytes are laid end to end and
-sorted by the suffix array of ``lyndon``; neighbours of equal first ``LENGTH`` bytes form a group whose
-first window stays. Keys with more than ``HOT`` different runs (an end of a passage that very many
-texts share) are cut into single windows and grouped as such, so no shard grows with the data.
+What is left are runs that share their core and differ at an end. Each is spelt as the bytes before the
+core, one symbol for the core, and the bytes after it, so a window is always ``RUN`` symbols. The runs of
+a shard are laid end to end and sorted by the suffix array of ``lyndon``; neighbours of equal first
+``RUN`` symbols form a group whose first window stays. Cores with more than ``HOT`` different runs (an
+end of a passage that very many texts share) are cut into single windows and grouped as such, so no
+shard grows with the data. All steps combine equal rows before their shuffle.
 
 Null texts are empty. Ids should be unique: rows that share an id count as one text at the same place
 and get the same spans. Rows without an id keep their text and remove nothing. An empty table gives an
@@ -40,11 +43,12 @@ from frsketch.llm.shared import drop_stored, stored
 
 LENGTH = 100
 GRAM = 24
-RUN = 8
+RUN = 16
 HOT = 256
+FILTER_BITS = 27
 PLACE_BITS = 28
-PIECE = 1 << 24  # bytes searched together
-SORTED = 100_000  # bytes a suffix array
+PIECE = 1 << 18  # bytes searched together
+SORTED = 50_000  # symbols a suffix array
 
 
 def hashes(buf: np.ndarray, gram: int) -> np.ndarray:
@@ -111,11 +115,20 @@ def pieces(texts: list[str | None], most: int = PIECE):
         yield group
 
 
-def anchor_frame(docs: DataFrame, id_kind: str, contexts: bool) -> DataFrame:
-    """k (anchor hash) of every run of windows of docs (id, text); with ``contexts`` also c (hash of its
-    context), id, a (anchor), lo (first window) and n (windows)."""
+def filter_cells(h: np.ndarray) -> list[np.ndarray]:
+    """Two bit positions of every hash in the filter."""
+    top = np.uint64(64 - FILTER_BITS)
+    with np.errstate(over="ignore"):
+        return [((h * np.uint64(c)) >> top).astype(np.int64) for c in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)]
+
+
+def anchor_frame(docs: DataFrame, id_kind: str, wanted=None) -> DataFrame:
+    """k (anchor hash) of every run of windows of docs (id, text). With ``wanted``, a broadcast filter, of
+    the runs that pass it: k, c (hash of the context), id and at (first window, anchor offset and
+    number of windows in one number, see ``unpacked``)."""
 
     def run(batches):
+        bits = None if wanted is None else np.frombuffer(wanted.value, dtype=np.uint8)
         for b in batches:
             keys, texts = b.column(0), b.column(1).to_pylist()
             for group in pieces(texts):
@@ -123,10 +136,14 @@ def anchor_frame(docs: DataFrame, id_kind: str, contexts: bool) -> DataFrame:
                 ends = np.cumsum(size)
                 buf = b"".join([p for _, _, p in group])
                 a, lo, n, h = anchor_runs(np.frombuffer(buf, dtype=np.uint8), ends - size, ends)
+                if bits is not None and len(a):
+                    x, y = filter_cells(h)
+                    keep = (bits[x >> 3] >> (x & 7).astype(np.uint8) & bits[y >> 3] >> (y & 7).astype(np.uint8) & 1) == 1
+                    a, lo, n, h = a[keep], lo[keep], n[keep], h[keep]
                 if not len(a):
                     continue
                 k = pa.array(h.view(np.int64))
-                if not contexts:
+                if bits is None:
                     yield pa.RecordBatch.from_arrays([k], ["k"])
                     continue
                 digest = xxhash.xxh64_intdigest
@@ -134,41 +151,58 @@ def anchor_frame(docs: DataFrame, id_kind: str, contexts: bool) -> DataFrame:
                 text = np.searchsorted(ends, lo, side="right")
                 shift = np.fromiter((o for _, o, _ in group), np.int64, len(group))[text] - (ends - size)[text]
                 row = np.fromiter((r for r, _, _ in group), np.int64, len(group))[text]
-                yield pa.RecordBatch.from_arrays([k, pa.array(c.view(np.int64)), keys.take(pa.array(row)), pa.array(a + shift), pa.array(lo + shift), pa.array(n.astype(np.int32))], ["k", "c", "id", "a", "lo", "n"])
+                at = (lo + shift) << 14 | (a - lo) << 7 | n
+                yield pa.RecordBatch.from_arrays([k, pa.array(c.view(np.int64)), keys.take(pa.array(row)), pa.array(at)], ["k", "c", "id", "at"])
 
-    schema = f"k long, c long, id {id_kind}, a long, lo long, n int" if contexts else "k long"
-    return docs.select("id", "text").mapInArrow(run, schema)
+    return docs.select("id", "text").mapInArrow(run, f"k long, c long, id {id_kind}, at long" if wanted is not None else "k long")
 
 
-def settled(df: DataFrame, name: str) -> DataFrame:
-    """``stored``, then lets the JVM drop the shuffle files of what led to it."""
-    out = stored(df, name)
-    del df
-    gc.collect()
-    out.sparkSession.sparkContext._jvm.System.gc()
-    return out
+def unpacked(df: DataFrame) -> DataFrame:
+    """(id, a, lo, n) of ``at``: anchor, first window, windows."""
+    lo = F.shiftright("at", 14)
+    return df.select("id", (lo + F.shiftright("at", 7).bitwiseAND(F.lit(127))).alias("a"), lo.alias("lo"), F.col("at").bitwiseAND(F.lit(127)).cast("int").alias("n"))
 
 
-def first_of(rows: DataFrame, keys: list[str], also: list[str]) -> DataFrame:
-    """The first row (by id, lo) of each class, with the number of rows."""
-    got = rows.groupBy(*keys).agg(F.min(F.struct("id", "lo", *also)).alias("f"), F.count("*").alias("m"))
-    return got.select(*keys, "f.*", "m")
+def repeat_filter(ks: DataFrame) -> bytes:
+    """The filter of the anchor hashes that occur more than once; 2**FILTER_BITS bits whatever the input."""
+    def run(batches):
+        for b in batches:
+            h = np.asarray(b.column(0)).view(np.uint64)
+            cells = np.concatenate(filter_cells(h))
+            word, bit = cells >> 6, cells & 63
+            kind, first = np.unique(word, return_inverse=True)
+            got = np.zeros(len(kind), dtype=np.uint64)
+            np.bitwise_or.at(got, first, np.uint64(1) << bit.astype(np.uint64))
+            yield pa.RecordBatch.from_arrays([pa.array(kind), pa.array(got.view(np.int64))], ["w", "bits"])
+
+    twice = ks.groupBy("k").agg(F.count("*").alias("m")).where("m > 1").select("k")
+    words = twice.mapInArrow(run, "w long, bits long").groupBy("w").agg(F.bit_or("bits").alias("bits")).toArrow()
+    out = np.zeros(1 << (FILTER_BITS - 6), dtype=np.int64)
+    if words.num_rows:
+        out[words.column("w").to_numpy()] = words.column("bits").to_numpy()
+    return out.tobytes()
+
+
+def tidy(spark) -> None:
+    """Lets the JVM drop the shuffle files of plans that nothing refers to any more."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
-def others(rows: DataFrame, firsts: DataFrame, keys: list[str]) -> DataFrame:
-    """(id, lo, n) of the rows that are not their class's first."""
-    f = firsts.where("m > 1").select(*keys, F.col("id").alias("id1"), F.col("lo").alias("lo1"))
-    got = rows.join(f, keys)
-    return got.where((F.col("id") != F.col("id1")) | (F.col("lo") != F.col("lo1"))).select("id", "lo", "n")
+def others(rows: DataFrame, keys: list[str], place: str, also: list[str]) -> DataFrame:
+    """(id, *also) of the rows that are not the first, by id and place, of those with equal keys."""
+    first = rows.groupBy(*keys).agg(F.min(F.struct("id", place)).alias("f"), F.count("*").alias("m")).where("m > 1").select(*keys, F.col("f.id").alias("id1"), F.col(f"f.{place}").alias("place1"))
+    got = rows.join(first, keys)
+    return got.where((F.col("id") != F.col("id1")) | (F.col(place) != F.col("place1"))).select("id", *also)
 
 
-def run_frame(docs: DataFrame, wanted: DataFrame, id_kind: str) -> DataFrame:
-    """The wanted runs of windows (id, a, lo, n), cut at multiples of ``RUN`` from the anchor, with
-    their bytes: k (hash of what all windows of the cut share), c (hash of all), id, lo, n, ctx."""
+def cut_frame(docs: DataFrame, wanted: DataFrame, id_kind: str) -> DataFrame:
+    """The wanted runs (id, a, lo, n), cut at multiples of ``RUN`` from the anchor: k1, k2 (hash of the
+    core), before, after (the bytes on both sides of it), id, lo, n."""
     lists = wanted.groupBy("id").agg(F.collect_list(F.struct("a", "lo", "n")).alias("runs"))  # bounded by the text
 
     def run(batches):
-        digest = xxhash.xxh64_intdigest
+        digest = xxhash.xxh3_128_digest
         for b in batches:
             ids, out = b.column(0), []
             for r, (text, runs) in enumerate(zip(b.column(1).to_pylist(), b.column(2).to_pylist())):
@@ -177,9 +211,9 @@ def run_frame(docs: DataFrame, wanted: DataFrame, id_kind: str) -> DataFrame:
                     a, lo, n = x["a"], x["lo"], x["n"]
                     for g in range((a - lo - n + 1) // RUN, (a - lo) // RUN + 1):
                         last = a - g * RUN
+                        end = last - RUN + 1 + LENGTH
                         s0, s1 = max(lo, last - RUN + 1), min(lo + n - 1, last)
-                        ctx = raw[s0 : s1 + LENGTH]
-                        out.append((digest(raw[last : last - RUN + 1 + LENGTH], g), digest(ctx, last - s0), r, s0, s1 - s0 + 1, ctx))
+                        out.append((digest(raw[last:end], g), raw[s0:last], raw[end : s1 + LENGTH], r, s0, s1 - s0 + 1))
                 if len(out) > 50_000:
                     yield rows_of(ids, out)
                     out = []
@@ -187,39 +221,44 @@ def run_frame(docs: DataFrame, wanted: DataFrame, id_kind: str) -> DataFrame:
                 yield rows_of(ids, out)
 
     def rows_of(ids, out):
-        k, c, r, s, n, ctx = zip(*out)
-        signed = [pa.array(np.array(x, dtype=np.uint64).view(np.int64)) for x in (k, c)]
-        return pa.RecordBatch.from_arrays([*signed, ids.take(pa.array(r)), pa.array(s, pa.int64()), pa.array(n, pa.int32()), pa.array(ctx, pa.binary())], ["k", "c", "id", "lo", "n", "ctx"])
+        k, before, after, r, s, n = zip(*out)
+        k = np.frombuffer(b"".join(k), dtype="<i8").reshape(-1, 2)
+        return pa.RecordBatch.from_arrays([pa.array(k[:, 0]), pa.array(k[:, 1]), pa.array(before, pa.binary()), pa.array(after, pa.binary()), ids.take(pa.array(r)), pa.array(s, pa.int64()), pa.array(n, pa.int32())], ["k1", "k2", "before", "after", "id", "lo", "n"])
 
-    return docs.select("id", "text").join(lists, "id").select("id", "text", "runs").mapInArrow(run, f"k long, c long, id {id_kind}, lo long, n int, ctx binary")
+    schema = f"k1 long, k2 long, before binary, after binary, id {id_kind}, lo long, n int"
+    return docs.select("id", "text").join(lists, "id").select("id", "text", "runs").mapInArrow(run, schema)
 
 
-def repeated_windows(contexts: list[tuple[object, int, int, bytes]]) -> list[tuple[int, int]]:
-    """(context, window in it) of every window of the contexts (id, lo, n, bytes) that an earlier one
-    equals, by the suffix array of all the bytes."""
+def repeated_windows(runs: list[tuple[int, bytes, bytes, object, int, int]]) -> list[tuple[int, int]]:
+    """(run, window in it) of every window of the runs (core's number, before, after, id, lo, n) that an
+    earlier one equals, by the suffix array of all of them."""
     t: list[int] = []
     owner: list[int] = []
-    at: list[int] = []
-    for k, (_, _, n, ctx) in enumerate(contexts):
-        owner += [k] * n + [-1] * (len(ctx) + 1 - n)
-        at += range(len(ctx) + 1)
-        t += [x + 2 for x in ctx]
+    for k, (core, before, after, _, _, n) in enumerate(runs):
+        owner += [k] * n + [-1] * (len(before) + len(after) + 2 - n)
+        t += [x + 2 for x in before]
+        t.append(258 + core)
+        t += [x + 2 for x in after]
         t.append(1)
     t.append(0)
-    whole = b"\0".join([c[3] for c in contexts])
-    order = [s for s in suffix_array(t)[1:] if owner[s] >= 0]
+    begin, at = [], 0
+    for _, before, after, *_ in runs:
+        begin.append(at)
+        at += len(before) + len(after) + 2
     out: list[tuple[int, int]] = []
     group: list[int] = []
-    head = b""
+    head: list[int] = []
 
     def close():
         if len(group) > 1:
-            found = [(contexts[owner[s]][0], contexts[owner[s]][1] + at[s], s) for s in group]
+            found = [(runs[owner[s]][3], runs[owner[s]][4] + s - begin[owner[s]], s) for s in group]
             least = min(f[:2] for f in found)
-            out.extend((owner[s], at[s]) for i, p, s in found if (i, p) != least)
+            out.extend((owner[s], s - begin[owner[s]]) for i, p, s in found if (i, p) != least)
 
-    for s in order:
-        w = whole[s : s + LENGTH]
+    for s in suffix_array(t)[1:]:
+        if owner[s] < 0:
+            continue
+        w = t[s : s + RUN]
         if w != head:
             close()
             group, head = [], w
@@ -228,65 +267,78 @@ def repeated_windows(contexts: list[tuple[object, int, int, bytes]]) -> list[tup
     return out
 
 
-def sorted_frame(firsts: DataFrame, id_kind: str) -> DataFrame:
-    """(id, lo, n) of the repeated windows among runs of equal k, shard by shard."""
+def sorted_frame(shards: DataFrame, id_kind: str) -> DataFrame:
+    """(id, lo, n) of the repeated windows among runs of equal core."""
 
     def run(batches):
-        held: list[tuple[object, int, int, bytes]] = []
-        size, last = 0, None
+        held: list[tuple] = []
+        size, last, core = 0, None, 0
+        id_type = None
 
         def flush():
             got = repeated_windows(held)
-            if not got:
-                return None
-            return pa.RecordBatch.from_arrays([pa.array([held[k][0] for k, _ in got], id_type), pa.array([held[k][1] + p for k, p in got], pa.int64()), pa.array([1] * len(got), pa.int32())], ["id", "lo", "n"])
+            if got:
+                yield pa.RecordBatch.from_arrays([pa.array([held[k][3] for k, _ in got], id_type), pa.array([held[k][4] + p for k, p in got], pa.int64()), pa.array([1] * len(got), pa.int32())], ["id", "lo", "n"])
 
         for b in batches:
-            id_type = b.column(1).type
-            for k, *row in zip(*[c.to_pylist() for c in b.columns]):
-                if k != last and size > SORTED:
-                    if (x := flush()) is not None:
-                        yield x
-                    held, size = [], 0
-                last = k
-                held.append(tuple(row))
-                size += len(row[3]) + 1
-        if held and (x := flush()) is not None:
-            yield x
-
-    parts = firsts.repartition("k").sortWithinPartitions("k", "id", "lo")
-    return parts.select("k", "id", "lo", "n", "ctx").mapInArrow(run, f"id {id_kind}, lo long, n int")
-
-
-def single_windows(firsts: DataFrame) -> DataFrame:
-    """(id, lo, n) of the repeated windows of runs under crowded keys, one row a window."""
-    each = firsts.select("id", "lo", "ctx", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("i"))
-    each = each.select("id", (F.col("lo") + F.col("i")).alias("lo"), F.expr(f"substring(ctx, i + 1, {LENGTH})").alias("w"), F.lit(1).alias("n"))
-    return others(each, first_of(each, ["w"], []), ["w"])
+            id_type = b.column(4).type
+            for k1, k2, *row in zip(*[c.to_pylist() for c in b.columns]):
+                if (k1, k2) != last:
+                    if size > SORTED:
+                        yield from flush()
+                        held, size, core = [], 0, 0
+                    last, core = (k1, k2), core + 1
+                held.append((core, *row))
+                size += len(row[0]) + len(row[1]) + 2
+        if held:
+            yield from flush()
+
+    parts = shards.repartition("k1", "k2").sortWithinPartitions("k1", "k2")
+    return parts.select("k1", "k2", "before", "after", "id", "lo", "n").mapInArrow(run, f"id {id_kind}, lo long, n int")
+
+
+def single_windows(shards: DataFrame) -> DataFrame:
+    """(id, lo, n) of the repeated windows of runs under crowded cores, one row a window."""
+    each = shards.select("k1", "k2", "before", "after", "id", "lo", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("i"))
+    left = F.expr("substring(before, i + 1, length(before))")
+    each = each.select("k1", "k2", left.alias("x"), "after", "id", (F.col("lo") + F.col("i")).alias("lo"), F.lit(1).alias("n"))
+    each = each.select("k1", "k2", "x", F.expr(f"substring(after, 1, {RUN - 1} - length(x))").alias("y"), "id", "lo", "n")
+    return others(each, ["k1", "k2", "x", "y"], "lo", ["lo", "n"])
 
 
 def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, lo, n): windows lo .. lo + n - 1 of the text are repeated. Rows may overlap."""
+    spark = docs.sparkSession
     kind = docs.schema[id_col].dataType.simpleString()
     rows = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    twice = anchor_frame(rows, kind, False).groupBy("k").agg(F.count("*").alias("m")).where("m > 1").select("k")
-    runs = settled(anchor_frame(rows, kind, True).join(twice, "k", "left_semi"), "runs")
-    classes = settled(first_of(runs, ["k", "c"], ["a", "n"]), "classes")
-    found = [settled(others(runs, classes, ["k", "c"]), "repeats")]
+    wanted = spark.sparkContext.broadcast(repeat_filter(anchor_frame(rows, kind)))
+    tidy(spark)
+    runs = stored(anchor_frame(rows, kind, wanted), "runs")
+    found = [unpacked(stored(others(runs, ["k", "c"], "at", ["at"]), "repeats")).select("id", "lo", "n")]
+    tidy(spark)
+    classes = stored(runs.groupBy("k", "c").agg(F.min(F.struct("id", "at")).alias("f")).select("k", "f.id", "f.at"), "classes")
     drop_stored(runs)
+    tidy(spark)
     several = classes.groupBy("k").agg(F.count("*").alias("m")).where("m > 1").select("k")
-    wanted = classes.join(several, "k", "left_semi").select("id", "a", "lo", "n")
-    cuts = settled(run_frame(rows, wanted, kind), "cuts")
+    first = stored(unpacked(classes.join(several, "k", "left_semi")), "firsts")
     drop_stored(classes)
-    firsts = settled(first_of(cuts, ["k", "c"], ["n", "ctx"]), "firsts")
-    found.append(settled(others(cuts.select("k", "c", "id", "lo", "n"), firsts.select("k", "c", "id", "lo", "m"), ["k", "c"]), "repeats"))
+    tidy(spark)
+    cuts = stored(cut_frame(rows, first, kind), "cuts")
+    drop_stored(first)
+    tidy(spark)
+    spelt = ["k1", "k2", "before", "after"]
+    found.append(stored(others(cuts, spelt, "lo", ["lo", "n"]), "repeats"))
+    least = cuts.groupBy(*spelt).agg(F.min(F.struct("id", "lo", "n")).alias("f")).select(*spelt, "f.*")
+    least = stored(least, "spelt")
     drop_stored(cuts)
-    shared = firsts.groupBy("k").agg(F.count("*").alias("different")).where("different > 1")
-    left = settled(firsts.drop("m").join(shared, "k"), "shards")
-    drop_stored(firsts)
-    found.append(settled(sorted_frame(left.where(F.col("different") <= HOT), kind), "repeats"))
-    found.append(settled(single_windows(left.where(F.col("different") > HOT)), "repeats"))
-    drop_stored(left)
+    shared = least.groupBy("k1", "k2").agg(F.count("*").alias("different")).where("different > 1")
+    shards = stored(least.join(shared, ["k1", "k2"]), "shards")
+    drop_stored(least)
+    tidy(spark)
+    found.append(stored(sorted_frame(shards.where(F.col("different") <= HOT), kind), "repeats"))
+    found.append(stored(single_windows(shards.where(F.col("different") > HOT)), "repeats"))
+    drop_stored(shards)
+    tidy(spark)
     out = found[0]
     for f in found[1:]:
         out = out.unionByName(f)
