@@ -108,6 +108,36 @@ def _values(rows: list[tuple[str, str, str]]) -> str:
     return ", ".join(f"('{h}', '{p}', '{a}')" for h, p, a in rows)
 
 
+def _licence_sql() -> str:
+    from frsketch.llm.license_scan import LEAST, SPLIT, TEMPLATES
+
+    def terms(text: str) -> str:
+        return f"list_filter(list_transform(regexp_split_to_array(lower({text}), '{SPLIT}'), lambda x: trim(x, '.-')), lambda x: x <> '')"
+
+    rows = ", ".join(f"('{n}', '{t}')" for n, t in TEMPLATES.items())
+    return f"""
+WITH d AS (SELECT doc_id, concat_ws('/', source, lang, doc_id::VARCHAR) AS path, concat_ws('/', source, lang) AS dir, coalesce(text, '') AS text FROM documents),
+n AS (SELECT count(*) AS n FROM d),
+tt AS (SELECT name, unnest({terms('text')}) AS term FROM (VALUES {rows}) v(name, text)),
+vocab AS (SELECT DISTINCT term FROM tt),
+df AS (SELECT term, count(*) AS df FROM (SELECT DISTINCT doc_id, unnest({terms('text')}) AS term FROM d) SEMI JOIN vocab USING (term) GROUP BY term),
+idf AS (SELECT term, ln((1 + n) / (1 + coalesce(df, 0))) + 1 AS idf FROM vocab LEFT JOIN df USING (term), n),
+tw AS (SELECT name, term, count(*) * any_value(idf) AS w FROM tt JOIN idf USING (term) GROUP BY name, term),
+tn AS (SELECT name, term, w / sqrt(sum(w * w) OVER (PARTITION BY name)) AS weight FROM tw),
+ls AS (SELECT doc_id, i AS line, {terms("string_split(text, chr(10))[i]")} AS terms FROM (SELECT doc_id, text, unnest(range(1, len(string_split(text, chr(10))) + 1)) AS i FROM d)),
+tf AS (SELECT doc_id, line, len(terms) AS n, term, count(*) AS tf FROM (SELECT doc_id, line, terms, unnest(terms) AS term FROM ls WHERE list_has_any(terms, (SELECT list(term) FROM vocab))) GROUP BY ALL),
+w AS (SELECT tf.*, tf * coalesce(idf, (SELECT ln(1 + n) + 1 FROM n)) AS w FROM tf LEFT JOIN idf USING (term)),
+nm AS (SELECT doc_id, line, n, sqrt(sum(w * w)) AS norm FROM w GROUP BY ALL),
+hit AS (SELECT doc_id, line, n, name, round(dot / norm, 9) AS cosine FROM (SELECT doc_id, line, name, sum(w * weight) AS dot FROM w JOIN tn USING (term) GROUP BY ALL) JOIN nm USING (doc_id, line) WHERE round(dot / norm, 9) >= {LEAST}),
+ln_ AS (SELECT doc_id, line, n, max(cosine) AS cosine, first(name ORDER BY cosine DESC, name) AS name FROM hit GROUP BY doc_id, line, n),
+own AS (SELECT doc_id, first(name ORDER BY cosine DESC, name) AS own, max(cosine) AS cosine, count(*) AS n_lines, sum(n) AS terms_in FROM ln_ GROUP BY doc_id),
+g AS (SELECT d.doc_id, path, dir, own, cosine, n_lines, own IS NOT NULL AND terms_in >= 0.5 * len({terms('text')}) AS speaks FROM d LEFT JOIN own USING (doc_id)),
+sp AS (SELECT dir, first(own ORDER BY cosine DESC, own) AS said FROM g WHERE speaks GROUP BY dir),
+up AS (SELECT dir, k AS depth, array_to_string(string_split(dir, '/')[1:k], '/') AS above FROM (SELECT DISTINCT dir FROM g), range(0, 3) r(k)),
+near AS (SELECT up.dir, first(said ORDER BY depth DESC) AS said, first(above ORDER BY depth DESC) AS from_dir FROM up JOIN sp ON sp.dir = above GROUP BY up.dir)
+SELECT doc_id, path, own, cosine, coalesce(n_lines, 0) AS n_lines, coalesce(own, said) AS licence, CASE WHEN own IS NULL THEN from_dir END AS from_dir FROM g LEFT JOIN near USING (dir)"""
+
+
 ORACLE_SQL: dict[str, str] = {
     "op3_url_rules": f"""
 WITH entry(eh, ep, act, kind) AS (
@@ -123,4 +153,5 @@ WITH entry(eh, ep, act, kind) AS (
   GROUP BY ALL
 )
 SELECT page_id, host, path, CASE WHEN best.k = 1 THEN best.e END AS rule, coalesce(best.a, 'allow') AS verdict FROM fit""",
+    "op7_licences": _licence_sql(),
 }
