@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from frsketch.functions import collisions as coll
 from frsketch.functions.hashing import element_key
+from frsketch.functions.sql import register_functions, register_udtf
 from frsketch.functions.text import strip_html, word_shingles
 from frsketch.operators import baselines as base
 from frsketch.operators import build, exact, measures, simulate
@@ -20,6 +21,7 @@ from frsketch.operators.advisor import choose_params, space_orders
 from frsketch.operators.boolean import cnf_count
 from frsketch.operators.cardinality import cardinality, loglog, superloglog, union_cardinality
 from frsketch.operators.jaccard import intersection_cardinality, pairwise_jaccard
+from frsketch.operators import temporal
 from frsketch.operators.similar_pairs import similar_pairs, top_similar
 from frsketch.params import MEDIUM, SMALL, FrsParams
 from frsketch.plans import duck
@@ -722,6 +724,52 @@ def stream_session_sketch(spark, d):
     return out.select("user_id", "start", "bucket", "reg")
 
 
+@query("day_over_day_jaccard", f"{_DSK.replace('WITH sk AS', 'WITH s0 AS')}, pp AS (SELECT lag(day) OVER (ORDER BY day) AS a, day AS b FROM dd), f AS (SELECT day, count(*) AS f FROM s0 GROUP BY day) SELECT strftime(pp.a, '%Y-%m-%d') AS a, strftime(pp.b, '%Y-%m-%d') AS b, round(count(*) FILTER (x.reg = y.reg) / (any_value(fa.f) + any_value(fb.f) - count(*)), 6) AS t FROM pp JOIN s0 x ON x.day = pp.a JOIN s0 y ON y.day = pp.b AND y.bucket = x.bucket JOIN f fa ON fa.day = pp.a JOIN f fb ON fb.day = pp.b GROUP BY pp.a, pp.b".replace("FROM sk)", "FROM s0)"))
+def day_over_day_jaccard(spark, d):
+    got = temporal.consecutive_jaccard(daily_users(spark, d), "day", MEDIUM)
+    return got.select(*[F.date_format(c, "yyyy-MM-dd").alias(c) for c in ("a", "b")], r6("t_raw").alias("t"))
+
+
+_ONEDAY = "(SELECT user_id, date_trunc('day', ts)::DATE AS day, max(event_id) AS last_event FROM events GROUP BY ALL)"
+
+
+@query("asof_last_event", f"SELECT o.o_custkey AS user_id, count(*) AS n, count(last_event) AS matched, sum(last_event)::BIGINT AS total FROM (SELECT o_custkey, DATE '2024-01-01' + (o_orderkey % 40)::INTEGER AS at FROM orders WHERE o_custkey <= 150) o ASOF LEFT JOIN {_ONEDAY} e ON o.o_custkey = e.user_id AND o.at >= e.day GROUP BY 1")
+def asof_last_event(spark, d):
+    days = table(spark, d, "events").groupBy("user_id", F.col("ts").cast("date").alias("day")).agg(F.max("event_id").alias("last_event"))
+    o = table(spark, d, "orders").where("o_custkey <= 150").select(F.col("o_custkey").alias("user_id"), F.date_add(F.lit("2024-01-01").cast("date"), (F.col("o_orderkey") % 40).cast("int")).alias("at"))
+    got = temporal.as_of(o, "at", days, "day", ["user_id"], ["last_event"])
+    return got.groupBy("user_id").agg(F.count("*").alias("n"), F.count("last_event").alias("matched"), F.sum("last_event").alias("total"))
+
+
+@query("interval_window_sketch", f"WITH w AS (SELECT i AS id, TIMESTAMP '2024-01-01' + INTERVAL (i * 60) HOUR AS s, TIMESTAMP '2024-01-01' + INTERVAL (i * 60 + 100) HOUR AS e FROM range(0, 10) r(i)) SELECT id, bucket, reg FROM ({duck.registers('(SELECT w.id, user_id FROM events JOIN w ON ts >= s AND ts < e)', 'user_id::VARCHAR', ['id'], SMALL)})")
+def interval_window_sketch(spark, d):
+    w = spark.range(10).select("id", *[F.expr(f"timestamp_ntz'2024-01-01 00:00:00' + make_dt_interval(0, cast(id * 60 + {h} as int))").alias(c) for c, h in (("s", 0), ("e", 100))])
+    hit = temporal.interval_join(table(spark, d, "events").select("ts", "user_id"), "ts", w, "s", "e")
+    return build.sketch(hit, "user_id", ["id"], SMALL)
+
+
+@query("pivot_distinct_by_type", "SELECT strftime(date_trunc('week', ts), '%Y-%m-%d') AS week, count(DISTINCT user_id) FILTER (event_type = 'click') AS click, count(DISTINCT user_id) FILTER (event_type = 'view') AS view_ FROM events GROUP BY 1")
+def pivot_distinct_by_type(spark, d):
+    e = table(spark, d, "events").withColumn("week", F.date_format(F.date_trunc("week", F.col("ts").cast("timestamp")), "yyyy-MM-dd"))
+    got = e.groupBy("week").pivot("event_type", ["click", "view"]).agg(F.count_distinct("user_id"))
+    return got.select("week", F.coalesce("click", F.lit(0)).alias("click"), F.coalesce("view", F.lit(0)).alias("view_"))
+
+
+@query("sql_functions", f"SELECT o_orderpriority AS k, bucket, reg >> 4 AS e, 15 - (reg & 15) AS m, round({duck.decode('reg', SMALL)}, 9) AS v FROM ({duck.registers('orders', CUST, ['o_orderpriority'], SMALL)})")
+def sql_functions(spark, d):
+    register_functions(spark)
+    sk = priorities(spark, d)
+    return sk.select(F.col("o_orderpriority").alias("k"), "bucket", F.expr("frs_exponent(reg, 4)").alias("e"), F.expr("frs_mantissa(reg, 4)").alias("m"), F.round(F.expr("frs_decode(reg, 4, 4)"), 9).alias("v"))
+
+
+@query("packed_table_function", f"SELECT o_orderpriority AS k, bucket, reg FROM ({duck.registers('orders', CUST, ['o_orderpriority'], SMALL)})")
+def packed_table_function(spark, d):
+    register_udtf(spark)
+    packed = build.to_packed(priorities(spark, d), SMALL, ["o_orderpriority"]).withColumnRenamed("o_orderpriority", "k")
+    packed.createOrReplaceTempView("frs_packed_priorities")
+    return spark.sql(f"SELECT k, r.bucket, r.reg FROM frs_packed_priorities, LATERAL frs_registers(regs, {build.register_bytes(SMALL)}) r")
+
+
 # ---- advice
 
 CHOICES = [(0.1, 0.01, 1e19), (0.05, 0.1, 1e9), (0.1, 0.5, 1e12), (0.2, 0.05, 1e6)]
