@@ -24,8 +24,9 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def simhash(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near copies stays, the one of the smallest id."""
-    keep = near_duplicates(docs).where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
+    """One document of each class of near copies stays, the one of the smallest id. Shingles of five words;
+    4 of 64 bits stand for a similarity of about 0.95, above the 0.8 that near copies have at least."""
+    keep = near_duplicates(docs, most=4, width=5).where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
     return docs.join(keep, "doc_id", "left_semi").select(*docs.columns)
 
 
