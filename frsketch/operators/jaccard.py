@@ -61,6 +61,8 @@ def jaccard(a: DataFrame, b: DataFrame, params: FrsParams, by: list[str] | None
     both sides are laid over each other and grouped by bucket; every moment comes from that one pass."""
     check_same(a, b)
     by = by or []
+    if clash := {"c", "n_filled", "n", "m", "ec", "t_raw", "t", "status", "ra", "rb", "bucket"} & set(by):
+        raise ValueError(f"key columns named like results: {sorted(clash)}")
     both = a.select(*by, "bucket", F.col("reg").alias("ra"), F.lit(None).cast("int").alias("rb")).unionByName(b.select(*by, "bucket", F.lit(None).cast("int").alias("ra"), F.col("reg").alias("rb")))
     cells = both.groupBy(*by, "bucket").agg(F.max("ra").alias("ra"), F.max("rb").alias("rb"))
     got = cells.groupBy(*by).agg(F.count_if(F.col("ra") == F.col("rb")).alias("c"), F.count("*").alias("n_filled"), *side_moments(params, "ra"), *side_moments(params, "rb"))

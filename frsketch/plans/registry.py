@@ -20,7 +20,7 @@ from frsketch.operators import build, exact, measures, simulate
 from frsketch.operators.advisor import choose_params, space_orders
 from frsketch.operators.boolean import cnf_count
 from frsketch.operators.cardinality import cardinality, loglog, superloglog, union_cardinality
-from frsketch.operators.jaccard import intersection_cardinality, pairwise_jaccard
+from frsketch.operators.jaccard import intersection_cardinality, jaccard, pairwise_jaccard
 from frsketch.operators import temporal
 from frsketch.operators.similar_pairs import similar_pairs, top_similar
 from frsketch.params import MEDIUM, SMALL, FrsParams
@@ -515,6 +515,29 @@ def fig6_hash_sweep(spark, d):
 
 
 
+_FT = ", ".join(f"{t!r}::DOUBLE" for t in (0.1, 0.25, 0.5, 0.9))
+_FIT = f"""WITH n AS (SELECT (max(o_orderkey) + 1) // 2 AS n FROM orders), ts AS (SELECT unnest([{_FT}]) AS t),
+b AS (SELECT t, n, round(2 * n * t / (1 + t))::BIGINT AS s FROM ts, n),
+x AS (SELECT t, 'a' AS side, o_orderkey FROM orders JOIN b ON o_orderkey < n UNION ALL SELECT t, 'b', o_orderkey FROM orders JOIN b ON o_orderkey >= n - s AND o_orderkey < 2 * n - s),
+k AS ({duck.registers('x', 'o_orderkey::VARCHAR', ['t', 'side'], SMALL)}),
+c AS (SELECT t, bucket, max(reg) FILTER (side = 'a') AS ra, max(reg) FILTER (side = 'b') AS rb FROM k GROUP BY t, bucket)
+SELECT t, count(*) FILTER (ra = rb) AS c, count(*) AS n_filled FROM c GROUP BY t"""
+
+
+@query("fig6_order_ranges", _FIT)
+def fig6_order_ranges(spark, d):
+    """Order keys below n and from n - s on, of known Jaccard t: one real hash, one row for each t."""
+    o = table(spark, d, "orders").select("o_orderkey")
+    n = F.lit((o.agg(F.max("o_orderkey")).first()[0] + 1) // 2)
+    rows = o.withColumn("level", F.explode(F.array(*[F.lit(t) for t in (0.1, 0.25, 0.5, 0.9)])))
+    s = F.round(2 * n * F.col("level") / (1 + F.col("level"))).cast("bigint")
+    key = F.col("o_orderkey")
+    sides = F.array_compact(F.array(F.when(key < n, "a"), F.when((key >= n - s) & (key < 2 * n - s), "b")))
+    sk = build.sketch(rows.select("level", "o_orderkey", F.explode(sides).alias("side")), "o_orderkey", ["level", "side"], SMALL)
+    a, b = (sk.where(F.col("side") == x).select("level", "bucket", "reg") for x in "ab")
+    return jaccard(a, b, SMALL, ["level"]).select(F.col("level").alias("t"), "c", "n_filled")
+
+
 @query("headline_sim")
 def headline_sim(spark, d):
     frs = {"kind": "frs", "p": 15, "q": 6, "r": 10, "t": 0.01, "n": 1e19}
