@@ -20,6 +20,9 @@ is read.
 
 from __future__ import annotations
 
+import uuid
+import zlib
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -70,12 +73,30 @@ def cells(codes: np.ndarray, salt: int, bits: int = BITS) -> np.ndarray:
 # tables: name -> number of columns. top: gram (toxic, ordinary, all); ctx: its context (sums, then
 # different letters after it); low: continuation counts; lctx: contexts of these (sum, different)
 TABLES = {"top": 3, "ctx": 6, "low": 1, "lctx": 2}
+_MODELS: dict[str, "Model"] = {}
 
 
 class Model:
     def __init__(self, tables: dict[str, np.ndarray], order: int, bits: int):
         self.t, self.order, self.bits = tables, order, bits
         self.cache: dict[str, float] = {}
+        self.sent = None
+
+    def share(self, spark) -> tuple[str, object]:
+        """(name, broadcast): the tables go out once, compressed, whoever scores with the model."""
+        if self.sent is None:
+            packed = {t: zlib.compress(v.tobytes(), 1) for t, v in self.t.items()}
+            self.sent = uuid.uuid4().hex, spark.sparkContext.broadcast((packed, self.order, self.bits))
+        return self.sent
+
+    @classmethod
+    def received(cls, name: str, sent) -> "Model":
+        """The worker's copy, with its cache of words; one model a worker."""
+        if name not in _MODELS:
+            packed, order, bits = sent.value
+            _MODELS.clear()
+            _MODELS[name] = cls({t: np.frombuffer(zlib.decompress(v), dtype=np.float32).reshape(-1, TABLES[t]) for t, v in packed.items()}, order, bits)
+        return _MODELS[name]
 
     def ratios(self, words: list[str]) -> np.ndarray:
         """log P(word | toxic) - log P(word | ordinary)."""
@@ -197,10 +218,10 @@ def log_ratio_frame(docs: DataFrame, model: Model, text_col: str = "text", keep:
     """The kept columns (default: all) and _ratio, the log-likelihood ratio per letter."""
     keep = docs.columns if keep is None else keep
     kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
-    sent = docs.sparkSession.sparkContext.broadcast((model.t, model.order, model.bits))
+    name, sent = model.share(docs.sparkSession)
 
     def run(batches):
-        m = Model(*sent.value)
+        m = Model.received(name, sent)
         for b in batches:
             texts = [t or "" for t in b.column(0).to_pylist()]
             out = np.zeros(len(texts))
