@@ -190,9 +190,10 @@ def tidy(spark) -> None:
 
 
 def others(rows: DataFrame, keys: list[str], place: str, also: list[str]) -> DataFrame:
-    """(id, *also) of the rows that are not the first, by id and place, of those with equal keys."""
+    """(id, *also) of the rows that are not the first, by id and place, of those with equal keys. The
+    firsts are stored, so both sides of the join come from exchanges and a hot key can be split."""
     first = rows.groupBy(*keys).agg(F.min(F.struct("id", place)).alias("f"), F.count("*").alias("m")).where("m > 1").select(*keys, F.col("f.id").alias("id1"), F.col(f"f.{place}").alias("place1"))
-    got = rows.join(first, keys)
+    got = rows.join(stored(first, "least"), keys)
     return got.where((F.col("id") != F.col("id1")) | (F.col(place) != F.col("place1"))).select("id", *also)
 
 
