@@ -11,9 +11,9 @@ from pyspark.sql import functions as F
 
 from frsketch.llm.bpe import encode_frame
 from frsketch.llm.decontaminate import find_leaks
+from frsketch.llm.near_copies import copy_classes
 from frsketch.llm.queries import table, tokenizer_file
 from frsketch.llm.shared import stored
-from frsketch.llm.simhash import near_duplicates
 from frsketch.llm.suffix_dedup import without_repeats
 from frsketch.llm.toxicity import ordinary_only
 
@@ -24,9 +24,11 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def simhash(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near copies stays, the one of the smallest id. Shingles of five words;
-    4 of 64 bits stand for a similarity of about 0.95, above the 0.8 that near copies have at least."""
-    keep = near_duplicates(docs, most=4, width=5).where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
+    """One document of each class of near copies stays, the one of the smallest id. Near copies have Jaccard
+    0.8 or more of their sets of five-word shingles, found without loss: fingerprints of such pairs differ in
+    up to 19 of 64 bits, which no search by partitions of the bits covers at a bearable cost."""
+    label = copy_classes(docs)
+    keep = label.groupBy("root").agg(F.min("doc_id").alias("doc_id")).select("doc_id").distinct()
     return docs.join(keep, "doc_id", "left_semi").select(*docs.columns)
 
 

@@ -207,3 +207,58 @@ def test_pipeline_stages(spark):
         else:
             before = {i: r["text"] for i, r in after.items()}
         docs = out
+
+
+def word_set(text, width=5):
+    w = (text or "").encode().lower().split()
+    return frozenset(b" ".join(w[i : i + width]) for i in range(max(1, len(w) - width + 1))) if w else frozenset()
+
+
+def jaccard_classes(texts):
+    sets = [word_set(t) for t in texts]
+    root = list(range(len(sets)))
+    for i, a in enumerate(sets):
+        for j in range(i):
+            c = len(a & sets[j])
+            if a == sets[j] or 5 * c >= 4 * (len(a) + len(sets[j]) - c) > 0:
+                old, new = root[i], root[j]
+                root = [new if r == old else r for r in root]
+    return root
+
+
+@pytest.mark.parametrize("hot", [64, 3])
+def test_near_copies_equal_brute_force(spark, hot):
+    from frsketch.llm import near_copies
+
+    rng = random.Random(11)
+    words = [f"v{k}" for k in range(400)]
+    texts = [None, "", " ", "a b", "A  B", "a b c d e", "a b c d e f"]
+    for k in range(40):
+        w = [rng.choice(words) for _ in range(rng.randrange(3, 160))]
+        for _ in range(8 if k else 90):
+            v = list(w)
+            for _ in range(rng.randrange(5)):
+                v[rng.randrange(len(v))] = rng.choice(words)
+            texts.append(" ".join(["all texts start with these words"] * (k % 2) + v))
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    got = collections.defaultdict(set)
+    for r in near_copies.copy_classes(docs, hot=hot, pivots=2).collect():
+        got[r["root"]].add(r["doc_id"])
+    want = collections.defaultdict(set)
+    for i, r in enumerate(jaccard_classes(texts)):
+        want[r].add(i)
+    assert sorted(map(sorted, got.values())) == sorted(map(sorted, want.values()))
+    assert near_copies.copy_classes(docs.where("false")).count() == 0
+
+
+def test_pipeline_drops_copies_of_similarity_080(spark):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    rng = random.Random(12)
+    rows = []
+    for k in range(30):
+        w = [f"w{rng.randrange(10_000)}" for _ in range(204)]
+        rows += [(2 * k, " ".join(w)), (2 * k + 1, " ".join([*w[:60], "x", *w[61:120], "y", *w[121:170], "z", *w[171:]]))]
+    a, b = word_set(rows[0][1]), word_set(rows[1][1])
+    assert 0.8 <= len(a & b) / len(a | b) < 0.9
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert sorted(r["doc_id"] for r in pipeline.simhash(spark, docs, SF).collect()) == list(range(0, 60, 2))
