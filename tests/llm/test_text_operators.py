@@ -238,6 +238,26 @@ def test_licences(spark):
     assert scan_licences(empty(df), F.col("path")).count() == 0
 
 
+def test_licences_over_lines_and_in_full(spark):
+    gpl = "# Copyright (C) 2020 A. Body\n#\n# This program is free software: you can redistribute it and/or modify\n# it under the terms of the GNU General Public License as published by\n# the Free Software Foundation, either version 3 of the License, or\n# (at your option) any later version.\n#\n# This program is distributed in the hope that it will be useful,\n# but WITHOUT ANY WARRANTY; without even the implied warranty of\n# MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the\n# GNU General Public License for more details.\nimport os\n"
+    mit = "MIT License\n\nCopyright (c) 2019 A. Body\n\nPermission is hereby granted, free of charge, to any person obtaining a copy\nof this software and associated documentation files (the \"Software\"), to deal\nin the Software without restriction, including without limitation the rights\nto use, copy, modify, merge, publish, distribute, sublicense, and/or sell\ncopies of the Software, and to permit persons to whom the Software is\nfurnished to do so, subject to the following conditions:\n"
+    rows = [
+        (1, gpl, "GPL-3.0"),
+        (2, mit, "MIT"),
+        (3, "                    GNU GENERAL PUBLIC LICENSE\n                       Version 3, 29 June 2007\n\n Copyright (C) 2007", "GPL-3.0"),
+        (4, "Copyright 2020 A. Body. All rights reserved. Released under the MIT License, see the file for all of it.", "MIT"),
+        (5, "// SPDX-License-Identifier: GPL-3.0-or-later\nint x;", "GPL-3.0"),
+        (6, "/* Licensed under the Apache\n * License, Version 2.0. */", "Apache-2.0"),
+        (7, "// SPDX-License-Identifier: Zlib", None),
+        (8, "the program is free and the people of the city use the library for any purpose of the day", None),
+        (9, None, None),
+    ]
+    rows += [(k, "the river and the city of the north", None) for k in range(10, 60)]
+    df = spark.createDataFrame([(i, t) for i, t, _ in rows], "doc_id int, text string")
+    got = {r["doc_id"]: r["own"] for r in scan_licences(df, F.lit("a/x"), F.lit(False)).collect()}
+    assert got == {i: want for i, _, want in rows}
+
+
 def brute_url(url, entries, default="allow"):
     rest = url.split("://", 1)[1] if url and "://" in url else ""
     host = re.match(r"[^/?#]*", rest).group()
