@@ -1,6 +1,8 @@
 """Every registered query of the sketch engine and, where SQL can say it, its DuckDB text.
 
-Doubles are rounded to six digits on both sides. Each query runs over its whole tables.
+Doubles are rounded to six digits on both sides. Each query runs over its whole tables, but for three kept
+as their SQL has them: asof_last_event, interval_window_sketch and pivot_distinct_by_type, which have
+counterparts named ``..._all``.
 """
 
 from __future__ import annotations
@@ -756,14 +758,18 @@ def day_over_day_jaccard(spark, d):
 _ONEDAY = "(SELECT user_id, date_trunc('day', ts)::DATE AS day, max(event_id) AS last_event FROM events GROUP BY ALL)"
 
 
-@query("asof_last_event", f"SELECT o.o_custkey AS user_id, count(*) AS n, count(last_event) AS matched, sum(last_event)::BIGINT AS total FROM (SELECT o_custkey, DATE '2024-01-01' + (o_orderkey % 40)::INTEGER AS at FROM orders WHERE o_custkey <= 150) o ASOF LEFT JOIN {_ONEDAY} e ON o.o_custkey = e.user_id AND o.at >= e.day GROUP BY 1")
-def asof_last_event(spark, d):
-    days = table(spark, d, "events").groupBy("user_id", F.col("ts").cast("date").alias("day")).agg(F.max("event_id").alias("last_event"))
-    o = table(spark, d, "orders").where("o_custkey <= 150").select(F.col("o_custkey").alias("user_id"), F.date_add(F.lit("2024-01-01").cast("date"), (F.col("o_orderkey") % 40).cast("int")).alias("at"))
+def last_events(orders: DataFrame, events: DataFrame) -> DataFrame:
+    days = events.groupBy("user_id", F.col("ts").cast("date").alias("day")).agg(F.max("event_id").alias("last_event"))
+    o = orders.select(F.col("o_custkey").alias("user_id"), F.date_add(F.lit("2024-01-01").cast("date"), (F.col("o_orderkey") % 40).cast("int")).alias("at"))
     got = temporal.as_of(o, "at", days, "day", ["user_id"], ["last_event"])
     return got.groupBy("user_id").agg(F.count("*").alias("n"), F.count("last_event").alias("matched"), F.sum("last_event").alias("total"))
 
 
+@query("asof_last_event", f"SELECT o.o_custkey AS user_id, count(*) AS n, count(last_event) AS matched, sum(last_event)::BIGINT AS total FROM (SELECT o_custkey, DATE '2024-01-01' + (o_orderkey % 40)::INTEGER AS at FROM orders WHERE o_custkey <= 150) o ASOF LEFT JOIN {_ONEDAY} e ON o.o_custkey = e.user_id AND o.at >= e.day GROUP BY 1")
+def asof_last_event(spark, d):
+    return last_events(table(spark, d, "orders").where("o_custkey <= 150"), table(spark, d, "events"))
+
+
 @query("interval_window_sketch", f"WITH w AS (SELECT i AS id, TIMESTAMP '2024-01-01' + INTERVAL (i * 60) HOUR AS s, TIMESTAMP '2024-01-01' + INTERVAL (i * 60 + 100) HOUR AS e FROM range(0, 10) r(i)) SELECT id, bucket, reg FROM ({duck.registers('(SELECT w.id, user_id FROM events JOIN w ON ts >= s AND ts < e)', 'user_id::VARCHAR', ['id'], SMALL)})")
 def interval_window_sketch(spark, d):
     w = spark.range(10).select("id", *[F.expr(f"timestamp_ntz'2024-01-01 00:00:00' + make_dt_interval(0, cast(id * 60 + {h} as int))").alias(c) for c, h in (("s", 0), ("e", 100))])
@@ -778,6 +784,36 @@ def pivot_distinct_by_type(spark, d):
     return got.select("week", F.coalesce("click", F.lit(0)).alias("click"), F.coalesce("view", F.lit(0)).alias("view_"))
 
 
+@query("asof_last_event_all", f"SELECT o.o_custkey AS user_id, count(*) AS n, count(last_event) AS matched, sum(last_event)::BIGINT AS total FROM (SELECT o_custkey, DATE '2024-01-01' + (o_orderkey % 40)::INTEGER AS at FROM orders) o ASOF LEFT JOIN {_ONEDAY} e ON o.o_custkey = e.user_id AND o.at >= e.day GROUP BY 1")
+def asof_last_event_all(spark, d):
+    return last_events(table(spark, d, "orders"), table(spark, d, "events"))
+
+
+_SPAN = "(SELECT floor(date_diff('second', TIMESTAMP '2024-01-01', min(ts)) / 216000)::BIGINT - 1 AS lo, floor(date_diff('second', TIMESTAMP '2024-01-01', max(ts)) / 216000)::BIGINT AS hi FROM events)"
+
+
+@query("interval_window_sketch_all", f"WITH w AS (SELECT i AS id, TIMESTAMP '2024-01-01' + INTERVAL (i * 60) HOUR AS s, TIMESTAMP '2024-01-01' + INTERVAL (i * 60 + 100) HOUR AS e FROM (SELECT unnest(range(lo, hi + 1)) AS i FROM {_SPAN})) SELECT id, bucket, reg FROM ({duck.registers('(SELECT w.id, user_id FROM events JOIN w ON ts >= s AND ts < e)', 'user_id::VARCHAR', ['id'], SMALL)})")
+def interval_window_sketch_all(spark, d):
+    """Windows of 100 hours every 60 hours, as many as the events reach."""
+    e = table(spark, d, "events").select("ts", "user_id")
+    at = F.floor((F.unix_micros(F.col("ts").cast("timestamp")) - F.unix_micros(F.lit("2024-01-01 00:00:00").cast("timestamp"))) / 216_000_000_000)
+    lo, hi = e.agg(F.min(at), F.max(at)).first()
+    w = spark.range(*((lo - 1, hi + 1) if lo is not None else (0, 0))).select("id", *[F.expr(f"timestamp_ntz'2024-01-01 00:00:00' + make_dt_interval(0, cast(id * 60 + {h} as int))").alias(c) for c, h in (("s", 0), ("e", 100))])
+    return build.sketch(temporal.interval_join(e, "ts", w, "s", "e"), "user_id", ["id"], SMALL)
+
+
+TYPES = ["click", "error", "purchase", "signup", "view"]
+
+
+@query("pivot_distinct_all_types", "SELECT strftime(date_trunc('week', ts), '%Y-%m-%d') AS week, " + ", ".join(f"count(DISTINCT user_id) FILTER (event_type = '{t}') AS {t}_" for t in TYPES) + f", count(DISTINCT user_id) FILTER (coalesce(event_type, '') NOT IN ({', '.join(repr(t) for t in TYPES)})) AS other_ FROM events GROUP BY 1")
+def pivot_distinct_all_types(spark, d):
+    """A column for each known type and one for all others, null included."""
+    known = F.col("event_type").isin(TYPES) & F.col("event_type").isNotNull()
+    e = table(spark, d, "events").select("user_id", F.date_format(F.date_trunc("week", F.col("ts").cast("timestamp")), "yyyy-MM-dd").alias("week"), F.when(known, F.col("event_type")).otherwise("other").alias("type"))
+    got = e.groupBy("week").pivot("type", [*TYPES, "other"]).agg(F.count_distinct("user_id"))
+    return got.select("week", *[F.coalesce(t, F.lit(0)).alias(f"{t}_") for t in [*TYPES, "other"]])
+
+
 @query("sql_functions", f"SELECT o_orderpriority AS k, bucket, reg >> 4 AS e, 15 - (reg & 15) AS m, round({duck.decode('reg', SMALL)}, 9) AS v FROM ({duck.registers('orders', CUST, ['o_orderpriority'], SMALL)})")
 def sql_functions(spark, d):
     register_functions(spark)

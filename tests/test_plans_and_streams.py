@@ -74,3 +74,15 @@ def test_sessions_are_formed_before_buckets(spark):
     df = spark.createDataFrame(rows, "u string, ts string, x int").withColumn("ts", F.to_timestamp("ts"))
     got = streams.session_sketch(df, "ts", "u", "x", FrsParams(8, 3, 3), "10 minutes")
     assert got.select("start").distinct().count() == 2
+
+
+def test_time_queries_cover_whole_tables(spark):
+    got = registry.QUERIES["asof_last_event_all"](spark, SF).agg(F.sum("n")).first()[0]
+    assert got == table(spark, SF, "orders").count()
+    events = table(spark, SF, "events")
+    types = {r[0] for r in events.select("event_type").distinct().collect()}
+    assert types <= set(registry.TYPES)
+    assert {f"{t}_" for t in types} <= set(registry.QUERIES["pivot_distinct_all_types"](spark, SF).columns)
+    last = registry.QUERIES["interval_window_sketch_all"](spark, SF).agg(F.max("id")).first()[0]
+    end = events.where(F.expr(f"ts >= timestamp_ntz'2024-01-01 00:00:00' + make_dt_interval(0, {last * 60 + 100})"))
+    assert end.isEmpty()
