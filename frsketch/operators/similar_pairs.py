@@ -51,3 +51,26 @@ def top_similar(pairs: DataFrame, k: int) -> DataFrame:
     both = pairs.select(F.col("a").alias("key"), F.col("b").alias("other"), "t").unionByName(pairs.select(F.col("b").alias("key"), F.col("a").alias("other"), "t"))
     w = Window.partitionBy("key").orderBy(F.desc("t"), "other")
     return both.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("key", "rank", "other", "t")
+
+
+def jaccard_pairs(df: DataFrame, key: str, element: str, num: int = 1, den: int = 2) -> DataFrame:
+    """(a, b, t), a < b: every two distinct sets of exact Jaccard num / den or more, each by its least key.
+
+    No pair is lost, however small its sets: of two sets ordered by falling rarity, the first n - ceil(J n) + 1
+    elements of the larger and the first m - ceil(2 J / (1 + J) m) + 1 of the smaller share one where the Jaccard
+    index is J or more. Candidates meet there and are verified on the whole sets."""
+    m = df.select(F.col(key).alias("key"), F.col(element).alias("element")).where("key is not null and element is not null").distinct()
+    sets = m.groupBy("key").agg(F.sort_array(F.collect_list("element")).alias("cells")).groupBy("cells").agg(F.min("key").alias("key"))
+    often = m.groupBy("element").agg(F.count("*").alias("often"))
+    order = sets.select("key", F.explode("cells").alias("element")).join(often, "element")
+    rows = order.groupBy("key").agg(F.sort_array(F.collect_list(F.struct("often", "element"))).alias("cells")).withColumn("n", F.size("cells"))
+    probing, indexed = F.col("n") - F.ceil(F.col("n") * num / den) + 1, F.col("n") - F.ceil(2 * F.col("n") * num / (num + den)) + 1
+    rows = rows.select("key", "n", indexed.alias("ix"), F.posexplode(F.slice("cells", F.lit(1), probing.cast("int"))).alias("pos", "x")).select("key", "n", "ix", "pos", F.col("x.element").alias("x"))
+    a, b = rows.where("pos < ix").alias("a"), rows.alias("b")
+    left = F.least(F.col("a.n") - F.col("a.pos"), F.col("b.n") - F.col("b.pos"))
+    fits = (F.col("a.n") * den >= F.col("b.n") * num) & (left * (num + den) >= (F.col("a.n") + F.col("b.n")) * num)
+    on = (F.col("a.x") == F.col("b.x")) & (F.struct("a.n", "a.key") < F.struct("b.n", "b.key")) & fits
+    pairs = a.join(b, on).select(F.col("a.key").alias("u"), F.col("b.key").alias("v")).distinct()
+    both = pairs.join(sets.select(F.col("key").alias("u"), F.col("cells").alias("cu")), "u").join(sets.select(F.col("key").alias("v"), F.col("cells").alias("cv")), "v")
+    both = both.withColumn("both", F.size(F.array_intersect("cu", "cv"))).withColumn("any", F.size("cu") + F.size("cv") - F.col("both"))
+    return both.where(F.col("both") * den >= F.col("any") * num).select(F.least("u", "v").alias("a"), F.greatest("u", "v").alias("b"), (F.col("both") / F.col("any")).alias("t"))

@@ -24,7 +24,7 @@ from frsketch.operators.boolean import cnf_count
 from frsketch.operators.cardinality import cardinality, loglog, superloglog, union_cardinality
 from frsketch.operators.jaccard import intersection_cardinality, jaccard, pairwise_jaccard
 from frsketch.operators import temporal
-from frsketch.operators.similar_pairs import similar_pairs, top_similar
+from frsketch.operators.similar_pairs import jaccard_pairs, similar_pairs, top_similar
 from frsketch.params import MEDIUM, SMALL, FrsParams
 from frsketch.plans import duck
 from frsketch.sources.tables import shared_dir, table
@@ -624,6 +624,18 @@ def similar_texts(sh: DataFrame, key: str) -> DataFrame:
     return est.join(truth, ["a", "b"]).select(F.col("a").alias("doc_a"), F.col("b").alias("doc_b"), r6("t").alias("t_est"), r6("t_exact").alias("t_exact"))
 
 
+def all_similar_texts(sh: DataFrame, key: str) -> DataFrame:
+    """Every pair of distinct shingle sets of Jaccard 0.5 or more, with the sketches' estimate beside it."""
+    got = jaccard_pairs(sh, key, "shingle")
+    est = pairwise_jaccard(build.sketch(sh, "shingle", [key], DOC), key, DOC, pairs=got.select("a", "b")).select("a", "b", F.col("t").alias("t_est"))
+    return got.join(est, ["a", "b"]).select(F.col("a").alias("doc_a"), F.col("b").alias("doc_b"), r6("t_est").alias("t_est"), r6("t").alias("t_exact"))
+
+
+@query("doc_similar_pairs_all")
+def doc_similar_pairs_all(spark, d):
+    return all_similar_texts(doc_shingles(spark, d), "doc_id")
+
+
 @query("doc_similar_pairs", _similar_sql("documents", "doc_id", "text"))
 def doc_similar_pairs(spark, d):
     return similar_texts(doc_shingles(spark, d), "doc_id")
@@ -631,13 +643,22 @@ def doc_similar_pairs(spark, d):
 
 @query("page_similar_pairs")
 def page_similar_pairs(spark, d):
-    return similar_texts(doc_shingles(spark, d, "pages", "page_id", strip_html(F.col("html"))), "page_id")
+    return all_similar_texts(doc_shingles(spark, d, "pages", "page_id", strip_html(F.col("html"))), "page_id")
 
 
 @query("conversation_similarity", _similar_sql("(SELECT conv_id, string_agg(text, ' ' ORDER BY turn, role, text) AS text FROM conversations GROUP BY conv_id)", "conv_id", "text"))
 def conversation_similarity(spark, d):
+    return similar_texts(conversation_shingles(spark, d), "conv_id")
+
+
+@query("conversation_similarity_all")
+def conversation_similarity_all(spark, d):
+    return all_similar_texts(conversation_shingles(spark, d), "conv_id")
+
+
+def conversation_shingles(spark, d) -> DataFrame:
     c = table(spark, d, "conversations").groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("turn", "role", "text"))).alias("turns"))
-    return similar_texts(word_shingles(c, "conv_id", F.array_join("turns.text", " ")), "conv_id")
+    return word_shingles(c, "conv_id", F.array_join("turns.text", " "))
 
 
 _SRC = duck.shingles("(SELECT source, text FROM documents)", "source", "text")

@@ -1,5 +1,7 @@
 """Registry against DuckDB, plan shape, streams."""
 
+import random
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
@@ -86,3 +88,26 @@ def test_time_queries_cover_whole_tables(spark):
     last = registry.QUERIES["interval_window_sketch_all"](spark, SF).agg(F.max("id")).first()[0]
     end = events.where(F.expr(f"ts >= timestamp_ntz'2024-01-01 00:00:00' + make_dt_interval(0, {last * 60 + 100})"))
     assert end.isEmpty()
+
+
+def test_all_similar_pairs_equal_brute_force(spark):
+    """Texts of 3 to 60 words: most fill no band of four registers."""
+    rng = random.Random(5)
+    rows = []
+    for _ in range(40):
+        w = [f"w{rng.randrange(400)}" for _ in range(rng.randrange(3, 60))]
+        for _ in range(3):
+            v = list(w)
+            for _ in range(rng.randrange(4)):
+                v[rng.randrange(len(v))] = f"w{rng.randrange(400)}"
+            rows.append((len(rows), " ".join(v)))
+    sets = {}
+    for k, t in rows:
+        w = t.split()
+        sets.setdefault(frozenset(zip(w, w[1:], w[2:])), k)
+    want = {(a, b): round(len(s & t) / len(s | t), 6) for s, a in sets.items() for t, b in sets.items() if a < b and 2 * len(s & t) >= len(s | t)}
+    sh = registry.word_shingles(spark.createDataFrame(rows, "k int, text string"), "k", "text")
+    got = {(r["doc_a"], r["doc_b"]): r["t_exact"] for r in registry.all_similar_texts(sh, "k").collect()}
+    assert got == want
+    found = {(r["doc_a"], r["doc_b"]) for r in registry.similar_texts(sh, "k").collect()}
+    assert not set(want) <= found  # the bands lose pairs
