@@ -111,3 +111,14 @@ def test_all_similar_pairs_equal_brute_force(spark):
     assert got == want
     found = {(r["doc_a"], r["doc_b"]) for r in registry.similar_texts(sh, "k").collect()}
     assert not set(want) <= found  # the bands lose pairs
+
+
+def test_containment_sketch_keeps_passages_of_long_texts(spark, tmp_path):
+    rng = random.Random(6)
+    word = lambda: f"w{rng.randrange(50_000)}"
+    items = [[word() for _ in range(42)] for _ in range(6)]
+    docs = [[word() for _ in range(3000)] + w + [word() for _ in range(3000)] for w in items]
+    for name, key, rows in (("benchmark", "item_id", items), ("documents", "doc_id", docs)):
+        spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate(rows)], f"{key} long, text string").write.parquet(f"{tmp_path}/{name}.parquet")
+    got = {(r["item"], r["doc"], r["exact"]) for r in registry.QUERIES["benchmark_containment_sketch"](spark, str(tmp_path)).collect()}
+    assert got == {(f"i{k}", f"d{k}", 1.0) for k in range(6)}
