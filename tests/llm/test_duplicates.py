@@ -262,3 +262,12 @@ def test_pipeline_drops_copies_of_similarity_080(spark):
     assert 0.8 <= len(a & b) / len(a | b) < 0.9
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     assert sorted(r["doc_id"] for r in pipeline.simhash(spark, docs, SF).collect()) == list(range(0, 60, 2))
+
+
+def test_pipeline_copies_with_null_and_repeated_ids(spark):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    a, b, c, d = (" ".join(f"{x}{k}" for k in range(30)) for x in "abcd")
+    rows = [(None, a), (None, b), (None, b), (7, c), (7, c), (9, d), (None, d), (7, "another text of the same id")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((str(r["doc_id"]), r["text"]) for r in pipeline.simhash(spark, docs, SF).collect())
+    assert got == sorted([("None", a), ("None", b), ("7", c), ("9", d), ("7", "another text of the same id")])
