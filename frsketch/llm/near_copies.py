@@ -31,7 +31,7 @@ from frsketch.llm.components import roots
 from frsketch.llm.shared import stored
 
 SEED = 42
-SAMPLE = 20_000
+SAMPLE = 4_000
 FREQUENT = 100_000  # frequent elements sent to the workers
 HOT = 64
 PIVOTS = 16
@@ -50,24 +50,28 @@ def shingle_set(text: str | None, width: int) -> np.ndarray:
     return np.unique(np.array([digest(joined[a:b], SEED) for a, b in zip(starts[:n], ends[min(width, len(words)) - 1 :])], dtype=np.uint64))
 
 
-def set_frame(docs: DataFrame, key: str, text_col: str, width: int, frequent: np.ndarray) -> DataFrame:
-    """key, node (16 bytes that stand for the set), cells (the set, in the common order)."""
+def set_frame(docs: DataFrame, key: str, text_col: str, width: int, frequent: np.ndarray, share: tuple[int, int] | None = None) -> DataFrame:
+    """key, node (16 bytes that stand for the set), n (its size), cells (the set in the common order; with a
+    ``share``, as much of it as probes)."""
     kind = docs.schema[key].dataType.simpleString()
 
     def run(batches):
         for b in batches:
-            nodes, sets = [], []
+            nodes, sets, sizes = [], [], []
             for t in b.column(1).to_pylist():
                 s = shingle_set(t, width)
                 nodes.append(xxhash.xxh3_128_digest(s.tobytes()))
                 rank = np.searchsorted(frequent, s)
                 late = (frequent[np.minimum(rank, len(frequent) - 1)] == s) if len(frequent) else np.zeros(len(s), dtype=bool)
-                sets.append(np.concatenate([s[~late], s[late]]).view(np.int64))
+                n = len(s)
+                sizes.append(n)
+                upto = n if share is None or not n else n + n * share[0] // -share[1] + 1
+                sets.append(np.concatenate([s[~late], s[late]])[:upto].view(np.int64))
             at = np.r_[0, np.cumsum([len(s) for s in sets])].astype(np.int32)
             cells = pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.binary()), cells], [key, "node", "cells"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.binary()), pa.array(sizes, pa.int32()), cells], [key, "node", "n", "cells"])
 
-    return docs.select(key, text_col).mapInArrow(run, f"`{key}` {kind}, node binary, cells array<long>")
+    return docs.select(key, text_col).mapInArrow(run, f"`{key}` {kind}, node binary, n int, cells array<long>")
 
 
 def frequent_elements(docs: DataFrame, key: str, text_col: str, width: int) -> np.ndarray:
@@ -80,20 +84,22 @@ def frequent_elements(docs: DataFrame, key: str, text_col: str, width: int) -> n
     return np.sort(np.array([r["x"] for r in top.select("x").collect()], dtype=np.int64).view(np.uint64))
 
 
-def alike(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
-    """The pairs (u, v) whose whole sets have Jaccard num / den or more."""
+def alike(pairs: DataFrame, whole, num: int, den: int) -> DataFrame:
+    """The pairs (u, v) whose whole sets have Jaccard num / den or more. ``whole`` gives the sets (node, cells)
+    of the nodes asked for, so only candidates' sets are ever written."""
+    pairs = stored(pairs, "candidates")
+    sets = whole(pairs.select("u").union(pairs.select("v")).distinct().withColumnRenamed("u", "node"))
     both = pairs.join(sets.select(F.col("node").alias("u"), F.col("cells").alias("cu")), "u").join(sets.select(F.col("node").alias("v"), F.col("cells").alias("cv")), "v")
     common = F.size(F.array_intersect("cu", "cv"))
     return both.where(common * den >= (F.size("cu") + F.size("cv") - common) * num).select("u", "v")
 
 
-def links(sets: DataFrame, num: int = 4, den: int = 5, hot: int = HOT, pivots: int = PIVOTS) -> DataFrame:
-    """Edges (u, v) among the distinct sets ``node``, ``cells`` so that two are joined by a path of edges
+def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pivots: int = PIVOTS) -> DataFrame:
+    """Edges (u, v) among the distinct sets ``node``, ``n``, ``cells`` (what probes) so that two are joined by a path of edges
     exactly if they are by a path of pairs of Jaccard num / den or more."""
-    n = F.size("cells")
-    probing = n - F.ceil(n * num / den) + 1
+    n = F.col("n")
     indexed = n - F.ceil(2 * n * num / (num + den)) + 1
-    rows = sets.where("size(cells) > 0").select("node", n.alias("n"), indexed.alias("ix"), F.posexplode(F.slice("cells", F.lit(1), probing.cast("int"))).alias("pos", "x"))
+    rows = sets.where("n > 0").select("node", "n", indexed.alias("ix"), F.posexplode("cells").alias("pos", "x"))
     rows = stored(rows.select("x", "node", "n", "pos", (F.col("pos") < F.col("ix")).alias("ix")), "prefixes")
     crowd = rows.groupBy("x").agg(F.count("*").alias("g"), F.count_if("ix").alias("k")).where("g > 1 and k > 0")
     crowd = stored(crowd, "crowds")
@@ -110,7 +116,7 @@ def links(sets: DataFrame, num: int = 4, den: int = 5, hot: int = HOT, pivots: i
         dense = stored(rows.where(F.col("g") > hot).drop("big", "root"), "dense")
         least = pivots_of(dense, pivots)
         near = [meet(dense, least, F.lit(True)), meet(least, dense, F.lit(True))]
-        first = stored(alike(near[0].unionByName(near[1]).distinct(), sets, num, den), "pivot-links")
+        first = stored(alike(near[0].unionByName(near[1]).distinct(), whole, num, den), "pivot-links")
         label = stored(roots(dense.select("node").distinct(), first), "labels")
         dense = dense.join(label, "node")
         most = dense.groupBy("x", "root").count().groupBy("x").agg(F.max_by("root", F.struct("count", "root")).alias("main"))
@@ -121,7 +127,7 @@ def links(sets: DataFrame, num: int = 4, den: int = 5, hot: int = HOT, pivots: i
     pairs = meet(ix.where("not big"), rows, apart)
     if first is not None:
         pairs = pairs.unionByName(meet(ix.where("big"), rows.where("not big"), apart))
-    out = alike(pairs.distinct(), sets, num, den)
+    out = alike(pairs.distinct(), whole, num, den)
     return out if first is None else out.unionByName(first)
 
 
@@ -136,9 +142,15 @@ def pivots_of(dense: DataFrame, pivots: int) -> DataFrame:
 
 def copy_classes(docs: DataFrame, key: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 4, den: int = 5, hot: int = HOT, pivots: int = PIVOTS) -> DataFrame:
     """key, root (the same for all rows of a class): texts joined by a path of pairs of Jaccard num / den or
-    more. A row for each row of ``docs``."""
+    more. A row for each row of ``docs``; keys are neither null nor repeated."""
     frequent = frequent_elements(docs, key, text_col, width)
-    table = stored(set_frame(docs, key, text_col, width, frequent), "sets")
-    sets = stored(table.groupBy("node").agg(F.first("cells").alias("cells")), "distinct-sets")
-    label = roots(sets.select("node"), links(sets, num, den, hot, pivots))
-    return table.select(key, "node").join(label, "node").select(key, "root")
+    table = stored(set_frame(docs, key, text_col, width, frequent, (num, den)), "sets")
+    nodes = stored(table.groupBy("node").agg(F.min(key).alias("id")), "nodes")
+    first = table.join(nodes.select(F.col("id").alias(key)), key, "left_semi").select(F.col(key).alias("node"), "n", "cells")
+
+    def whole(asked):
+        rows = docs.join(asked.select(F.col("node").alias(key)), key, "left_semi")
+        return stored(set_frame(rows, key, text_col, width, frequent).select(F.col(key).alias("node"), "cells"), "whole-sets")
+
+    label = roots(nodes.select(F.col("id").alias("node")), links(first, whole, num, den, hot, pivots))
+    return table.select(key, "node").join(nodes, "node").select(key, F.col("id").alias("node")).join(label, "node").select(key, "root")
