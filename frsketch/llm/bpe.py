@@ -1,7 +1,7 @@
 """Byte-level BPE encoding and decoding by a rank file.
 
-Slices come from ``pretokens``; each distinct slice is merged once per worker and kept in a bounded
-cache. Misses are merged together: all of them lie end to end in one id array, every round looks up
+Slices come from ``pretokens``; each distinct slice is merged once and kept in a cache bounded in bytes,
+which a task leaves empty. Misses are merged together: all of them lie end to end in one id array, every round looks up
 the rank of each adjacent pair in an open-addressing table and merges, in every slice, the leftmost
 pair of that slice's lowest rank (all occurrences that do not overlap).
 
@@ -21,9 +21,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from frsketch.llm.pretokens import Slices
+from frsketch.llm.shared import Cache, give_back
 
-CACHE_ENTRIES = 400_000
-BATCH_CHARS = 2_000_000
+ENTRY = 300  # bytes of a cached slice besides its own
+BATCH_CHARS = 1_000_000
 
 
 def read_ranks(path: str) -> list[bytes]:
@@ -143,28 +144,26 @@ class Codec:
     def __init__(self, path: str):
         self.vocab = read_ranks(path)
         self.table = PairTable(self.vocab)
-        self.cache: dict[bytes, tuple[int, ...]] = {}
-
-    def ids_of(self, words: list[bytes]) -> dict[bytes, tuple[int, ...]]:
-        """Ids of every distinct word, from the cache where it has them."""
-        distinct = set(words)
-        missing = [w for w in distinct if w not in self.cache]
-        if len(self.cache) + len(missing) > CACHE_ENTRIES:
-            self.cache.clear()
-            missing = list(distinct)
+        self.cache = Cache(ENTRY)  # slice -> (ids as 32-bit integers, as decimals, what they decode to)
+
+    def look_up(self, words: list[bytes]) -> Cache:
+        """The cache, with every one of the words."""
+        missing = self.cache.lacking(set(words))
         ids, counts = merge_all(self.table, missing)
-        flat, at = ids.tolist(), 0
+        raw, flat, at = ids.astype("<i4").tobytes(), ids.tolist(), 0
         for w, n in zip(missing, counts.tolist()):
-            self.cache[w] = tuple(flat[at : at + n])
+            some = flat[at : at + n]
+            back = self.decode(some)
+            self.cache[w] = (raw[4 * at : 4 * (at + n)], " ".join(map(str, some)).encode(), w if back == w else back)
             at += n
         return self.cache
 
     def encode(self, texts: list[str]) -> list[list[int]]:
         s = Slices(texts)
-        table = self.ids_of(s.words)
+        table = self.look_up(s.words)
         out, at = [], 0
         for n in s.per_text.tolist():
-            out.append([i for w in s.words[at : at + n] for i in table[w]])
+            out.append(np.frombuffer(b"".join([table[w][0] for w in s.words[at : at + n]]), dtype="<i4").tolist())
             at += n
         return out
 
@@ -205,31 +204,32 @@ def encode_frame(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
 
     def run(batches):
         c = codec(path)
-        shown: dict[bytes, tuple[int, bytes, bytes]] = {}
-        for batch in batches:
-            keys = batch.column(0)
-            for at, texts in text_batches(pa.RecordBatch.from_arrays([batch.column(1)], ["text"])):
-                s = Slices(texts)
-                table = c.ids_of(s.words)
-                rows, k = [], 0
-                if len(shown) > CACHE_ENTRIES:
-                    shown.clear()
-                for w in set(s.words):
-                    if w not in shown:
-                        ids = table[w]
-                        shown[w] = (len(ids), " ".join(map(str, ids)).encode(), c.decode(ids))
-                for n in s.per_text.tolist():
-                    words = s.words[k : k + n]
-                    k += n
-                    got = [shown[w] for w in words]
-                    decoded = b"".join([g[2] for g in got])
-                    row = [sum([g[0] for g in got]), hashlib.sha256(b" ".join([g[1] for g in got])).hexdigest(), hashlib.sha256(decoded).hexdigest()]
-                    rows.append(row + ([[i for w in words for i in table[w]], decoded.decode()] if with_ids else []))
-                cols = list(zip(*rows))
-                arrays = [keys.slice(at, len(texts)), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.string())]
-                if with_ids:
-                    arrays += [pa.array(cols[3], pa.list_(pa.int32())), pa.array(cols[4], pa.string())]
-                names = [id_col, "n_tokens", "ids_sha256", "decoded_sha256", "ids", "decoded"][: len(arrays)]
-                yield pa.RecordBatch.from_arrays(arrays, names)
+        try:
+            for batch in batches:
+                keys = batch.column(0)
+                for at, texts in text_batches(batch.select([1]), text_col):
+                    yield encoded(c, keys.slice(at, len(texts)), texts)
+        finally:
+            c.cache.clear()
+            give_back()
+
+    def encoded(c: Codec, keys, texts: list[str]):
+        s = Slices(texts)
+        table = c.look_up(s.words)
+        counts, in_decimals, decoded, ids, k = [], [], [], [], 0
+        for n in s.per_text.tolist():
+            got = [table[w] for w in s.words[k : k + n]]
+            k += n
+            raw = b"".join([g[0] for g in got])
+            back = b"".join([g[2] for g in got])
+            counts.append(len(raw) // 4)
+            in_decimals.append(hashlib.sha256(b" ".join([g[1] for g in got])).hexdigest())
+            decoded.append(back if with_ids else None)
+            ids.append((hashlib.sha256(back).hexdigest(), raw if with_ids else b""))
+        arrays = [keys, pa.array(counts, pa.int64()), pa.array(in_decimals, pa.string()), pa.array([x[0] for x in ids], pa.string())]
+        if with_ids:
+            flat = np.frombuffer(b"".join([x[1] for x in ids]), dtype="<i4")
+            arrays += [pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(counts)], pa.int32()), pa.array(flat, pa.int32())), pa.array([x.decode() for x in decoded], pa.string())]
+        return pa.RecordBatch.from_arrays(arrays, [id_col, "n_tokens", "ids_sha256", "decoded_sha256", "ids", "decoded"][: len(arrays)])
 
     return docs.select(id_col, F.col(text_col)).mapInArrow(run, schema)

@@ -1,17 +1,24 @@
-"""Tables that cut lineage, kept in the folder that every executor sees."""
+"""Tables that cut lineage, kept in the folder that every executor sees; memory of the Python workers."""
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+CACHE_BYTES = 96 << 20
+
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's ``spark.checkpoint.dir``; a temporary folder where it is unset (tests)."""
+    """The session's ``spark.checkpoint.dir``. Where it is unset a temporary folder serves if driver and
+    executors are one process (tests); a cluster without a shared folder is an error."""
     got = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if not got:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         got = "file://" + tempfile.mkdtemp(prefix="frsketch-")
         spark.conf.set("spark.checkpoint.dir", got)
     return got.rstrip("/")
@@ -33,3 +40,43 @@ def drop_stored(df: DataFrame) -> None:
     for f in df.inputFiles()[:1]:
         parent = jvm.org.apache.hadoop.fs.Path(f).getParent()
         parent.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(parent, True)
+
+
+def unused(name: str, columns: list[str]) -> str:
+    """``name``, with as many underscores before it as keep it apart from ``columns``."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
+
+
+class Cache(dict):
+    """A worker's cache that starts anew rather than outgrow ``limit`` bytes: keys are counted by their length,
+    each entry by ``cost`` besides. It changes speed alone."""
+
+    def __init__(self, cost: int, limit: int = CACHE_BYTES):
+        super().__init__()
+        self.cost, self.limit, self.used = cost, limit, 0
+
+    def lacking(self, keys) -> list:
+        """The distinct ``keys`` that the caller has to add now; all others are there."""
+        new = [k for k in keys if k not in self]
+        need = sum(map(len, new)) + self.cost * len(new)
+        if self.used + need > self.limit and len(self):
+            self.clear()
+            new = list(keys)
+            need = sum(map(len, new)) + self.cost * len(new)
+        self.used += need
+        return new
+
+    def clear(self) -> None:
+        super().clear()
+        self.used = 0
+
+
+def give_back() -> None:
+    """Freed memory returns to the system at the end of a task, since idle workers live on."""
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library

@@ -7,8 +7,8 @@ whatever stands before, and no merge crosses a slice, so the tokens on either si
 whole text. The splice also checks that both pieces have a token edge there; if no such place exists
 in the overlap, the overlap doubles until there is one or the pieces become one.
 
-Texts within one chunk are cut into slices, each distinct slice goes through the library once per
-worker (bounded cache), and counts are added up. Special strings in a text are single tokens, as the
+Texts within one chunk are cut into slices, each distinct slice goes through the library once (a cache
+bounded in bytes, which a task leaves empty), and counts are added up. Special strings in a text are single tokens, as the
 library's default has it; they are cut out first.
 
 Nulls count as empty (0 bytes, 0 tokens). Repeated rows keep a row each, an empty table gives an
@@ -29,10 +29,11 @@ from pyspark.sql import functions as F
 
 from frsketch.llm.bpe import text_batches
 from frsketch.llm.pretokens import Slices
+from frsketch.llm.shared import Cache, give_back
 
 CHUNK = 65_536
 OVERLAP = 1_024
-CACHE_ENTRIES = 400_000
+ENTRY = 220  # bytes of a cached slice besides its own
 EDGE = regex.compile(r"(?<=\S)\s")
 
 
@@ -53,14 +54,10 @@ class Library:
         added = {t["content"]: t["id"] for t in kind.get("added_tokens", [])}
         self.added = added
         self.special = regex.compile("|".join(map(regex.escape, sorted(added, key=len, reverse=True)))) if added else None
-        self.cache: dict[bytes, tuple[int, ...]] = {}
+        self.cache = Cache(ENTRY)
 
     def slice_ids(self, words: list[bytes]) -> dict[bytes, tuple[int, ...]]:
-        distinct = set(words)
-        missing = [w for w in distinct if w not in self.cache]
-        if len(self.cache) + len(missing) > CACHE_ENTRIES:
-            self.cache.clear()
-            missing = list(distinct)
+        missing = self.cache.lacking(set(words))
         for at in range(0, len(missing), 20_000):
             some = missing[at : at + 20_000]
             got = self.tok.encode_batch_fast([w.decode() for w in some], add_special_tokens=False)
@@ -147,14 +144,18 @@ def count_tokens(docs: DataFrame, path: str, limit: int = 512, id_col: str = "do
 
     def run(batches):
         lib = library(path)
-        for batch in batches:
-            keys = batch.column(0)
-            for at, texts in text_batches(pa.RecordBatch.from_arrays([batch.column(1)], ["text"])):
-                n = [sum(map(len, parts)) for parts in ids_of_texts(lib, texts, chunk, overlap)]
-                size = [len(t.encode()) for t in texts]
-                yield pa.RecordBatch.from_arrays(
-                    [keys.slice(at, len(texts)), pa.array(size, pa.int64()), pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())],
-                    [id_col, "n_bytes", "n_tokens", "over_limit"],
-                )
+        try:
+            for batch in batches:
+                keys = batch.column(0)
+                for at, texts in text_batches(batch.select([1]), text_col):
+                    n = [sum(map(len, parts)) for parts in ids_of_texts(lib, texts, chunk, overlap)]
+                    size = [len(t.encode()) for t in texts]
+                    yield pa.RecordBatch.from_arrays(
+                        [keys.slice(at, len(texts)), pa.array(size, pa.int64()), pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())],
+                        [id_col, "n_bytes", "n_tokens", "over_limit"],
+                    )
+        finally:
+            lib.cache.clear()
+            give_back()
 
     return docs.select(id_col, F.col(text_col)).mapInArrow(run, f"{id_col} {kind}, n_bytes long, n_tokens long, over_limit boolean")

@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 
 from frsketch.llm.bpe import text_batches
 from frsketch.llm.mixing_coder import decode_segment, encode_segment
+from frsketch.llm.shared import give_back
 from frsketch.llm.token_counts import ids_of_texts, library
 
 SEGMENT = 4_000_000
@@ -46,22 +47,26 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, id
             arrays += [pa.array([keys], pa.list_(id_type)), pa.array([sizes], pa.list_(pa.int32()))]
             return pa.RecordBatch.from_arrays([*arrays, pa.array([encode_segment(np.concatenate(flat))], pa.binary())], ["part", "seg", "n_ids", "ids", "sizes", "payload"])
 
-        for b in batches:
-            id_type = b.column(0).type
-            ids, places = b.column(0).to_pylist(), b.column(2).to_pylist()
-            for at, texts in text_batches(b):
-                for k, parts_of in enumerate(ids_of_texts(lib, texts), at):
-                    got = np.fromiter((i for p in parts_of for i in p), dtype=np.uint32)
-                    if total and total + len(got) + 1 > segment:
-                        yield row()
-                        keys, sizes, flat, total, seg = [], [], [], 0, seg + 1
-                    part = places[k]
-                    keys.append(ids[k])
-                    sizes.append(len(got) + 1)
-                    flat += [got, np.array([end_id], dtype=np.uint32)]
-                    total += len(got) + 1
-        if keys:
-            yield row()
+        try:
+            for b in batches:
+                id_type = b.column(0).type
+                ids, places = b.column(0).to_pylist(), b.column(2).to_pylist()
+                for at, texts in text_batches(b):
+                    for k, parts_of in enumerate(ids_of_texts(lib, texts), at):
+                        got = np.fromiter((i for p in parts_of for i in p), dtype=np.uint32)
+                        if total and total + len(got) + 1 > segment:
+                            yield row()
+                            keys, sizes, flat, total, seg = [], [], [], 0, seg + 1
+                        part = places[k]
+                        keys.append(ids[k])
+                        sizes.append(len(got) + 1)
+                        flat += [got, np.array([end_id], dtype=np.uint32)]
+                        total += len(got) + 1
+            if keys:
+                yield row()
+        finally:
+            lib.cache.clear()
+            give_back()
 
     schema = f"part int, seg int, n_ids long, ids array<{kind}>, sizes array<int>, payload binary"
     rows.mapInArrow(run, schema).write.parquet(path)

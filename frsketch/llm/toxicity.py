@@ -8,6 +8,9 @@ class has seldom or never seen falls back to what the corpus knows, which is the
 cancels out. A text's score compares the two
 log-likelihoods per letter and is put on 0..1 by a logistic curve fitted to labelled rows.
 
+Words are counted before they are spelt out, so letter windows are made once a distinct word, and a scoring
+task rates each distinct word once.
+
 Counts live in hashed tables of ``2**BITS`` cells, so the model has a fixed size. Class counts come
 from at most ``TRAIN_ROWS`` labelled rows a class (smallest hashed ids; a documented bound), shared
 counts from all documents. The fit uses at most ``FIT_ROWS`` labelled rows that neither the
@@ -22,13 +25,14 @@ from __future__ import annotations
 
 import uuid
 import zlib
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from frsketch.llm.shared import stored
+from frsketch.llm.shared import Cache, give_back, stored, unused
 
 ORDER = 5
 BITS = 20
@@ -36,7 +40,8 @@ DISCOUNT = 0.75
 TRAIN_ROWS = 20_000
 FIT_ROWS = 20_000
 FOLDS = 5
-CACHE_ENTRIES = 400_000
+ENTRY = 160  # bytes of a cached word besides its letters
+TALLY = 250_000  # distinct words that a counting task holds before it hands them on
 START, STOP = 1, 2
 
 
@@ -79,7 +84,7 @@ _MODELS: dict[str, "Model"] = {}
 class Model:
     def __init__(self, tables: dict[str, np.ndarray], order: int, bits: int):
         self.t, self.order, self.bits = tables, order, bits
-        self.cache: dict[str, float] = {}
+        self.cache = Cache(ENTRY)
         self.sent = None
 
     def share(self, spark) -> tuple[str, object]:
@@ -122,11 +127,8 @@ class Model:
                 logs.append(np.log(q))
         return np.add.reduceat(logs[0] - logs[1], np.cumsum(lens) - lens)
 
-    def look_up(self, words: set[str]) -> dict[str, float]:
-        missing = [w for w in words if w not in self.cache]
-        if len(self.cache) + len(missing) > CACHE_ENTRIES:
-            self.cache.clear()
-            missing = list(words)
+    def look_up(self, words: set[str]) -> Cache:
+        missing = self.cache.lacking(words)
         for at in range(0, len(missing), 20_000):
             some = missing[at : at + 20_000]
             self.cache.update(zip(some, self.ratios(some).tolist()))
@@ -144,38 +146,73 @@ def groups(texts: list[str], most: int = 1_000_000):
         yield at, len(texts)
 
 
-def count_grams(rows: DataFrame, order: int = ORDER) -> DataFrame:
-    """rows (text, cls: 1 toxic, 0 ordinary, null neither) -> gram, tox, ord, every: counts by class and over all rows."""
+def count_words(rows: DataFrame) -> DataFrame:
+    """rows (text, cls: 1 toxic, 0 ordinary, null neither) -> word, tox, ord, every: counts by class and over all rows."""
+    names = ["word", "tox", "ord", "every"]
 
     def run(batches):
+        every, by_class = Counter(), (Counter(), Counter())
+
+        def handed_on():
+            cols = [pa.array([c[w] for w in every], pa.int64()) for c in (by_class[1], by_class[0])]
+            return pa.RecordBatch.from_arrays([pa.array(list(every), pa.string()), *cols, pa.array(list(every.values()), pa.int64())], names)
+
         for b in batches:
-            texts, cls = [t or "" for t in b.column(0).to_pylist()], b.column(1).to_pylist()
-            for lo, hi in groups(texts):
-                tally: dict[str, list[int]] = {}
-                for t, c in zip(texts[lo:hi], cls[lo:hi]):
-                    for w in t.lower().split():
-                        got = tally.setdefault(w, [0, 0, 0])
-                        got[2] += 1
-                        if c is not None:
-                            got[1 - c] += 1
-                if not tally:
+            for t, c in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                if not t:
                     continue
-                codes, lens = windows(list(tally), order)
-                weight = np.repeat(np.array(list(tally.values()), dtype=np.int64), lens, axis=0)
-                codes = np.ascontiguousarray(codes)
-                key = codes.view(np.dtype((np.void, 4 * order))).reshape(-1)
-                kind, inv = np.unique(key, return_inverse=True)
-                sums = [pa.array(np.bincount(inv, weight[:, c], len(kind)).astype(np.int64)) for c in range(3)]
-                text = kind.tobytes().decode("utf-32-le")
-                grams = [text[i : i + order] for i in range(0, len(text), order)]
-                yield pa.RecordBatch.from_arrays([pa.array(grams), *sums], ["gram", "tox", "ord", "every"])
-
-    got = rows.select("text", "cls").mapInArrow(run, "gram string, tox long, ord long, every long")
+                words = t.lower().split()
+                every.update(words)
+                if c is not None:
+                    by_class[c].update(words)
+                if len(every) > TALLY:
+                    yield handed_on()
+                    for x in (every, *by_class):
+                        x.clear()
+        if every:
+            yield handed_on()
+        every = by_class = None
+        give_back()
+
+    got = rows.select("text", "cls").mapInArrow(run, "word string, tox long, ord long, every long")
+    return got.groupBy("word").agg(*[F.sum(c).alias(c) for c in names[1:]])
+
+
+def distinct_rows(codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(the distinct rows of code points, which one each row is). Three code points fill a sortable word."""
+    cols = codes.astype(np.uint64)
+    packed = [np.zeros(len(codes), dtype=np.uint64) for _ in range(-(-codes.shape[1] // 3))]
+    for k in range(codes.shape[1]):
+        packed[k // 3] = packed[k // 3] << np.uint64(21) | cols[:, k]
+    order = np.lexsort(packed)
+    new = np.ones(len(order), dtype=bool)
+    new[1:] = np.any([x[order[1:]] != x[order[:-1]] for x in packed], axis=0)
+    which = np.empty(len(order), dtype=np.int64)
+    which[order] = np.cumsum(new) - 1
+    return codes[order[new]], which
+
+
+def spelt_out(words: DataFrame, order: int = ORDER) -> DataFrame:
+    """words (word, tox, ord, every) -> gram and its counts."""
+
+    def run(batches):
+        for b in batches:
+            words, n = b.column(0).to_pylist(), np.stack([c.to_numpy() for c in b.columns[1:]], axis=1)
+            for lo, hi in groups(words, 400_000):
+                codes, lens = windows(words[lo:hi], order)
+                kinds, which = distinct_rows(codes)
+                weight = np.repeat(n[lo:hi], lens, axis=0)
+                sums = [pa.array(np.bincount(which, weight[:, c], len(kinds)).astype(np.int64)) for c in range(3)]
+                text = np.ascontiguousarray(kinds).tobytes().decode("utf-32-le")
+                yield pa.RecordBatch.from_arrays([pa.array([text[i : i + order] for i in range(0, len(text), order)]), *sums], ["gram", "tox", "ord", "every"])
+        give_back()
+
+    got = words.mapInArrow(run, "gram string, tox long, ord long, every long")
     return got.groupBy("gram").agg(*[F.sum(c).alias(c) for c in ("tox", "ord", "every")])
 
 
-def hashed(grams: DataFrame, table: str, values: list[str], n: int, salt: int, bits: int) -> DataFrame:
-    """grams (gram, values) summed by table cell: at most 2**bits rows."""
+def hashed(grams: DataFrame, values: list[str], n: int, salt: int, bits: int) -> DataFrame:
+    """grams (gram, values) summed by table cell: at most 2**bits rows of cell and values."""
 
     def run(batches):
         for b in batches:
@@ -183,57 +220,68 @@ def hashed(grams: DataFrame, table: str, values: list[str], n: int, salt: int, b
             if not text:
                 continue
             codes = np.frombuffer("".join(text).encode("utf-32-le"), dtype=np.uint32).reshape(len(text), n)
-            yield pa.RecordBatch.from_arrays([pa.array(cells(codes, salt, bits)), *b.columns[1:]], ["cell", *values])
+            yield pa.RecordBatch.from_arrays([pa.array(cells(codes, salt, bits), pa.int32()), *b.columns[1:]], ["cell", *values])
 
     kind = ", ".join(f"{v} double" for v in values)
-    return grams.select("gram", *[F.col(v).cast("double") for v in values]).mapInArrow(run, f"cell long, {kind}").groupBy("cell").agg(F.array(*[F.sum(v) for v in values]).alias("v")).select(F.lit(table).alias("t"), "cell", "v")
+    rows = grams.select("gram", *[F.col(v).cast("double") for v in values]).mapInArrow(run, f"cell int, {kind}")
+    return rows.groupBy("cell").agg(*[F.sum(v).cast("float").alias(v) for v in values])
 
 
 def fit_counts(rows: DataFrame, order: int = ORDER, bits: int = BITS) -> Model:
     """The model of rows (text, cls)."""
-    grams = stored(count_grams(rows, order), "grams")
+    grams = stored(spelt_out(count_words(rows), order), "grams")
     cols = ["tox", "ord", "every"]
-    parts = [hashed(grams, "top", cols, order, 0, bits)]
+    tables = {t: np.zeros((1 << bits, k), dtype=np.float32) for t, k in TABLES.items()}
+
+    def add(table: str, cells_of: DataFrame) -> None:  # at most 2**bits rows, column by column
+        got = cells_of.toArrow()
+        at = got.column("cell").to_numpy()
+        for k, c in enumerate(got.column_names[1:]):
+            np.add.at(tables[table][:, k], at, got.column(c).to_numpy())
+
+    add("top", hashed(grams, cols, order, 0, bits))
     ctx = grams.groupBy(F.expr(f"substring(gram, 1, {order - 1})").alias("gram"))
     ctx = ctx.agg(*[F.sum(c).alias(f"s_{c}") for c in cols], *[F.count_if(F.col(c) > 0).alias(f"u_{c}") for c in cols])
-    parts.append(hashed(ctx, "ctx", [f"s_{c}" for c in cols] + [f"u_{c}" for c in cols], order - 1, 0, bits))
+    add("ctx", hashed(ctx, [f"s_{c}" for c in cols] + [f"u_{c}" for c in cols], order - 1, 0, bits))
     wide = grams.select("gram")
     for n in range(order - 1, 0, -1):
         low = stored(wide.groupBy(F.expr("substring(gram, 2)").alias("gram")).agg(F.count("*").alias("n")), f"low{n}")
-        parts.append(hashed(low, "low", ["n"], n, n, bits))
+        add("low", hashed(low, ["n"], n, n, bits))
         lctx = low.groupBy(F.expr(f"substring(gram, 1, {n - 1})").alias("gram")).agg(F.sum("n").alias("s"), F.count("*").alias("u"))
-        parts.append(hashed(lctx, "lctx", ["s", "u"], n - 1, n, bits))
+        add("lctx", hashed(lctx, ["s", "u"], n - 1, n, bits))
         wide = low.select("gram")
-    tables = {t: np.zeros((1 << bits, k), dtype=np.float32) for t, k in TABLES.items()}
-    for p in parts:  # each of bounded size
-        got = p.toArrow()
-        if got.num_rows:
-            at = got.column("cell").to_numpy()
-            v = np.stack(got.column("v").to_pylist())
-            np.add.at(tables[got.column("t")[0].as_py()], at, v.astype(np.float32))
     return Model(tables, order, bits)
 
 
-def log_ratio_frame(docs: DataFrame, model: Model, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """The kept columns (default: all) and _ratio, the log-likelihood ratio per letter."""
+def log_ratio_frame(docs: DataFrame, model: Model, text_col: str = "text", keep: list[str] | None = None, out_col: str = "_ratio") -> DataFrame:
+    """The kept columns (default: all) and ``out_col``, the log-likelihood ratio per letter."""
     keep = docs.columns if keep is None else keep
+    text = unused("_text", keep)
     kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
     name, sent = model.share(docs.sparkSession)
 
     def run(batches):
         m = Model.received(name, sent)
-        for b in batches:
-            texts = [t or "" for t in b.column(0).to_pylist()]
-            out = np.zeros(len(texts))
-            for lo, hi in groups(texts):
-                split = [t.lower().split() for t in texts[lo:hi]]
-                look = m.look_up({w for ws in split for w in ws})
-                for k, ws in enumerate(split, lo):
-                    if ws:
-                        out[k] = sum([look[w] for w in ws]) / (sum(map(len, ws)) + len(ws))
-            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(out)], [*keep, "_ratio"])
+        try:
+            for b in batches:
+                texts = [t or "" for t in b.column(0).to_pylist()]
+                out = np.zeros(len(texts))
+                for lo, hi in groups(texts):
+                    split = [t.lower().split() for t in texts[lo:hi]]
+                    kinds = set().union(*split)
+                    rated = m.look_up(kinds)
+                    look = {w: rated[w] for w in kinds}  # small, so that it stays close
+                    for k, ws in enumerate(split, lo):
+                        if ws:
+                            out[k] = sum([look[w] for w in ws]) / (sum(map(len, ws)) + len(ws))
+                yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(out)], [*keep, out_col])
+        finally:
+            m.cache.clear()
+            m = None
+            _MODELS.clear()
+            give_back()
 
-    return docs.select(F.col(text_col).alias("_text"), *keep).mapInArrow(run, f"{kinds}, _ratio double")
+    return docs.select(F.col(text_col).alias(text), *[F.col(f"`{c}`") for c in keep]).mapInArrow(run, f"{kinds}, {out_col} double")
 
 
 def fit_scale(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
@@ -251,8 +299,8 @@ def fit_scale(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return slope, -slope * float(cut)
 
 
-def scored(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train_rows: int = TRAIN_ROWS, fit_rows: int = FIT_ROWS, keep: list[str] | None = None) -> DataFrame:
-    """The kept columns of docs (default: all) with _ratio and _score."""
+def scored(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train_rows: int = TRAIN_ROWS, fit_rows: int = FIT_ROWS, keep: list[str] | None = None) -> tuple[DataFrame, str, str]:
+    """The kept columns of docs (default: all) with the ratio and the score, and the names of these two."""
     known = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("_cls")).distinct()
     by_hash = [F.xxhash64("_id"), F.col("_id")]
     train = [known.where((F.col("_cls") == c) & fold(F.col("_id")).between(1, FOLDS - 2)).orderBy(*by_hash).limit(train_rows) for c in (0, 1)]
@@ -262,16 +310,19 @@ def scored(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     rest = stored(known.where(fold(F.col("_id")) == FOLDS - 1).orderBy(*by_hash).limit(fit_rows), "fit")
     fit = log_ratio_frame(rows.join(F.broadcast(rest), "_id"), model, "text", ["_cls"]).toArrow()  # bounded by fit_rows
     slope, offset = fit_scale(fit.column("_ratio").to_numpy(), fit.column("_cls").to_numpy().astype(float))
-    z = F.lit(slope) * F.col("_ratio") + F.lit(offset)
-    return log_ratio_frame(docs, model, text_col, keep).withColumn("_score", F.lit(1.0) / (F.lit(1.0) + F.exp(-F.greatest(F.least(z, F.lit(40.0)), F.lit(-40.0)))))
+    ratio, score = (unused(c, docs.columns) for c in ("_ratio", "_score"))
+    z = F.lit(slope) * F.col(ratio) + F.lit(offset)
+    out = log_ratio_frame(docs, model, text_col, keep, ratio)
+    return out.withColumn(score, F.lit(1.0) / (F.lit(1.0) + F.exp(-F.greatest(F.least(z, F.lit(40.0)), F.lit(-40.0))))), ratio, score
 
 
 def toxicity_frame(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train_rows: int = TRAIN_ROWS, fit_rows: int = FIT_ROWS) -> DataFrame:
     """id, held_out, ratio, score, predicted."""
-    out = scored(docs, labels, id_col, text_col, label_col, train_rows, fit_rows, [id_col])
-    return out.select(id_col, (F.coalesce(fold(F.col(id_col)), F.lit(0)) == 0).alias("held_out"), F.col("_ratio").alias("ratio"), F.col("_score").alias("score"), (F.col("_score") >= 0.5).cast("int").alias("predicted"))
+    out, ratio, score = scored(docs, labels, id_col, text_col, label_col, train_rows, fit_rows, [id_col])
+    return out.select(id_col, (F.coalesce(fold(F.col(id_col)), F.lit(0)) == 0).alias("held_out"), F.col(ratio).alias("ratio"), F.col(score).alias("score"), (F.col(score) >= 0.5).cast("int").alias("predicted"))
 
 
 def ordinary_only(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> DataFrame:
     """docs without the rows predicted toxic."""
-    return scored(docs, labels, id_col, text_col, label_col).where("_score < 0.5").select(*docs.columns)
+    out, _, score = scored(docs, labels, id_col, text_col, label_col)
+    return out.where(F.col(score) < 0.5).select(*docs.columns)

@@ -188,6 +188,68 @@ def test_toxicity_learns_and_handles_edges(spark):
     assert toxicity.toxicity_frame(empty(docs), lab).count() == 0
 
 
+def plain_kneser_ney(rows, order=5, d=0.75):
+    """word -> log-likelihood ratio, by dictionaries."""
+    grams = collections.defaultdict(lambda: [0, 0, 0])  # toxic, ordinary, all
+    for t, c in rows:
+        for w in (t or "").lower().split():
+            z = "\1" * (order - 1) + w + "\2"
+            for k in range(len(w) + 1):
+                g = grams[z[k : k + order]]
+                g[2] += 1
+                if c is not None:
+                    g[1 - c] += 1
+    levels, above = {}, set(grams)
+    for n in range(order - 1, 0, -1):
+        levels[n] = collections.Counter(g[1:] for g in above)
+        above = set(levels[n])
+
+    def mixed(count, follow, below):
+        total = sum(follow)
+        return max(count - d, 0) / total + d * sum(x > 0 for x in follow) / total * below if total else below
+
+    def ratio(w):
+        z, out = "\1" * (order - 1) + w + "\2", 0.0
+        for k in range(len(w) + 1):
+            g, p = z[k : k + order], 1.0 / 0x110000
+            for n in range(1, order):
+                at = g[order - n :]
+                p = mixed(levels[n].get(at, 0), [v for x, v in levels[n].items() if x[:-1] == at[:-1]], p)
+            near = [v for x, v in grams.items() if x[:-1] == g[:-1]]
+            own = grams.get(g, [0, 0, 0])
+            p = mixed(own[2], [v[2] for v in near], p)
+            out += np.log(mixed(own[0], [v[0] for v in near], p)) - np.log(mixed(own[1], [v[1] for v in near], p))
+        return out
+
+    return ratio
+
+
+def test_toxicity_ratios_equal_plain_kneser_ney(spark, monkeypatch):
+    rng = random.Random(9)
+    vocab = ["rot", "rotten", "Rose", "été", "字字", "a", "zz" * 20]
+    rows = [(" ".join(rng.choice(vocab) for _ in range(rng.randrange(8))), rng.choice([0, 1, None])) for _ in range(40)] + [(None, 1), ("", 0), (" \n", None)]
+    monkeypatch.setattr(toxicity, "TALLY", 3)
+    model = toxicity.fit_counts(spark.createDataFrame(rows, "text string, cls int").repartition(3))
+    ratio = plain_kneser_ney(rows)
+    words = [*map(str.lower, vocab), "new", "rotter"]
+    assert np.allclose(model.ratios(words), [ratio(w) for w in words], rtol=1e-6, atol=1e-6)
+    texts = [(i, " ".join(rng.choice(words) for _ in range(n)), "x") for i, n in enumerate((1, 7, 40_000))]
+    docs = spark.createDataFrame(texts, "doc_id int, _text string, _ratio string")
+    got = {r["doc_id"]: r["r"] for r in toxicity.log_ratio_frame(docs, model, "_text", None, "r").collect()}
+    each = {w: ratio(w) for w in words}
+    for i, t, _ in texts:
+        assert np.isclose(got[i], sum(each[w] for w in t.split()) / (len(t.replace(" ", "")) + len(t.split())), rtol=1e-6, atol=1e-6)
+
+
+def test_toxicity_with_clashing_columns(spark):
+    rows = [(i, "vile words here" if i % 2 else "calm river stones", "a", 1.0, "t", "x") for i in range(60)] + [(None, None, "a", 1.0, "t", "x")]
+    docs = spark.createDataFrame(rows, "doc_id int, text string, _ratio string, _score double, _text string, cls string")
+    labels = spark.createDataFrame([(i, i % 2, "q") for i in range(60)], "doc_id int, toxic int, text string")
+    kept = toxicity.ordinary_only(docs, labels)
+    assert kept.columns == docs.columns
+    assert sorted(r["doc_id"] for r in kept.collect() if r["doc_id"] is not None) == list(range(0, 60, 2))
+
+
 def brute_counts(t):
     w = re.findall(r"[^\x20\x09-\x0D]+", t)
     sh = [tuple(w[k : k + 5]) for k in range(len(w) - 4)]
