@@ -1,8 +1,13 @@
-"""Near copies by exact Jaccard similarity of word shingles.
+"""Near copies by SimHash links and, for what these miss, prefixes; every link is verified by exact Jaccard
+similarity of word shingles.
 
 A text's words (ASCII lower case, split at white space) give a set of shingles, kept as XXH64 hashes of
 seed 42; a text of fewer than ``width`` words is one shingle. Texts of the same set are one node.
 
+First the SimHash operator (``simhash.links``) pairs the sets' fingerprints at ``BITS`` bits or fewer; the pairs
+that have the similarity are links. A similarity of 0.8 is beyond its reach, since fingerprints of such pairs
+differ in up to 14 of 64 bits, so sets of different classes then meet on prefixes, without loss:
+
 Two sets of n >= m elements have Jaccard J >= ``num / den`` only if m >= J n and they share
 J / (1 + J) (n + m) elements. In any common order of all elements, the first n - ceil(J n) + 1 of the larger
 set (it probes) and the first m - ceil(2 J / (1 + J) m) + 1 of the smaller (it is indexed) then share one, and
@@ -27,13 +32,15 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from frsketch.llm import simhash
 from frsketch.llm.components import roots
-from frsketch.llm.shared import stored
+from frsketch.llm.shared import give_back, stored
 
 SEED = 42
 SAMPLE = 4_000
 FREQUENT = 100_000  # frequent elements sent to the workers
 HOT = 64
+BITS = 4  # at which fingerprints are paired
 PIVOTS = 16
 
 
@@ -50,14 +57,22 @@ def shingle_set(text: str | None, width: int) -> np.ndarray:
     return np.unique(np.array([digest(joined[a:b], SEED) for a, b in zip(starts[:n], ends[min(width, len(words)) - 1 :])], dtype=np.uint64))
 
 
+def set_fingerprint(s: np.ndarray) -> int:
+    """A bit is set where over half the hashes have it; signed."""
+    count = np.zeros(64, dtype=np.int64)
+    for a in range(0, len(s), simhash.PIECE):
+        count += np.unpackbits(s[a : a + simhash.PIECE].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
+    return int(np.packbits(2 * count > len(s), bitorder="little").view(np.int64)[0])
+
+
 def set_frame(docs: DataFrame, key: str, text_col: str, width: int, frequent: np.ndarray, share: tuple[int, int] | None = None) -> DataFrame:
-    """key, node (16 bytes that stand for the set), n (its size), cells (the set in the common order; with a
-    ``share``, as much of it as probes)."""
+    """key, node (16 bytes that stand for the set), n (its size), fp (its fingerprint), cells (the set in the
+    common order). With a ``share``, cells are as much of it as probes; without, fp is 0."""
     kind = docs.schema[key].dataType.simpleString()
 
     def run(batches):
         for b in batches:
-            nodes, sets, sizes = [], [], []
+            nodes, sets, sizes, fps = [], [], [], []
             for t in b.column(1).to_pylist():
                 s = shingle_set(t, width)
                 nodes.append(xxhash.xxh3_128_digest(s.tobytes()))
@@ -65,13 +80,15 @@ def set_frame(docs: DataFrame, key: str, text_col: str, width: int, frequent: np
                 late = (frequent[np.minimum(rank, len(frequent) - 1)] == s) if len(frequent) else np.zeros(len(s), dtype=bool)
                 n = len(s)
                 sizes.append(n)
+                fps.append(set_fingerprint(s) if share else 0)
                 upto = n if share is None or not n else n + n * share[0] // -share[1] + 1
                 sets.append(np.concatenate([s[~late], s[late]])[:upto].view(np.int64))
             at = np.r_[0, np.cumsum([len(s) for s in sets])].astype(np.int32)
             cells = pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.binary()), pa.array(sizes, pa.int32()), cells], [key, "node", "n", "cells"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.binary()), pa.array(sizes, pa.int32()), pa.array(fps, pa.int64()), cells], [key, "node", "n", "fp", "cells"])
+        give_back()
 
-    return docs.select(key, text_col).mapInArrow(run, f"`{key}` {kind}, node binary, n int, cells array<long>")
+    return docs.select(key, text_col).mapInArrow(run, f"`{key}` {kind}, node binary, n int, fp long, cells array<long>")
 
 
 def frequent_elements(docs: DataFrame, key: str, text_col: str, width: int) -> np.ndarray:
@@ -94,9 +111,21 @@ def alike(pairs: DataFrame, whole, num: int, den: int) -> DataFrame:
     return both.where(common * den >= (F.size("cu") + F.size("cv") - common) * num).select("u", "v")
 
 
-def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pivots: int = PIVOTS) -> DataFrame:
+def simhash_links(sets: DataFrame, whole, num: int = 4, den: int = 5, bits: int = BITS) -> DataFrame:
+    """Pairs (u, v) of Jaccard num / den or more among the distinct sets ``node``, ``n``, ``fp``: sets of one fingerprint with
+    the least of them, and the least of any two fingerprints that the SimHash operator links."""
+    some = sets.where("n > 0").select("node", "fp")
+    lead = stored(some.groupBy("fp").agg(F.min("node").alias("lead")), "fingerprints")
+    same = some.join(lead, "fp").where("node <> lead").select(F.col("node").alias("u"), F.col("lead").alias("v"))
+    near = simhash.links(lead.select("fp"), bits)
+    near = near.join(lead.select(F.col("fp").alias("u"), F.col("lead").alias("a")), "u").join(lead.select(F.col("fp").alias("v"), F.col("lead").alias("b")), "v")
+    return alike(same.unionByName(near.select(F.col("a").alias("u"), F.col("b").alias("v"))).distinct(), whole, num, den)
+
+
+def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pivots: int = PIVOTS, known: DataFrame | None = None) -> DataFrame:
     """Edges (u, v) among the distinct sets ``node``, ``n``, ``cells`` (what probes) so that two are joined by a path of edges
-    exactly if they are by a path of pairs of Jaccard num / den or more."""
+    exactly if they are by a path of pairs of Jaccard num / den or more. ``known``: such pairs found before, which
+    are among the edges; what they join is not paired again."""
     n = F.col("n")
     indexed = n - F.ceil(2 * n * num / (num + den)) + 1
     rows = sets.where("n > 0").select("node", "n", indexed.alias("ix"), F.posexplode("cells").alias("pos", "x"))
@@ -110,13 +139,19 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
     def meet(small, large, on):
         return small.alias("a").join(large.alias("b"), (F.col("a.x") == F.col("b.x")) & (a < b) & fits & on).select(F.col("a.node").alias("u"), F.col("b.node").alias("v"))
 
-    first = None
-    rows = rows.withColumn("big", F.lit(False)).withColumn("root", F.col("node"))
-    if not crowd.where(F.col("g") > hot).isEmpty():
+    first = known
+    if known is None:
+        rows = rows.withColumn("root", F.col("node"))
+    else:
+        rows = rows.join(stored(roots(sets.select("node"), known), "known-classes"), "node")
+    rows = rows.withColumn("big", F.lit(False))
+    dealt = not crowd.where(F.col("g") > hot).isEmpty()
+    if dealt:
         dense = stored(rows.where(F.col("g") > hot).drop("big", "root"), "dense")
         least = pivots_of(dense, pivots)
         near = [meet(dense, least, F.lit(True)), meet(least, dense, F.lit(True))]
-        first = stored(alike(near[0].unionByName(near[1]).distinct(), whole, num, den), "pivot-links")
+        first = alike(near[0].unionByName(near[1]).distinct(), whole, num, den)
+        first = stored(first if known is None else first.unionByName(known), "pivot-links")
         label = stored(roots(dense.select("node").distinct(), first), "labels")
         dense = dense.join(label, "node")
         most = dense.groupBy("x", "root").count().groupBy("x").agg(F.max_by("root", F.struct("count", "root")).alias("main"))
@@ -125,7 +160,7 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
     ix = rows.where("ix")
     apart = F.col("a.root") != F.col("b.root")
     pairs = meet(ix.where("not big"), rows, apart)
-    if first is not None:
+    if dealt:
         pairs = pairs.unionByName(meet(ix.where("big"), rows.where("not big"), apart))
     out = alike(pairs.distinct(), whole, num, den)
     return out if first is None else out.unionByName(first)
@@ -146,11 +181,12 @@ def copy_classes(docs: DataFrame, key: str = "doc_id", text_col: str = "text", w
     frequent = frequent_elements(docs, key, text_col, width)
     table = stored(set_frame(docs, key, text_col, width, frequent, (num, den)), "sets")
     nodes = stored(table.groupBy("node").agg(F.min(key).alias("id")), "nodes")
-    first = table.join(nodes.select(F.col("id").alias(key)), key, "left_semi").select(F.col(key).alias("node"), "n", "cells")
+    first = table.join(nodes.select(F.col("id").alias(key)), key, "left_semi").select(F.col(key).alias("node"), "n", "fp", "cells")
 
     def whole(asked):
         rows = docs.join(asked.select(F.col("node").alias(key)), key, "left_semi")
         return stored(set_frame(rows, key, text_col, width, frequent).select(F.col(key).alias("node"), "cells"), "whole-sets")
 
-    label = roots(nodes.select(F.col("id").alias("node")), links(first, whole, num, den, hot, pivots))
+    known = stored(simhash_links(first, whole, num, den), "simhash-links")
+    label = roots(nodes.select(F.col("id").alias("node")), links(first, whole, num, den, hot, pivots, known))
     return table.select(key, "node").join(nodes, "node").select(key, F.col("id").alias("node")).join(label, "node").select(key, "root")
