@@ -26,8 +26,9 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def simhash(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class of near copies stays, the one of the smallest id; a row without an id
     stays only where its class has none with one, and of a class's rows that repeat an id one stays. Near copies
-    have Jaccard 0.8 or more of their sets of five-word shingles and are found without loss. SimHash does not
-    serve here: fingerprints of such pairs differ in up to 14 of 64 bits at sf0.1."""
+    have Jaccard 0.8 or more of their sets of five-word shingles and are found without loss: SimHash links
+    verified by exact Jaccard first, then prefixes, since fingerprints of such pairs differ in up to 14 of 64
+    bits at sf0.1."""
     rows = stored(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
     label = copy_classes(rows, "_row").join(rows.select("_row", "doc_id"), "_row")
     keep = label.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "_row")).alias("least")).select("least._row")
