@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from frsketch.llm import simhash
 from frsketch.llm.components import roots
-from frsketch.llm.shared import give_back, stored
+from frsketch.llm.shared import drop_stored, give_back, stored
 
 SEED = 42
 SAMPLE = 4_000
@@ -42,6 +42,7 @@ FREQUENT = 100_000  # frequent elements sent to the workers
 HOT = 64
 BITS = 4  # at which fingerprints are paired
 PIVOTS = 16
+MAX_BROADCAST = 1_000_000  # ids of candidates
 
 
 def shingle_set(text: str | None, width: int) -> np.ndarray:
@@ -101,14 +102,17 @@ def frequent_elements(docs: DataFrame, key: str, text_col: str, width: int) -> n
     return np.sort(np.array([r["x"] for r in top.select("x").collect()], dtype=np.int64).view(np.uint64))
 
 
-def alike(pairs: DataFrame, whole, num: int, den: int) -> DataFrame:
-    """The pairs (u, v) whose whole sets have Jaccard num / den or more. ``whole`` gives the sets (node, cells)
-    of the nodes asked for, so only candidates' sets are ever written."""
+def alike(pairs: DataFrame, whole, num: int, den: int, name: str) -> DataFrame:
+    """The pairs (u, v) whose whole sets have Jaccard num / den or more, stored. ``whole`` gives the sets (node, cells)
+    of the nodes asked for, so only candidates' sets are ever written, and they go again."""
     pairs = stored(pairs, "candidates")
     sets = whole(pairs.select("u").union(pairs.select("v")).distinct().withColumnRenamed("u", "node"))
     both = pairs.join(sets.select(F.col("node").alias("u"), F.col("cells").alias("cu")), "u").join(sets.select(F.col("node").alias("v"), F.col("cells").alias("cv")), "v")
     common = F.size(F.array_intersect("cu", "cv"))
-    return both.where(common * den >= (F.size("cu") + F.size("cv") - common) * num).select("u", "v")
+    out = stored(both.where(common * den >= (F.size("cu") + F.size("cv") - common) * num).select("u", "v"), name)
+    drop_stored(pairs)
+    drop_stored(sets)
+    return out
 
 
 def simhash_links(sets: DataFrame, whole, num: int = 4, den: int = 5, bits: int = BITS) -> DataFrame:
@@ -119,7 +123,7 @@ def simhash_links(sets: DataFrame, whole, num: int = 4, den: int = 5, bits: int
     same = some.join(lead, "fp").where("node <> lead").select(F.col("node").alias("u"), F.col("lead").alias("v"))
     near = simhash.links(lead.select("fp"), bits)
     near = near.join(lead.select(F.col("fp").alias("u"), F.col("lead").alias("a")), "u").join(lead.select(F.col("fp").alias("v"), F.col("lead").alias("b")), "v")
-    return alike(same.unionByName(near.select(F.col("a").alias("u"), F.col("b").alias("v"))).distinct(), whole, num, den)
+    return alike(same.unionByName(near.select(F.col("a").alias("u"), F.col("b").alias("v"))).distinct(), whole, num, den, "simhash-links")
 
 
 def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pivots: int = PIVOTS, known: DataFrame | None = None) -> DataFrame:
@@ -129,7 +133,7 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
     n = F.col("n")
     indexed = n - F.ceil(2 * n * num / (num + den)) + 1
     rows = sets.where("n > 0").select("node", "n", indexed.alias("ix"), F.posexplode("cells").alias("pos", "x"))
-    rows = stored(rows.select("x", "node", "n", "pos", (F.col("pos") < F.col("ix")).alias("ix")), "prefixes")
+    rows = rows.select("x", "node", "n", "pos", (F.col("pos") < F.col("ix")).alias("ix"))
     crowd = rows.groupBy("x").agg(F.count("*").alias("g"), F.count_if("ix").alias("k")).where("g > 1 and k > 0")
     crowd = stored(crowd, "crowds")
     rows = rows.join(crowd.select("x", "g"), "x")
@@ -144,13 +148,13 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
         rows = rows.withColumn("root", F.col("node"))
     else:
         rows = rows.join(stored(roots(sets.select("node"), known), "known-classes"), "node")
-    rows = rows.withColumn("big", F.lit(False))
+    rows = stored(rows.withColumn("big", F.lit(False)), "met")  # what shares an element with another
     dealt = not crowd.where(F.col("g") > hot).isEmpty()
     if dealt:
         dense = stored(rows.where(F.col("g") > hot).drop("big", "root"), "dense")
         least = pivots_of(dense, pivots)
         near = [meet(dense, least, F.lit(True)), meet(least, dense, F.lit(True))]
-        first = alike(near[0].unionByName(near[1]).distinct(), whole, num, den)
+        first = alike(near[0].unionByName(near[1]).distinct(), whole, num, den, "pivot-pairs")
         first = stored(first if known is None else first.unionByName(known), "pivot-links")
         label = stored(roots(dense.select("node").distinct(), first), "labels")
         dense = dense.join(label, "node")
@@ -162,7 +166,7 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
     pairs = meet(ix.where("not big"), rows, apart)
     if dealt:
         pairs = pairs.unionByName(meet(ix.where("big"), rows.where("not big"), apart))
-    out = alike(pairs.distinct(), whole, num, den)
+    out = alike(pairs.distinct(), whole, num, den, "prefix-links")
     return out if first is None else out.unionByName(first)
 
 
@@ -184,9 +188,11 @@ def copy_classes(docs: DataFrame, key: str = "doc_id", text_col: str = "text", w
     first = table.join(nodes.select(F.col("id").alias(key)), key, "left_semi").select(F.col(key).alias("node"), "n", "fp", "cells")
 
     def whole(asked):
-        rows = docs.join(asked.select(F.col("node").alias(key)), key, "left_semi")
+        asked = stored(asked.select(F.col("node").alias(key)), "asked")
+        small = asked.count() <= MAX_BROADCAST  # else both sides are shuffled
+        rows = docs.join(F.broadcast(asked) if small else asked, key, "left_semi")
         return stored(set_frame(rows, key, text_col, width, frequent).select(F.col(key).alias("node"), "cells"), "whole-sets")
 
-    known = stored(simhash_links(first, whole, num, den), "simhash-links")
+    known = simhash_links(first, whole, num, den)
     label = roots(nodes.select(F.col("id").alias("node")), links(first, whole, num, den, hot, pivots, known))
     return table.select(key, "node").join(nodes, "node").select(key, F.col("id").alias("node")).join(label, "node").select(key, "root")
