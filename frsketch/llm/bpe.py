@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from frsketch.llm.pretokens import Slices
-from frsketch.llm.shared import Cache, give_back
+from frsketch.llm.shared import Cache, give_back, texts as bounded
 
 ENTRY = 300  # bytes of a cached slice besides its own
 BATCH_CHARS = 1_000_000
@@ -232,4 +232,4 @@ def encode_frame(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
             arrays += [pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(counts)], pa.int32()), pa.array(flat, pa.int32())), pa.array([x.decode() for x in decoded], pa.string())]
         return pa.RecordBatch.from_arrays(arrays, [id_col, "n_tokens", "ids_sha256", "decoded_sha256", "ids", "decoded"][: len(arrays)])
 
-    return docs.select(id_col, F.col(text_col)).mapInArrow(run, schema)
+    return bounded(docs).select(id_col, F.col(text_col)).mapInArrow(run, schema)

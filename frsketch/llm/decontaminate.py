@@ -33,7 +33,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-MAX_ITEM_BYTES = 256 << 20
+from frsketch.llm.shared import give_back, texts as bounded
+
+MAX_ITEM_CHARS = 8_000_000  # of the items searched at once; more are searched in several parts
 SIMILARITY = 0.8
 RECALL = 0.995
 SAMPLED = 3  # positions a key
@@ -264,16 +266,23 @@ def bounds_of(ends: np.ndarray, text: np.ndarray, shift: int) -> np.ndarray:
     return ends[text + shift][:, None]
 
 
-def find_leaks(docs: DataFrame, items: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
+def find_leaks(docs: DataFrame, items: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", most: int = MAX_ITEM_CHARS) -> DataFrame:
     """id, item, distance (word edits), n_words (of the item), first_word: one row for each document
     and item that it leaks."""
     spark = docs.sparkSession
-    size = items.agg(F.sum(F.length(item_text))).first()[0] or 0
-    if size > MAX_ITEM_BYTES:
-        raise ValueError(f"items of {size} characters: search in parts of {MAX_ITEM_BYTES}")
-    rows = [tuple(r) for r in items.where(F.col(item_col).isNotNull()).select(item_col, item_text).orderBy(item_col, item_text).collect()]
-    sent = spark.sparkContext.broadcast(Index(similarity=similarity).build(rows, recall))
-    kinds = [docs.schema[id_col].dataType.simpleString(), items.schema[item_col].dataType.simpleString()]
+    items = items.where(F.col(item_col).isNotNull()).select(F.col(item_col).alias("item"), F.col(item_text).alias("text"))
+    parts = -(-(items.agg(F.sum(F.length("text"))).first()[0] or 0) // most) or 1
+    out = None
+    for k in range(parts):  # a row's part is that of its text
+        rows = items.where(F.pmod(F.xxhash64("text"), F.lit(parts)) == k).orderBy("item", "text").collect()  # about ``most`` characters
+        index = Index(similarity=similarity).build([tuple(r) for r in rows], recall)
+        got = _search(docs, spark.sparkContext.broadcast(index), items.schema["item"].dataType.simpleString(), id_col, text_col, item_col)
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
+def _search(docs: DataFrame, sent, item_kind: str, id_col: str, text_col: str, item_col: str) -> DataFrame:
+    kinds = [docs.schema[id_col].dataType.simpleString(), item_kind]
     schema = f"{id_col} {kinds[0]}, {item_col} {kinds[1]}, distance int, n_words int, first_word long"
 
     def run(batches):
@@ -292,5 +301,6 @@ def find_leaks(docs: DataFrame, items: DataFrame, similarity: float = SIMILARITY
                     named = pa.array([index.items[x][0] for x in i])
                     yield pa.RecordBatch.from_arrays([ids, named, pa.array(d, pa.int32()), pa.array([len(index.items[x][1]) for x in i], pa.int32()), pa.array(a, pa.int64())], [id_col, item_col, "distance", "n_words", "first_word"])
                 at = end
+        give_back()
 
-    return docs.select(id_col, text_col).mapInArrow(run, schema)
+    return bounded(docs).select(id_col, text_col).mapInArrow(run, schema)

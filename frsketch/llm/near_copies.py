@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from frsketch.llm import simhash
 from frsketch.llm.components import roots
-from frsketch.llm.shared import drop_stored, give_back, stored
+from frsketch.llm.shared import drop_stored, give_back, stored, texts as bounded
 
 SEED = 42
 SAMPLE = 4_000
@@ -89,7 +89,7 @@ def set_frame(docs: DataFrame, key: str, text_col: str, width: int, frequent: np
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.binary()), pa.array(sizes, pa.int32()), pa.array(fps, pa.int64()), cells], [key, "node", "n", "fp", "cells"])
         give_back()
 
-    return docs.select(key, text_col).mapInArrow(run, f"`{key}` {kind}, node binary, n int, fp long, cells array<long>")
+    return bounded(docs).select(key, text_col).mapInArrow(run, f"`{key}` {kind}, node binary, n int, fp long, cells array<long>")
 
 
 def frequent_elements(docs: DataFrame, key: str, text_col: str, width: int) -> np.ndarray:

@@ -9,6 +9,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 CACHE_BYTES = 96 << 20
+BATCH_BYTES = 4 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -42,6 +43,15 @@ def drop_stored(df: DataFrame) -> None:
         parent.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(parent, True)
 
 
+def texts(docs: DataFrame) -> DataFrame:
+    """``docs``, with Arrow batches to Python workers bounded in bytes from now on (a run-time setting of the
+    session, kept where it is set already): rows are counted in thousands, and texts may be long."""
+    conf = docs.sparkSession.conf
+    if conf.get("spark.sql.execution.arrow.maxBytesPerBatch", None) is None:
+        conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+    return docs
+
+
 def unused(name: str, columns: list[str]) -> str:
     """``name``, with as many underscores before it as keep it apart from ``columns``."""
     taken = {c.lower() for c in columns}

@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from frsketch.llm.components import roots
-from frsketch.llm.shared import stored
+from frsketch.llm.shared import give_back, stored, texts as bounded
 
 SEED = 42
 SAMPLE = 20_000
@@ -92,8 +92,9 @@ def fingerprint_frame(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
         for b in batches:
             texts = [t or "" for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fingerprints_of(texts, width))], [id_col, "fp"])
+        give_back()
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, fp long")
+    return bounded(docs).select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, fp long")
 
 
 # ---- plan: partitions and thresholds

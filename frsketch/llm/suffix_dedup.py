@@ -39,7 +39,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from frsketch.llm.lyndon import suffix_array
-from frsketch.llm.shared import drop_stored, stored
+from frsketch.llm.shared import drop_stored, give_back, stored, texts as bounded
 
 LENGTH = 100
 GRAM = 24
@@ -153,6 +153,7 @@ def anchor_frame(docs: DataFrame, id_kind: str, wanted=None) -> DataFrame:
                 row = np.fromiter((r for r, _, _ in group), np.int64, len(group))[text]
                 at = (lo + shift) << 14 | (a - lo) << 7 | n
                 yield pa.RecordBatch.from_arrays([k, pa.array(c.view(np.int64)), keys.take(pa.array(row)), pa.array(at)], ["k", "c", "id", "at"])
+        give_back()
 
     return docs.select("id", "text").mapInArrow(run, f"k long, c long, id {id_kind}, at long" if wanted is not None else "k long")
 
@@ -220,6 +221,7 @@ def cut_frame(docs: DataFrame, wanted: DataFrame, id_kind: str) -> DataFrame:
                     out = []
             if out:
                 yield rows_of(ids, out)
+        give_back()
 
     def rows_of(ids, out):
         k, before, after, r, s, n = zip(*out)
@@ -311,7 +313,7 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     """(id, lo, n): windows lo .. lo + n - 1 of the text are repeated. Rows may overlap."""
     spark = docs.sparkSession
     kind = docs.schema[id_col].dataType.simpleString()
-    rows = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    rows = bounded(docs).where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     wanted = spark.sparkContext.broadcast(repeat_filter(anchor_frame(rows, kind)))
     tidy(spark)
     runs = stored(anchor_frame(rows, kind, wanted), "runs")
@@ -380,5 +382,6 @@ def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
                 arrays += [pa.array(where, pa.list_(pa.struct([("begin", pa.int64()), ("end", pa.int64())]))), pa.array(kept, pa.binary())]
             names = [id_col, "n_bytes", "n_removed", "n_spans", "kept_sha256", "spans", "kept"][: len(arrays)]
             yield pa.RecordBatch.from_arrays([*arrays, *b.columns[3:]], [*names, *carry])
+        give_back()
 
     return rows.mapInArrow(run, schema)

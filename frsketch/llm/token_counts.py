@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from frsketch.llm.bpe import text_batches
 from frsketch.llm.pretokens import Slices
-from frsketch.llm.shared import Cache, give_back
+from frsketch.llm.shared import Cache, give_back, texts as bounded
 
 CHUNK = 65_536
 OVERLAP = 1_024
@@ -158,4 +158,4 @@ def count_tokens(docs: DataFrame, path: str, limit: int = 512, id_col: str = "do
             lib.cache.clear()
             give_back()
 
-    return docs.select(id_col, F.col(text_col)).mapInArrow(run, f"{id_col} {kind}, n_bytes long, n_tokens long, over_limit boolean")
+    return bounded(docs).select(id_col, F.col(text_col)).mapInArrow(run, f"{id_col} {kind}, n_bytes long, n_tokens long, over_limit boolean")

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from frsketch.llm.bpe import text_batches
 from frsketch.llm.mixing_coder import decode_segment, encode_segment
-from frsketch.llm.shared import give_back
+from frsketch.llm.shared import give_back, texts as bounded
 from frsketch.llm.token_counts import ids_of_texts, library
 
 SEGMENT = 4_000_000
@@ -32,7 +32,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, id
     kind = docs.schema[id_col].dataType.simpleString()
     spark = docs.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    rows = docs.select(F.col(id_col).alias("id"), F.coalesce(text_col, F.lit("")).alias("text"))
+    rows = bounded(docs).select(F.col(id_col).alias("id"), F.coalesce(text_col, F.lit("")).alias("text"))
     rows = rows.repartitionByRange(parts, "id").sortWithinPartitions("id", "text").withColumn("part", F.spark_partition_id())
 
     def run(batches):

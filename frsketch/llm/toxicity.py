@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from frsketch.llm.shared import Cache, give_back, stored, unused
+from frsketch.llm.shared import Cache, give_back, stored, texts as bounded, unused
 
 ORDER = 5
 BITS = 20
@@ -174,7 +174,7 @@ def count_words(rows: DataFrame) -> DataFrame:
         every = by_class = None
         give_back()
 
-    got = rows.select("text", "cls").mapInArrow(run, "word string, tox long, ord long, every long")
+    got = bounded(rows).select("text", "cls").mapInArrow(run, "word string, tox long, ord long, every long")
     return got.groupBy("word").agg(*[F.sum(c).alias(c) for c in names[1:]])
 
 
@@ -256,7 +256,7 @@ def fit_counts(rows: DataFrame, order: int = ORDER, bits: int = BITS) -> Model:
 def log_ratio_frame(docs: DataFrame, model: Model, text_col: str = "text", keep: list[str] | None = None, out_col: str = "_ratio") -> DataFrame:
     """The kept columns (default: all) and ``out_col``, the log-likelihood ratio per letter."""
     keep = docs.columns if keep is None else keep
-    text = unused("_text", keep)
+    place = keep.index(text_col) if text_col in keep else len(keep)  # the text travels once
     kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
     name, sent = model.share(docs.sparkSession)
 
@@ -264,7 +264,7 @@ def log_ratio_frame(docs: DataFrame, model: Model, text_col: str = "text", keep:
         m = Model.received(name, sent)
         try:
             for b in batches:
-                texts = [t or "" for t in b.column(0).to_pylist()]
+                texts = [t or "" for t in b.column(place).to_pylist()]
                 out = np.zeros(len(texts))
                 for lo, hi in groups(texts):
                     split = [t.lower().split() for t in texts[lo:hi]]
@@ -274,14 +274,15 @@ def log_ratio_frame(docs: DataFrame, model: Model, text_col: str = "text", keep:
                     for k, ws in enumerate(split, lo):
                         if ws:
                             out[k] = sum([look[w] for w in ws]) / (sum(map(len, ws)) + len(ws))
-                yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(out)], [*keep, out_col])
+                yield pa.RecordBatch.from_arrays([*b.columns[: len(keep)], pa.array(out)], [*keep, out_col])
         finally:
             m.cache.clear()
             m = None
             _MODELS.clear()
             give_back()
 
-    return docs.select(F.col(text_col).alias(text), *[F.col(f"`{c}`") for c in keep]).mapInArrow(run, f"{kinds}, {out_col} double")
+    sent_cols = [F.col(f"`{c}`") for c in keep] + ([F.col(text_col).alias(unused("_text", keep))] if place == len(keep) else [])
+    return bounded(docs).select(*sent_cols).mapInArrow(run, f"{kinds}, {out_col} double")
 
 
 def fit_scale(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:

@@ -153,6 +153,8 @@ def test_leaks_equal_brute_force(spark):
                 want[i, k] = d
     missed = set(want) - set(got)
     assert set(got) <= set(want) and len(missed) <= 0.02 * len(want) and all(got[p] == want[p] for p in got)
+    in_parts = {(r["doc_id"], r["item_id"]): r["distance"] for r in decontaminate.find_leaks(docs, bench, most=60).collect()}
+    assert set(in_parts) <= set(want) and len(set(want) - set(in_parts)) <= 0.02 * len(want)
     assert decontaminate.find_leaks(docs, empty(bench)).count() == 0 and decontaminate.find_leaks(empty(docs), bench).count() == 0
 
 
