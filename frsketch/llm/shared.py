@@ -8,7 +8,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-CACHE_BYTES = 96 << 20
+CACHE_BYTES = 48 << 20
 BATCH_BYTES = 4 << 20
 
 
