@@ -19,7 +19,8 @@ A prefix element held by over ``HOT`` nodes (a dense cloud of near copies) first
 ``PIVOTS`` of them. Of the classes found so far the largest one at each such element is then not paired
 with itself, for its members are linked already; all other pairs are. Classes are exact, and a cloud that its
 pivots link costs as much as it has members. What remains quadratic are many texts of like length that share
-a rare element and are no near copies.
+a rare element and are no near copies. Elements of one set alone are dropped first by the filter of fixed size
+that the repeated-string operator has (where more elements repeat than it can tell apart, more rows pass).
 
 Null and empty texts have the empty set and are one class. An empty table gives an empty result.
 """
@@ -35,10 +36,12 @@ from pyspark.sql import functions as F
 from frsketch.llm import simhash
 from frsketch.llm.components import roots
 from frsketch.llm.shared import drop_stored, give_back, stored, texts as bounded
+from frsketch.llm.suffix_dedup import filter_cells, repeat_filter
 
 SEED = 42
 SAMPLE = 4_000
 FREQUENT = 100_000  # frequent elements sent to the workers
+PIECE = 50_000  # words hashed together
 HOT = 64
 BITS = 4  # at which fingerprints are paired
 PIVOTS = 16
@@ -50,12 +53,16 @@ def shingle_set(text: str | None, width: int) -> np.ndarray:
     words = (text or "").encode().lower().split()
     if not words:
         return np.zeros(0, dtype=np.uint64)
-    joined = b" ".join(words)
-    ends = (np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1).tolist()
-    starts = [0, *[e + 1 for e in ends[:-1]]]
     n = max(1, len(words) - width + 1)
-    digest = xxhash.xxh64_intdigest
-    return np.unique(np.array([digest(joined[a:b], SEED) for a, b in zip(starts[:n], ends[min(width, len(words)) - 1 :])], dtype=np.uint64))
+    digest, parts = xxhash.xxh64_intdigest, []
+    for at in range(0, n, PIECE):
+        some = words[at : at + PIECE + width - 1]
+        joined = b" ".join(some)
+        ends = (np.cumsum(np.fromiter(map(len, some), np.int64, len(some)) + 1) - 1).tolist()
+        starts = [0, *[e + 1 for e in ends[:-1]]]
+        m = max(1, len(some) - width + 1)
+        parts.append(np.array([digest(joined[a:b], SEED) for a, b in zip(starts[:m], ends[min(width, len(some)) - 1 :])], dtype=np.uint64))
+    return np.unique(np.concatenate(parts))
 
 
 def set_fingerprint(s: np.ndarray) -> int:
@@ -126,14 +133,38 @@ def simhash_links(sets: DataFrame, whole, num: int = 4, den: int = 5, bits: int
     return alike(same.unionByName(near.select(F.col("a").alias("u"), F.col("b").alias("v"))).distinct(), whole, num, den, "simhash-links")
 
 
+def prefix_rows(sets: DataFrame, num: int, den: int, wanted=None) -> DataFrame:
+    """x of every element that probes; with ``wanted``, a broadcast filter, of those that pass it: x, node, n, pos (in the
+    common order), ix (is it indexed)."""
+
+    def run(batches):
+        bits = None if wanted is None else np.frombuffer(wanted.value, dtype=np.uint8)
+        for b in batches:
+            cells = b.column(2)
+            x = np.asarray(cells.flatten())
+            if bits is None:
+                yield pa.RecordBatch.from_arrays([pa.array(x)], ["k"])
+                continue
+            size = np.asarray(cells.value_lengths())
+            first, second = filter_cells(x.view(np.uint64))
+            at = np.flatnonzero(bits[first >> 3] >> (first & 7).astype(np.uint8) & bits[second >> 3] >> (second & 7).astype(np.uint8) & 1)
+            row = np.repeat(np.arange(len(size)), size)[at]
+            pos = at - (np.cumsum(size) - size)[row]
+            n = np.asarray(b.column(1)).astype(np.int64)[row]
+            indexed = n - -(-2 * n * num // (num + den)) + 1
+            yield pa.RecordBatch.from_arrays([pa.array(x[at]), b.column(0).take(pa.array(row)), pa.array(n, pa.int32()), pa.array(pos, pa.int32()), pa.array(pos < indexed)], ["x", "node", "n", "pos", "ix"])
+        give_back()
+
+    kind = sets.schema["node"].dataType.simpleString()
+    return bounded(sets).where("n > 0").select("node", "n", "cells").mapInArrow(run, "k long" if wanted is None else f"x long, node {kind}, n int, pos int, ix boolean")
+
+
 def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pivots: int = PIVOTS, known: DataFrame | None = None) -> DataFrame:
     """Edges (u, v) among the distinct sets ``node``, ``n``, ``cells`` (what probes) so that two are joined by a path of edges
     exactly if they are by a path of pairs of Jaccard num / den or more. ``known``: such pairs found before, which
     are among the edges; what they join is not paired again."""
-    n = F.col("n")
-    indexed = n - F.ceil(2 * n * num / (num + den)) + 1
-    rows = sets.where("n > 0").select("node", "n", indexed.alias("ix"), F.posexplode("cells").alias("pos", "x"))
-    rows = rows.select("x", "node", "n", "pos", (F.col("pos") < F.col("ix")).alias("ix"))
+    wanted = sets.sparkSession.sparkContext.broadcast(repeat_filter(prefix_rows(sets, num, den)))
+    rows = stored(prefix_rows(sets, num, den, wanted), "prefixes")  # elements that occur once are left out, but for those that the filter lets by
     crowd = rows.groupBy("x").agg(F.count("*").alias("g"), F.count_if("ix").alias("k")).where("g > 1 and k > 0")
     crowd = stored(crowd, "crowds")
     rows = rows.join(crowd.select("x", "g"), "x")
