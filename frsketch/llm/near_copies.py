@@ -12,7 +12,7 @@ Two sets of n >= m elements have Jaccard J >= ``num / den`` only if m >= J n and
 J / (1 + J) (n + m) elements. In any common order of all elements, the first n - ceil(J n) + 1 of the larger
 set (it probes) and the first m - ceil(2 J / (1 + J) m) + 1 of the smaller (it is indexed) then share one, and
 from there on enough elements are left. So candidates meet on such prefixes and no pair is lost; each is
-verified on the whole sets. The order is by hash, elements that a bounded sample of texts shows to be
+verified, by parity maps that rule most false ones out and then on the whole sets. The order is by hash, elements that a bounded sample of texts shows to be
 frequent last: the sample bears on the cost alone.
 
 A prefix element held by over ``HOT`` nodes (a dense cloud of near copies) first has its holders compared with
@@ -42,9 +42,10 @@ SEED = 42
 SAMPLE = 4_000
 FREQUENT = 100_000  # frequent elements sent to the workers
 PIECE = 50_000  # words hashed together
-HOT = 64
+HOT = 8
 BITS = 4  # at which fingerprints are paired
-PIVOTS = 16
+PIVOTS = 4
+PARITY_WORDS = 32  # 64-bit words of a parity map
 MAX_BROADCAST = 1_000_000  # ids of candidates
 
 
@@ -73,14 +74,22 @@ def set_fingerprint(s: np.ndarray) -> int:
     return int(np.packbits(2 * count > len(s), bitorder="little").view(np.int64)[0])
 
 
+def parity_map(s: np.ndarray) -> np.ndarray:
+    """A bit for each residue of the hashes: is it held an odd number of times. Two maps differ in no more bits
+    than their sets in elements."""
+    odd = np.bincount((s & np.uint64(64 * PARITY_WORDS - 1)).astype(np.int64), minlength=64 * PARITY_WORDS) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.int64)
+
+
 def set_frame(docs: DataFrame, key: str, text_col: str, width: int, frequent: np.ndarray, share: tuple[int, int] | None = None) -> DataFrame:
-    """key, node (16 bytes that stand for the set), n (its size), fp (its fingerprint), cells (the set in the
-    common order). With a ``share``, cells are as much of it as probes; without, fp is 0."""
+    """key, node (16 bytes that stand for the set), n (its size), cells (the set in the common
+    order). With a ``share``, cells are as much of it as probes, and fp (its fingerprint) and odd (its parity map)
+    come before them."""
     kind = docs.schema[key].dataType.simpleString()
 
     def run(batches):
         for b in batches:
-            nodes, sets, sizes, fps = [], [], [], []
+            nodes, sets, sizes, fps, odd = [], [], [], [], []
             for t in b.column(1).to_pylist():
                 s = shingle_set(t, width)
                 nodes.append(xxhash.xxh3_128_digest(s.tobytes()))
@@ -88,15 +97,22 @@ def set_frame(docs: DataFrame, key: str, text_col: str, width: int, frequent: np
                 late = (frequent[np.minimum(rank, len(frequent) - 1)] == s) if len(frequent) else np.zeros(len(s), dtype=bool)
                 n = len(s)
                 sizes.append(n)
-                fps.append(set_fingerprint(s) if share else 0)
+                if share:
+                    fps.append(set_fingerprint(s))
+                    odd.append(parity_map(s))
                 upto = n if share is None or not n else n + n * share[0] // -share[1] + 1
                 sets.append(np.concatenate([s[~late], s[late]])[:upto].view(np.int64))
             at = np.r_[0, np.cumsum([len(s) for s in sets])].astype(np.int32)
             cells = pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.binary()), pa.array(sizes, pa.int32()), pa.array(fps, pa.int64()), cells], [key, "node", "n", "fp", "cells"])
+            also = []
+            if share:
+                flat = np.concatenate(odd) if odd else np.zeros(0, np.int64)
+                also = [pa.array(fps, pa.int64()), pa.ListArray.from_arrays(pa.array(np.arange(len(odd) + 1) * PARITY_WORDS, pa.int32()), pa.array(flat))]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.binary()), pa.array(sizes, pa.int32()), *also, cells], [key, "node", "n", *(["fp", "odd"] if share else []), "cells"])
         give_back()
 
-    return bounded(docs).select(key, text_col).mapInArrow(run, f"`{key}` {kind}, node binary, n int, fp long, cells array<long>")
+    more = "fp long, odd array<long>, " if share else ""
+    return bounded(docs).select(key, text_col).mapInArrow(run, f"`{key}` {kind}, node binary, n int, {more}cells array<long>")
 
 
 def frequent_elements(docs: DataFrame, key: str, text_col: str, width: int) -> np.ndarray:
@@ -109,10 +125,14 @@ def frequent_elements(docs: DataFrame, key: str, text_col: str, width: int) -> n
     return np.sort(np.array([r["x"] for r in top.select("x").collect()], dtype=np.int64).view(np.uint64))
 
 
-def alike(pairs: DataFrame, whole, num: int, den: int, name: str) -> DataFrame:
-    """The pairs (u, v) whose whole sets have Jaccard num / den or more, stored. ``whole`` gives the sets (node, cells)
-    of the nodes asked for, so only candidates' sets are ever written, and they go again."""
-    pairs = stored(pairs, "candidates")
+def alike(pairs: DataFrame, light: DataFrame, whole, num: int, den: int, name: str) -> DataFrame:
+    """The pairs (u, v) whose whole sets have Jaccard num / den or more, stored. ``light`` has node, n and odd of every set:
+    pairs whose parity maps differ in more bits than such sets can in elements go first. ``whole`` gives the sets
+    (node, cells) of the nodes asked for, so only candidates' sets are ever written, and they go again."""
+    u, v = (light.select(F.col("node").alias(x), F.col("n").alias(f"n{x}"), F.col("odd").alias(f"o{x}")) for x in "uv")
+    differ = F.aggregate(F.zip_with("ou", "ov", lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda a, x: a + x)
+    near = pairs.join(u, "u").join(v, "v").where(differ * (num + den) <= (F.col("nu") + F.col("nv")) * (den - num))
+    pairs = stored(near.select("u", "v"), "candidates")
     sets = whole(pairs.select("u").union(pairs.select("v")).distinct().withColumnRenamed("u", "node"))
     both = pairs.join(sets.select(F.col("node").alias("u"), F.col("cells").alias("cu")), "u").join(sets.select(F.col("node").alias("v"), F.col("cells").alias("cv")), "v")
     common = F.size(F.array_intersect("cu", "cv"))
@@ -130,7 +150,7 @@ def simhash_links(sets: DataFrame, whole, num: int = 4, den: int = 5, bits: int
     same = some.join(lead, "fp").where("node <> lead").select(F.col("node").alias("u"), F.col("lead").alias("v"))
     near = simhash.links(lead.select("fp"), bits)
     near = near.join(lead.select(F.col("fp").alias("u"), F.col("lead").alias("a")), "u").join(lead.select(F.col("fp").alias("v"), F.col("lead").alias("b")), "v")
-    return alike(same.unionByName(near.select(F.col("a").alias("u"), F.col("b").alias("v"))).distinct(), whole, num, den, "simhash-links")
+    return alike(same.unionByName(near.select(F.col("a").alias("u"), F.col("b").alias("v"))).distinct(), sets, whole, num, den, "simhash-links")
 
 
 def prefix_rows(sets: DataFrame, num: int, den: int, wanted=None) -> DataFrame:
@@ -185,7 +205,7 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
         dense = stored(rows.where(F.col("g") > hot).drop("big", "root"), "dense")
         least = pivots_of(dense, pivots)
         near = [meet(dense, least, F.lit(True)), meet(least, dense, F.lit(True))]
-        first = alike(near[0].unionByName(near[1]).distinct(), whole, num, den, "pivot-pairs")
+        first = alike(near[0].unionByName(near[1]).distinct(), sets, whole, num, den, "pivot-pairs")
         first = stored(first if known is None else first.unionByName(known), "pivot-links")
         label = stored(roots(dense.select("node").distinct(), first), "labels")
         dense = dense.join(label, "node")
@@ -197,7 +217,7 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
     pairs = meet(ix.where("not big"), rows, apart)
     if dealt:
         pairs = pairs.unionByName(meet(ix.where("big"), rows.where("not big"), apart))
-    out = alike(pairs.distinct(), whole, num, den, "prefix-links")
+    out = alike(pairs.distinct(), sets, whole, num, den, "prefix-links")
     return out if first is None else out.unionByName(first)
 
 
@@ -216,7 +236,7 @@ def copy_classes(docs: DataFrame, key: str = "doc_id", text_col: str = "text", w
     frequent = frequent_elements(docs, key, text_col, width)
     table = stored(set_frame(docs, key, text_col, width, frequent, (num, den)), "sets")
     nodes = stored(table.groupBy("node").agg(F.min(key).alias("id")), "nodes")
-    first = table.join(nodes.select(F.col("id").alias(key)), key, "left_semi").select(F.col(key).alias("node"), "n", "fp", "cells")
+    first = table.join(nodes.select(F.col("id").alias(key)), key, "left_semi").select(F.col(key).alias("node"), "n", "fp", "odd", "cells")
 
     def whole(asked):
         asked = stored(asked.select(F.col("node").alias(key)), "asked")
