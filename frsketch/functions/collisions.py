@@ -101,15 +101,34 @@ def collision_variance_bound(ec):
     return ec * ec + ec
 
 
-def region_masses(n: float, m: float, q: int, r: int) -> dict[str, float]:
-    """Collision mass by region of the one-bucket square: the box next to 1 (``top``), the boxes of the
-    last exponent (``corner``), and head boxes below and above 1/n (``strip``, ``ray``)."""
-    low, width = boxes(0, q, r)
-    mass = box_mass(low, width, n) * box_mass(low, width, m)
-    head = np.arange(len(low)) < ((1 << q) - 1) << r
-    top = np.isclose(low + width, 1)
-    near = low < 1 / max(n, 1)
-    return {"top": mass[top].sum(), "corner": mass[~head].sum(), "ray": mass[head & ~top & ~near].sum(), "strip": mass[head & ~top & near].sum()}
+def region_masses(n: float, m: float, q: int, r: int, points: int = 40_001) -> dict[str, float]:
+    """Mass of the minima of n and m uniform values in the four regions that together cover a bucket's collision
+    boxes: the square next to 1, the square at the origin, the band between the lines of slope l / (l + 1) and
+    (l + 1) / l, and the band of half width 1 / (l H) between 1 / (l H) and 1 / H, with l = 2**r, H = 2**2**q. The
+    bands are integrated over ln x by the trapezoid rule."""
+    l, big = 2.0**r, 2.0 ** (2**q)
+    least = 1 / (l * big)
+
+    def tail(x, c):  # P(minimum of c values > x)
+        return np.exp(c * np.log1p(-np.clip(x, 0, 1 - 1e-16))) * (x < 1)
+
+    def band(lo, hi, below, above):
+        x = np.exp(np.linspace(math.log(lo), math.log(hi), points))
+        density = n * np.exp((n - 1) * np.log1p(-x)) * (tail(below(x), m) - tail(above(x), m)) * x
+        return float(np.trapezoid(density, np.log(x)))
+
+    return {
+        "top_right": (l + 1) ** -(n + m),
+        "bottom_left": float(np.expm1(n * np.log1p(-least)) * np.expm1(m * np.log1p(-least))),
+        "ray": band(1e-12 / max(n, m), l / (l + 1), lambda x: x * l / (l + 1), lambda x: x * (l + 1) / l),
+        "strip": band(least, 1 / big, lambda x: x - least, lambda x: x + least),
+    }
+
+
+def region_bounds(n: float, q: int, r: int) -> dict[str, float]:
+    """Upper bounds of ``region_masses``, for n >= m."""
+    l, big = 2.0**r, 2.0 ** (2**q)
+    return {"top_right": 1 / l, "bottom_left": n / (l * big), "ray": 3 / l, "strip": 2 / l}
 
 
 # ---- Columns
@@ -153,8 +172,16 @@ def exponent_collisions_col(n: Column, m: Column, p: int, q: int) -> Column:
     return F.aggregate(F.transform(F.sequence(F.lit(0), F.lit((1 << q) - 1)), term), F.lit(0.0), lambda a, x: a + x) * 2**p
 
 
-def approx_collisions_col(n: Column, m: Column, params: FrsParams, constant: float = PRINTED) -> Column:
-    """The approximation as a Column; null past the range (see ``range_status``)."""
+def box_mass_cols(n: Column, params: FrsParams) -> list[Column]:
+    """The mass of each exponent's box under n elements a sketch: the exact expectation at r = 0 of two sets is 2**p times
+    the sum of their products."""
+    low, width = boxes(params.p, params.q, 0)
+    return [_mass_col(F.lit(float(x)), F.lit(float(y)), n.cast("double")) for x, y in zip(low, width)]
+
+
+def approx_collisions_col(n: Column, m: Column, params: FrsParams, constant: float = PRINTED, bare: Column | None = None) -> Column:
+    """The approximation as a Column; null past the range (see ``range_status``). ``bare``: the exact expectation at
+    r = 0, where the caller has it."""
     p, q, r = params.p, params.q, params.r
     n, m = n.cast("double"), m.cast("double")
     big, small = F.greatest(n, m), F.least(n, m)
@@ -162,7 +189,7 @@ def approx_collisions_col(n: Column, m: Column, params: FrsParams, constant: flo
     return (
         F.when(big > out_of_range(p, q, r), F.lit(None).cast("double"))
         .when(big > 2.0 ** (p + 5), constant * 2.0 ** (p - r) * phi)
-        .otherwise(exponent_collisions_col(n, m, p, q) / 2**r)
+        .otherwise((exponent_collisions_col(n, m, p, q) if bare is None else bare) / 2**r)
     )
 
 

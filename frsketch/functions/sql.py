@@ -1,9 +1,8 @@
-"""The register functions for SQL users, and packed sketches as a table function."""
+"""The register functions for SQL users, and packed sketches as a table function; no Python at run time."""
 
 from __future__ import annotations
 
 from pyspark.sql import SparkSession
-from pyspark.sql import functions as F
 
 FUNCTIONS = {
     "frs_exponent(reg INT, r INT) RETURNS INT": "shiftright(reg, r)",
@@ -15,24 +14,15 @@ FUNCTIONS = {
 }
 
 
+TABLE_FUNCTION = """frs_registers(regs BINARY, width INT) RETURNS TABLE (bucket INT, reg INT) RETURN
+SELECT i, v FROM (
+  SELECT i, aggregate(sequence(width, 1, -1), 0, (a, j) -> a * 256 + CAST(conv(hex(substring(regs, i * width + j, 1)), 16, 10) AS INT)) AS v
+  FROM (SELECT explode(sequence(0, length(regs) div width - 1)) AS i) WHERE length(regs) >= width
+) WHERE v > 0"""
+
+
 def register_functions(spark: SparkSession) -> None:
     """Temporary SQL functions: expressions that Catalyst inlines, no Python."""
     for head, body in FUNCTIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")
-
-
-@F.udtf(returnType="bucket: int, reg: int")
-class Registers:
-    """frs_registers(regs, width): the filled registers of a packed sketch."""
-
-    def eval(self, regs: bytes, width: int):
-        if regs is None:
-            return
-        for i in range(len(regs) // width):
-            reg = int.from_bytes(regs[i * width : (i + 1) * width], "little")
-            if reg:
-                yield i, reg
-
-
-def register_udtf(spark: SparkSession) -> None:
-    spark.udtf.register("frs_registers", Registers)
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {TABLE_FUNCTION}")

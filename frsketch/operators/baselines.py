@@ -51,8 +51,10 @@ def minhash_union(*sketches: DataFrame) -> DataFrame:
 def minhash_jaccard(mh: DataFrame, key: str) -> DataFrame:
     """(a, b, c, n_filled, t) of every two keys."""
     one = mh.select(F.col(key).alias("a"), "bucket", F.col("val").alias("va"))
-    two = mh.select(F.col(key).alias("b"), "bucket", F.col("val").alias("vb"))
-    got = one.join(two, "bucket").where("a < b").groupBy("a", "b").agg(F.count_if(F.col("va") == F.col("vb")).alias("c"), F.count("*").alias("both"))
+    none = one.select("a", F.lit(-1).alias("bucket"), F.lit(None).cast("bigint").alias("va")).distinct()  # so that every two keys meet
+    one = one.unionByName(none)
+    two = one.toDF("b", "bucket", "vb")
+    got = one.join(two, "bucket").where("a < b").groupBy("a", "b").agg(F.count_if(F.col("va") == F.col("vb")).alias("c"), F.count("va").alias("both"))
     size = mh.groupBy(F.col(key).alias("key")).agg(F.count("*").alias("filled"))
     got = got.join(size.withColumnsRenamed({"key": "a", "filled": "fa"}), "a").join(size.withColumnsRenamed({"key": "b", "filled": "fb"}), "b")
     n = F.col("fa") + F.col("fb") - F.col("both")
@@ -166,9 +168,8 @@ def f2_fingerprint(df: DataFrame, elements, by: list[str], counters: int) -> Dat
     if counters > 128:
         raise ValueError("at most 128 counters")
     rows = _keys(df, elements, by).distinct().select(*by, F.md5("_key").alias("d"))
-    bits = F.concat(*[F.lpad(F.conv(F.substring("d", 8 * i + 1, 8), 16, 2), 32, "0") for i in range(-(-counters // 32))])
-    rows = rows.select(*by, bits.alias("bits"))
-    sums = [F.sum(F.substring("bits", i + 1, 1).cast("bigint") * 2 - 1) for i in range(counters)]
+    rows = rows.select(*by, *[word(F.col("d"), 8 * j).alias(f"_w{j}") for j in range(-(-counters // 32))])
+    sums = [F.sum(F.shiftright(f"_w{i // 32}", 31 - i % 32).bitwiseAND(F.lit(1)) * 2 - 1) for i in range(counters)]
     wide = rows.groupBy(*by).agg(F.array(*sums).alias("z"))
     return wide.select(*by, F.posexplode("z").alias("i", "z"))
 
@@ -176,11 +177,15 @@ def f2_fingerprint(df: DataFrame, elements, by: list[str], counters: int) -> Dat
 def f2_jaccard(fp: DataFrame, sizes: DataFrame, key: str, groups: int = 1) -> DataFrame:
     """(a, b, d, t). d: mean (of ``groups`` means, their median) squared difference of the counters,
     the size of the symmetric difference. sizes: (key, n) exact counts."""
-    one = fp.select(F.col(key).alias("a"), "i", F.col("z").alias("za"))
-    two = fp.select(F.col(key).alias("b"), "i", F.col("z").alias("zb"))
-    sq = (F.col("za") - F.col("zb")) * (F.col("za") - F.col("zb"))
-    got = one.join(two, "i").where("a < b").groupBy("a", "b", (F.col("i") % groups).alias("g")).agg(F.avg(sq.cast("double")).alias("d"))
-    got = got.groupBy("a", "b").agg(F.median("d").alias("d"))
+    lists = fp.groupBy(F.col(key).alias("key")).agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "z"))), lambda x: x["z"]).alias("z"))  # the counters
+    own, every = F.pmod(F.xxhash64("key"), F.lit(8)).cast("int"), F.explode(F.sequence(F.lit(0), F.lit(7)))
+    one = lists.select(own.alias("x"), every.alias("y"), F.col("key").alias("a"), F.col("z").alias("za"))
+    two = lists.select(every.alias("x"), own.alias("y"), F.col("key").alias("b"), F.col("z").alias("zb"))
+    got = one.join(two, ["x", "y"]).where("a < b").select("a", "b", F.zip_with("za", "zb", lambda u, v: (u - v) * (u - v)).alias("sq"))
+    # the mean of every groups-th square, from each start on
+    mean = lambda g: F.aggregate(F.filter("sq", lambda x, i: i % groups == g), F.struct(F.lit(0).cast("bigint").alias("s"), F.lit(0).alias("n")), lambda s, x: F.struct((s["s"] + x).alias("s"), (s["n"] + 1).alias("n")), lambda s: s["s"] / s["n"])
+    means = F.array_sort(F.transform(F.sequence(F.lit(0), F.lit(groups - 1)), mean)) if groups > 1 else F.array(F.aggregate("sq", F.lit(0).cast("bigint"), lambda s, x: s + x) / F.size("sq"))
+    got = got.withColumn("_g", means).select("a", "b", ((F.element_at("_g", (groups + 1) // 2) + F.element_at("_g", groups // 2 + 1)) / 2).alias("d"))
     got = got.join(sizes.select(F.col(key).alias("a"), F.col("n").alias("na")), "a").join(sizes.select(F.col(key).alias("b"), F.col("n").alias("nb")), "b")
     total = F.col("na") + F.col("nb")
     return got.select("a", "b", "d", ((total - F.col("d")) / (total + F.col("d"))).alias("t"))
@@ -203,14 +208,20 @@ def incl_excl_jaccard(sk: DataFrame, key: str, params: FrsParams) -> DataFrame:
     return got.select("a", "b", "n", "m", "u", ((F.col("n") + F.col("m") - F.col("u")) / F.col("u")).alias("t"))
 
 
-def cnf_incl_excl(counts: dict[frozenset, float], clauses: list[list[str]]) -> float:
-    """|C1 and ... and Cm| by inclusion-exclusion over unions of clauses. counts: the cardinality of each
-    union of clause numbers."""
-    m, total = len(clauses), 0.0
-    for mask in range(1, 1 << m):
-        some = frozenset(i for i in range(m) if mask >> i & 1)
-        total += (-1) ** (len(some) + 1) * counts[some]
-    return total
+MAX_TERMS = 12
+
+
+def cnf_incl_excl(sk: DataFrame, clauses: list[list[str]], params: FrsParams, key: str = "name") -> DataFrame:
+    """(est): |C1 and ... and Cm| by inclusion-exclusion over the HLL counts of all unions of clauses. 2**m - 1
+    unions: the error of each adds up, and so does the work."""
+    if len(clauses) > MAX_TERMS:
+        raise ValueError(f"{len(clauses)} clauses; at most {MAX_TERMS}")
+    terms = [(mask, (-1.0) ** (mask.bit_count() + 1), name) for mask in range(1, 1 << len(clauses)) for name in sorted({x for i, c in enumerate(clauses) if mask >> i & 1 for x in c})]
+    lists = F.broadcast(sk.sparkSession.createDataFrame(terms, "mask int, sign double, set_name string"))  # the formula's size
+    hit = sk.where(F.col(key).isin(sorted({x for c in clauses for x in c}))).join(lists, F.col(key).cast("string") == F.col("set_name"))
+    united = hit.groupBy("mask", "sign", "bucket").agg(F.max(exponent_of(F.col("reg"), params)).alias("e"))
+    counts = united.groupBy("mask", "sign").agg(hll_estimate(F.sum(F.pow(F.lit(2.0), -F.col("e"))), F.count("*"), params.k).alias("u"))
+    return counts.agg(F.sum(F.col("sign") * F.col("u")).alias("est"))
 
 
 def mle_from_histogram(ea: np.ndarray, eb: np.ndarray, count: np.ndarray, n: float, m: float, k: int, last: int) -> float:

@@ -5,19 +5,22 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from frsketch.functions.collisions import LIMIT, approx_collisions_col, expected_collisions_df, range_status
+from frsketch.functions.collisions import LIMIT, approx_collisions_col, box_mass_cols, expected_collisions_df, range_status
 from frsketch.functions.hashing import decode, exponent_of
-from frsketch.operators.build import check_same, union_sketches
+from frsketch.operators.build import check_same, register_bytes, union_sketches
 from frsketch.operators.cardinality import from_moments, moments
 from frsketch.params import FrsParams
 
 CORRECTIONS = ("none", "exact", "approx", "limit", "overlap")
+MAX_WORDS = 1024  # of a packed sketch; larger sketches meet bucket by bucket
+BLOCKS = 8
 
 
-def finish(df: DataFrame, params: FrsParams, correction: str = "none", denominator: str = "filled") -> DataFrame:
+def finish(df: DataFrame, params: FrsParams, correction: str = "none", denominator: str = "filled", small: Column | None = None) -> DataFrame:
     """From c, n_filled, n, m to ec, t_raw, t (clamped to 0..1) and status. ``correction``: none; exact
     or approx expectation of accidental matches; two own extensions: limit (the large-r constant) and
-    overlap (accidental matches of overlapping sets). Both sets empty: null."""
+    overlap (accidental matches of overlapping sets). Both sets empty: null. ``small``: the exponent-only
+    expectation, where the caller has it."""
     if correction not in CORRECTIONS:
         raise ValueError(f"correction {correction!r} is none of {CORRECTIONS}")
     n, m = F.col("n"), F.col("m")
@@ -26,9 +29,9 @@ def finish(df: DataFrame, params: FrsParams, correction: str = "none", denominat
     elif correction == "exact":
         df = expected_collisions_df(df, params.p, params.q, params.r)
     elif correction == "limit":
-        df = df.withColumn("ec", approx_collisions_col(n, m, params, LIMIT))
+        df = df.withColumn("ec", approx_collisions_col(n, m, params, LIMIT, small))
     else:
-        df = df.withColumn("ec", approx_collisions_col(n, m, params))
+        df = df.withColumn("ec", approx_collisions_col(n, m, params, bare=small))
     base = F.lit(float(params.k)) if denominator == "all" else F.col("n_filled").cast("double")
     base = F.when(base > 0, base)
     if correction == "overlap":
@@ -73,27 +76,88 @@ def jaccard(a: DataFrame, b: DataFrame, params: FrsParams, by: list[str] | None
 
 def pairwise_jaccard(sk: DataFrame, key: str, params: FrsParams, correction: str = "none", denominator: str = "filled", least: float = 0.0, pairs: DataFrame | None = None) -> DataFrame:
     """(a, b, c, n_filled, n, m, ec, t_raw, t, status) of every two keys, a < b, or of the given pairs (a, b).
+    Keys without a common filled bucket are a pair too.
 
-    Sketches meet by bucket; for very many keys use ``similar_pairs``, which meets by bands."""
+    Every two keys are as many rows as there are pairs of keys, whatever the plan: for very many keys give
+    pairs, as ``similar_pairs`` and ``jaccard_pairs`` do."""
+    lanes = 8 // register_bytes(params)
+    if pairs is None and params.k <= MAX_WORDS * lanes:
+        out = every_two(sk, key, params, lanes, correction, denominator)
+    else:
+        out = by_buckets(sk, key, params, pairs, correction, denominator)
+    return out.where(F.col("t") >= least) if least > 0 else out
+
+
+def by_buckets(sk: DataFrame, key: str, params: FrsParams, pairs: DataFrame | None, correction: str, denominator: str) -> DataFrame:
+    """Sketches meet by bucket; where no pairs are given, all keys also meet at one that holds nothing."""
     one = sk.select(F.col(key).alias("a"), "bucket", F.col("reg").alias("ra"))
     two = sk.select(F.col(key).alias("b"), "bucket", F.col("reg").alias("rb"))
     if pairs is None:
-        cells = one.join(two, "bucket").where("a < b")
+        none = sk.select(F.col(key).alias("a"), F.lit(-1).alias("bucket"), F.lit(None).cast("int").alias("ra")).distinct()
+        cells = one.unionByName(none).join(two.unionByName(none.toDF("b", "bucket", "rb")), "bucket").where("a < b")
     else:
         cells = pairs.select("a", "b").join(one, "a").join(two, ["b", "bucket"])
-    match = cells.groupBy("a", "b").agg(F.count_if(F.col("ra") == F.col("rb")).alias("c"), F.count("*").alias("both"))
+    got = cells.groupBy("a", "b").agg(F.count_if(F.col("ra") == F.col("rb")).alias("c"), F.count("ra").alias("both"))
+    if pairs is not None:
+        got = pairs.select("a", "b").join(got, ["a", "b"], "left")
     est, _ = from_moments(params)
     size = sk.groupBy(F.col(key).alias("key")).agg(*moments(params)).select("key", "filled", est.alias("est"))
-    if pairs is None:
-        # keys that share no filled bucket still are a pair
-        got = match
-    else:
-        got = pairs.select("a", "b").join(match, ["a", "b"], "left")
     got = got.join(size.select(F.col("key").alias("a"), F.col("filled").alias("fa"), F.col("est").alias("n")), "a")
     got = got.join(size.select(F.col("key").alias("b"), F.col("filled").alias("fb"), F.col("est").alias("m")), "b")
     got = got.select("a", "b", F.coalesce("c", F.lit(0)).alias("c"), (F.col("fa") + F.col("fb") - F.coalesce("both", F.lit(0))).alias("n_filled"), "n", "m")
-    out = finish(got, params, correction, denominator)
-    return out.where(F.col("t") >= least) if least > 0 else out
+    return finish(got, params, correction, denominator)
+
+
+def nonempty_lanes(v: Column, lanes: int) -> Column:
+    """How many of a 64-bit word's lanes are not zero: each lane's bits are folded onto its lowest."""
+    width = 64 // lanes
+    step = width // 2
+    while step:
+        v = v.bitwiseOR(F.shiftrightunsigned(v, step))
+        step //= 2
+    return F.bit_count(v.bitwiseAND(F.lit(sum(1 << width * i for i in range(lanes)))))
+
+
+def every_two(sk: DataFrame, key: str, params: FrsParams, lanes: int, correction: str, denominator: str) -> DataFrame:
+    """A key is one row of registers packed into 64-bit words; rows meet block by block, an equality join whose
+    inputs are ``BLOCKS`` copies of the keys and whose only large output are the pairs."""
+    words = -(-params.k // lanes)
+    bits = 64 // lanes
+    word = F.call_function("shiftleft", F.col("reg").cast("bigint"), (F.col("bucket") % lanes * bits).cast("int"))
+    one = sk.groupBy(F.col(key).alias("key"), F.floor(F.col("bucket") / lanes).alias("w")).agg(F.bit_or(word).alias("v"), *moments(params))
+    at = [F.coalesce(F.max(F.when(F.col("w") == i, F.col("v"))), F.lit(0).cast("bigint")) for i in range(words)]
+    flat = words <= 32
+    cells = [x.alias(f"w{i}") for i, x in enumerate(at)] if flat else [F.array(*at).alias("w")]
+    est, _ = from_moments(params)
+    rows = one.groupBy("key").agg(*cells, *[F.sum(c).alias(c) for c in ("filled", "_pow", "_val")])
+    names = [f"w{i}" for i in range(words)] if flat else ["w"]
+    rows = rows.select("key", *names, est.alias("est"))
+    approx = correction not in ("none", "exact")
+    mass = box_mass_cols(F.col("est"), params) if approx else []
+    rows = rows.select("*", *[x.alias(f"m{i}") for i, x in enumerate(mass)])
+    all_blocks = F.explode(F.sequence(F.lit(0), F.lit(BLOCKS - 1)))
+    own = F.pmod(F.xxhash64("key"), F.lit(BLOCKS)).cast("int")
+    a = rows.select(own.alias("i"), all_blocks.alias("j"), *[F.col(c).alias(f"a_{c}") for c in rows.columns])
+    b = rows.select(all_blocks.alias("i"), own.alias("j"), *[F.col(c).alias(f"b_{c}") for c in rows.columns])
+    both = a.join(b, ["i", "j"]).where("a_key < b_key")
+    if flat:
+        pairs = [(F.col(f"a_w{i}"), F.col(f"b_w{i}")) for i in range(words)]
+        filled = sum((nonempty_lanes(x.bitwiseOR(y), lanes) for x, y in pairs[1:]), nonempty_lanes(pairs[0][0].bitwiseOR(pairs[0][1]), lanes))
+        differ = sum((nonempty_lanes(x.bitwiseXOR(y), lanes) for x, y in pairs[1:]), nonempty_lanes(pairs[0][0].bitwiseXOR(pairs[0][1]), lanes))
+    else:
+        add = lambda s, x: s + x
+        filled = F.aggregate(F.zip_with("a_w", "b_w", lambda x, y: nonempty_lanes(x.bitwiseOR(y), lanes)), F.lit(0), add)
+        differ = F.aggregate(F.zip_with("a_w", "b_w", lambda x, y: nonempty_lanes(x.bitwiseXOR(y), lanes)), F.lit(0), add)
+    small = None
+    if approx:
+        for i in range(len(mass)):
+            term = F.col(f"a_m{i}") * F.col(f"b_m{i}")
+            small = term if small is None else small + term
+        small = small * float(params.k)
+    got = both.select(F.col("a_key").alias("a"), F.col("b_key").alias("b"), filled.cast("bigint").alias("n_filled"), differ.cast("bigint").alias("_d"), F.col("a_est").alias("n"), F.col("b_est").alias("m"), *([small.alias("_small")] if approx else []))
+    got = got.select("a", "b", (F.col("n_filled") - F.col("_d")).alias("c"), "n_filled", "n", "m", *(["_small"] if approx else []))
+    out = finish(got, params, correction, denominator, F.col("_small") if approx else None)
+    return out.select("a", "b", "c", "n_filled", "n", "m", "ec", "t_raw", "t", "status")
 
 
 def intersection_cardinality(a: DataFrame, b: DataFrame, params: FrsParams, by: list[str] | None = None, correction: str = "none") -> DataFrame:

@@ -37,14 +37,26 @@ def interval_join(points: DataFrame, ts: str, spans: DataFrame, start: str, end:
     return one.join(two, "_cell").where((F.col(ts) >= F.col(start)) & (F.col(ts) < F.col(end))).drop("_cell")
 
 
+def running_union(sk: DataFrame, day: str, params: FrsParams, span: int | None = None) -> DataFrame:
+    """(day, bucket, reg): for each day of the sketches the union of all up to it or, with ``span``, of those of the
+    last ``span`` days and itself. One window a bucket over days x buckets rows; no day is joined with the others."""
+    days = sk.select(day).distinct()
+    grid = days.select(day, F.explode(F.sequence(F.lit(0), F.lit(params.k - 1))).alias("bucket"), F.lit(None).cast("int").alias("reg"))
+    cells = grid.unionByName(sk.select(day, "bucket", "reg")).groupBy("bucket", day).agg(F.max("reg").alias("reg"))
+    w = Window.partitionBy("bucket").orderBy(F.datediff(day, F.lit("1970-01-01")))
+    w = w.rowsBetween(Window.unboundedPreceding, 0) if span is None else w.rangeBetween(-span, 0)
+    return cells.select(day, "bucket", F.max("reg").over(w).alias("reg")).where("reg is not null")
+
+
 def consecutive_jaccard(sk: DataFrame, order: str, params: FrsParams, by: list[str] | None = None, correction: str = "none") -> DataFrame:
     """(by..., a, b, c, n_filled, n, m, ec, t_raw, t, status) of every sketch and the one before it. Steps
-    are numbered once; each register row then serves two pairs, and no sketch is joined with itself."""
+    are numbered once (without ``by``, all steps stand in one window: they are points in time, not rows); each register
+    row then serves two pairs, and no sketch is joined with itself."""
     by = by or []
     steps = sk.select(*by, order).distinct()
     w = Window.partitionBy(*by).orderBy(order) if by else Window.orderBy(order)
     steps = steps.select(*by, F.lag(order).over(w).alias("a"), F.col(order), F.lead(order).over(w).alias("z"))
-    rows = sk.join(F.broadcast(steps), [*by, order])  # one row a step
+    rows = sk.join(steps, [*by, order])  # one row a step
     later = rows.where("a is not null").select(*by, "a", F.col(order).alias("b"), "bucket", F.lit(None).cast("int").alias("ra"), F.col("reg").alias("rb"))
     before = rows.where("z is not null").select(*by, F.col(order).alias("a"), F.col("z").alias("b"), "bucket", F.col("reg").alias("ra"), F.lit(None).cast("int").alias("rb"))
     cells = later.unionByName(before).groupBy(*by, "a", "b", "bucket").agg(F.max("ra").alias("ra"), F.max("rb").alias("rb"))

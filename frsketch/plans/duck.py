@@ -78,18 +78,18 @@ def expected_collisions(n: str, m: str, p: int, q: int, r: int) -> str:
     return f"(list_sum(list_transform(range(0, {scale * last}), lambda i: {mass(n)} * {mass(m)})) * {1 << p})"
 
 
-def approx_collisions(n: str, m: str, x: FrsParams) -> str:
+def approx_collisions(n: str, m: str, x: FrsParams, constant: float = PRINTED) -> str:
     big, small = f"greatest({n}, {m})", f"least({n}, {m})"
-    flat = f"{PRINTED * 2.0 ** (x.p - x.r)!r} * 4 * {big} * {small} / (({big} + {small}) * ({big} + {small}))"
+    flat = f"{constant * 2.0 ** (x.p - x.r)!r} * 4 * {big} * {small} / (({big} + {small}) * ({big} + {small}))"
     return f"(CASE WHEN {big} > {2.0 ** (x.p + 5)} THEN {flat} ELSE {expected_collisions(n, m, x.p, x.q, 0)} / {x.scale} END)"
 
 
 def pair_cells(x: FrsParams, pairs: str = "s.a < s.b") -> str:
     """From a CTE ``sk`` (k, bucket, reg): CTEs ``sz`` (k, filled, est) and ``pr`` (a, b, c, n_filled, n, m)."""
     return f"""sz AS (SELECT k, filled, {estimate(x)} AS est FROM (SELECT k, {moments(x)} FROM sk GROUP BY k)),
-pr AS (SELECT a.k AS a, b.k AS b, count(*) FILTER (a.reg = b.reg) AS c, any_value(sa.filled) + any_value(sb.filled) - count(*) AS n_filled,
-  any_value(sa.est) AS n, any_value(sb.est) AS m
-  FROM sk a JOIN sk b ON a.bucket = b.bucket AND a.k < b.k JOIN sz sa ON sa.k = a.k JOIN sz sb ON sb.k = b.k GROUP BY a.k, b.k)"""
+mt AS (SELECT a.k AS a, b.k AS b, count(*) FILTER (a.reg = b.reg) AS c, count(*) AS both_ FROM sk a JOIN sk b ON a.bucket = b.bucket AND a.k < b.k GROUP BY a.k, b.k),
+pr AS (SELECT sa.k AS a, sb.k AS b, coalesce(c, 0) AS c, sa.filled + sb.filled - coalesce(both_, 0) AS n_filled, sa.est AS n, sb.est AS m
+  FROM sz sa JOIN sz sb ON {pairs.replace('s.a', 'sa.k').replace('s.b', 'sb.k')} LEFT JOIN mt ON mt.a = sa.k AND mt.b = sb.k)"""
 
 
 def shingles(source: str, key: str, text: str, size: int = 3) -> str:

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from frsketch.functions import collisions as coll
 from frsketch.functions.hashing import element_key
-from frsketch.functions.sql import register_functions, register_udtf
+from frsketch.functions.sql import register_functions
 from frsketch.functions.text import strip_html, word_shingles
 from frsketch.operators import baselines as base
 from frsketch.operators import build, exact, measures, simulate
@@ -136,7 +136,7 @@ def frs_to_hll(spark, d):
 
 # ---- cardinality
 
-COLUMNS = [("orders", "o_custkey"), ("orders", "o_orderkey"), ("lineitem", "l_partkey"), ("lineitem", "l_suppkey"), ("lineitem", "l_orderkey"), ("customer", "c_custkey"), ("part", "p_partkey"), ("supplier", "s_suppkey"), ("events", "user_id"), ("events", "props"), ("documents", "text")]
+COLUMNS = [("orders", "o_custkey"), ("orders", "o_orderkey"), ("lineitem", "l_partkey"), ("lineitem", "l_suppkey"), ("lineitem", "l_orderkey"), ("lineitem", "l_linenumber"), ("customer", "c_custkey"), ("customer", "c_nationkey"), ("part", "p_partkey"), ("part", "p_brand"), ("supplier", "s_suppkey"), ("supplier", "s_nationkey"), ("nation", "n_nationkey"), ("region", "r_regionkey"), ("events", "event_id"), ("events", "user_id"), ("events", "props"), ("documents", "doc_id"), ("documents", "text"), ("embeddings", "vec_id"), ("pages", "page_id"), ("pages", "url"), ("benchmark", "item_id"), ("labels", "doc_id"), ("conversations", "conv_id")]
 
 
 def column_elements(spark, d) -> DataFrame:
@@ -241,9 +241,15 @@ def jaccard_corrected_approx(spark, d):
     return pairwise_jaccard(suppliers(spark, d, SMALL), "l_suppkey", SMALL, "approx").select("a", "b", r6("ec").alias("ec"), r6("t_raw").alias("t"))
 
 
-@query("jaccard_corrected_limit", f"{_SK} SELECT a, b, round(ec, 6) AS ec, round((c - ec) / n_filled, 6) AS t FROM (SELECT *, {duck.approx_collisions('n', 'm', SMALL)} AS ec FROM pr)")
-def jaccard_corrected_limit(spark, d):
-    return pairwise_jaccard(priorities(spark, d), "o_orderpriority", SMALL, "limit").select("a", "b", r6("ec").alias("ec"), r6("t_raw").alias("t"))
+TINY = FrsParams(4, 4, 4)  # sets of over 2**(p + 5) = 512 elements take the large-set constant
+_TINY = f"WITH sk AS (SELECT o_orderpriority AS k, bucket, reg FROM ({duck.registers('orders', CUST, ['o_orderpriority'], TINY)})), {duck.pair_cells(TINY)}"
+
+for _name, _constant in (("limit", coll.LIMIT), ("approx", coll.PRINTED)):
+
+    def _large(spark, d, how=_name):
+        return pairwise_jaccard(priorities(spark, d, TINY), "o_orderpriority", TINY, how).select("a", "b", "c", r6("ec").alias("ec"), r6("t_raw").alias("t"))
+
+    query({"limit": "jaccard_corrected_limit", "approx": "jaccard_corrected_large_sets"}[_name], f"{_TINY} SELECT a, b, c, round(ec, 6) AS ec, round((c - ec) / n_filled, 6) AS t FROM (SELECT *, {duck.approx_collisions('n', 'm', TINY, _constant)} AS ec FROM pr)")(_large)
 
 
 @query("jaccard_overlap_aware")
@@ -382,7 +388,7 @@ for _bits in (8, 16, 64):
 
     _val = f"(({duck.num('d', 8)} << 31) + ({duck.num('d', 16)} >> 1))" if _bits == 64 else f"({duck.num('d', 8)} >> {32 - _bits})"
     _mh = f"mh AS (SELECT o_orderpriority AS k, {duck.num('d', 0)} & 63 AS bucket, min({_val}) AS val FROM (SELECT o_orderpriority, md5({CUST}) AS d FROM orders) GROUP BY ALL)"
-    _tail = "sz AS (SELECT k, count(*) AS f FROM mh GROUP BY k) SELECT a.k AS a, b.k AS b, count(*) FILTER (a.val = b.val) AS c, round(count(*) FILTER (a.val = b.val) / (any_value(sa.f) + any_value(sb.f) - count(*)), 6) AS t FROM mh a JOIN mh b ON a.bucket = b.bucket AND a.k < b.k JOIN sz sa ON sa.k = a.k JOIN sz sb ON sb.k = b.k GROUP BY a.k, b.k"
+    _tail = "sz AS (SELECT k, count(*) AS f FROM mh GROUP BY k), mt AS (SELECT a.k AS a, b.k AS b, count(*) FILTER (a.val = b.val) AS c, count(*) AS n FROM mh a JOIN mh b ON a.bucket = b.bucket AND a.k < b.k GROUP BY a.k, b.k) SELECT sa.k AS a, sb.k AS b, coalesce(c, 0) AS c, round(coalesce(c, 0) / (sa.f + sb.f - coalesce(n, 0)), 6) AS t FROM sz sa JOIN sz sb ON sa.k < sb.k LEFT JOIN mt ON mt.a = sa.k AND mt.b = sb.k"
     query(f"minhash_kpart_{_bits}", f"WITH {_mh}, {_tail}")(_kpart)
 
 
@@ -507,14 +513,13 @@ def fig6_usable_range(spark, d):
 
 @query("fig6_hash_sweep")
 def fig6_hash_sweep(spark, d):
-    out = None
-    for n in (2**8, 2**10, 2**12):
-        for t in FIG_T:
-            x = simulate.hash_trials(spark, n, t, SMALL, 8)
-            out = x if out is None else out.unionByName(x)
-    return measures.relative_error_summary(out)
+    """Real elements hashed, 2**6 to 2**22 of them a set, past the three failure points."""
+    return measures.relative_error_summary(simulate.hash_sweep(spark, [2**e for e in range(6, 23)], FIG_T, reps=4))
 
 
+@query("fig6_hash_usable_range")
+def fig6_hash_usable_range(spark, d):
+    return measures.usable_range(fig6_hash_sweep(spark, d))
 
 
 _FT = ", ".join(f"{t!r}::DOUBLE" for t in (0.1, 0.25, 0.5, 0.9))
@@ -616,6 +621,15 @@ ov AS (SELECT es.a, es.b, count(*) AS c FROM es JOIN ds x ON x.k = es.a JOIN ds
 SELECT es.a AS doc_a, es.b AS doc_b, round(t, 6) AS t_est, round(coalesce(c, 0) / (na.n + nb.n - coalesce(c, 0)), 6) AS t_exact FROM es LEFT JOIN ov ON ov.a = es.a AND ov.b = es.b JOIN dn na ON na.k = es.a JOIN dn nb ON nb.k = es.b WHERE t >= {least}"""
 
 
+def _pairs_sql(source: str, key: str, text: str) -> str:
+    """All pairs of distinct sets of exact Jaccard 0.5 or more, from the shingles alone."""
+    return f"""WITH sh AS MATERIALIZED (SELECT DISTINCT k, shingle FROM ({duck.shingles(source, key, text)})), rp AS (SELECT min(k) AS k FROM (SELECT k, list(shingle ORDER BY shingle) AS l FROM sh GROUP BY k) GROUP BY l),
+m AS MATERIALIZED (SELECT * FROM sh SEMI JOIN rp USING (k)), n AS (SELECT k, count(*) AS n FROM m GROUP BY k), p AS (SELECT x.k AS a, y.k AS b, count(*) AS both_ FROM m x JOIN m y ON x.shingle = y.shingle AND x.k < y.k GROUP BY x.k, y.k),
+g AS (SELECT a, b, both_ / (na.n + nb.n - both_) AS t_exact FROM p JOIN n na ON na.k = a JOIN n nb ON nb.k = b WHERE 2 * both_ >= na.n + nb.n - both_),
+sk AS MATERIALIZED ({duck.registers('sh', 'shingle', ['k'], DOC)}), f AS (SELECT k, count(*) AS f FROM sk GROUP BY k)
+SELECT g.a AS doc_a, g.b AS doc_b, round(count(*) FILTER (x.reg = y.reg) / (any_value(fa.f) + any_value(fb.f) - count(y.reg)), 6) AS t_est, round(any_value(t_exact), 6) AS t_exact FROM g JOIN sk x ON x.k = g.a LEFT JOIN sk y ON y.k = g.b AND y.bucket = x.bucket JOIN f fa ON fa.k = g.a JOIN f fb ON fb.k = g.b GROUP BY g.a, g.b"""
+
+
 def similar_texts(sh: DataFrame, key: str) -> DataFrame:
     sk = build.sketch(sh, "shingle", [key], DOC)
     est = similar_pairs(sk, key, DOC, least=0.5).select("a", "b", "t")
@@ -631,7 +645,7 @@ def all_similar_texts(sh: DataFrame, key: str) -> DataFrame:
     return got.join(est, ["a", "b"]).select(F.col("a").alias("doc_a"), F.col("b").alias("doc_b"), r6("t_est").alias("t_est"), r6("t").alias("t_exact"))
 
 
-@query("doc_similar_pairs_all")
+@query("doc_similar_pairs_all", _pairs_sql("documents", "doc_id", "text"))
 def doc_similar_pairs_all(spark, d):
     return all_similar_texts(doc_shingles(spark, d), "doc_id")
 
@@ -651,7 +665,7 @@ def conversation_similarity(spark, d):
     return similar_texts(conversation_shingles(spark, d), "conv_id")
 
 
-@query("conversation_similarity_all")
+@query("conversation_similarity_all", _pairs_sql("(SELECT conv_id, string_agg(text, ' ' ORDER BY turn, role, text) AS text FROM conversations GROUP BY conv_id)", "conv_id", "text"))
 def conversation_similarity_all(spark, d):
     return all_similar_texts(conversation_shingles(spark, d), "conv_id")
 
@@ -721,13 +735,8 @@ for _name, _range in (("running_union_daily", None), ("sliding_7day_union", 6)):
     _on = "sk.day <= dd.day" + (f" AND sk.day >= dd.day - {_range}" if _range is not None else "")
 
     def _windows(spark, d, span=_range):
-        """A register counts for all later days, or for the next few: each register row is sent to the days
-        it covers as a maximum per day and bucket."""
-        sk = daily_users(spark, d)
-        days = sk.select(F.col("day").alias("on")).distinct()
-        on = (F.col("on") >= F.col("day")) if span is None else (F.col("on") >= F.col("day")) & (F.datediff("on", "day") <= span)
-        united = sk.join(F.broadcast(days), on).groupBy("on", "bucket").agg(F.max("reg").alias("reg"))
-        return cardinality(united, ["on"], MEDIUM).select(F.date_format("on", "yyyy-MM-dd").alias("day"), r6("est").alias("est"))
+        united = temporal.running_union(daily_users(spark, d), "day", MEDIUM, span)
+        return cardinality(united, ["day"], MEDIUM).select(F.date_format("day", "yyyy-MM-dd").alias("day"), r6("est").alias("est"))
 
     query(_name, f"{_DSK} SELECT strftime(day, '%Y-%m-%d') AS day, round({duck.estimate(MEDIUM)}, 6) AS est FROM (SELECT day, {duck.moments(MEDIUM)} FROM (SELECT dd.day AS day, bucket, max(reg) AS reg FROM dd JOIN sk ON {_on} GROUP BY dd.day, bucket) GROUP BY day)")(_windows)
 
@@ -844,7 +853,7 @@ def sql_functions(spark, d):
 
 @query("packed_table_function", f"SELECT o_orderpriority AS k, bucket, reg FROM ({duck.registers('orders', CUST, ['o_orderpriority'], SMALL)})")
 def packed_table_function(spark, d):
-    register_udtf(spark)
+    register_functions(spark)
     packed = build.to_packed(priorities(spark, d), SMALL, ["o_orderpriority"]).withColumnRenamed("o_orderpriority", "k")
     packed.createOrReplaceTempView("frs_packed_priorities")
     return spark.sql(f"SELECT k, r.bucket, r.reg FROM frs_packed_priorities, LATERAL frs_registers(regs, {build.register_bytes(SMALL)}) r")
@@ -872,3 +881,4 @@ def space_table(spark, d):
     return spark.createDataFrame(rows, "eps double, t double, n double, sketch string, bits double")
 
 
+from frsketch.plans import experiments  # noqa: E402, F401  (registers its queries)
