@@ -126,7 +126,8 @@ def region_masses(n: float, m: float, q: int, r: int, points: int = 40_001) -> d
 
 
 def region_bounds(n: float, q: int, r: int) -> dict[str, float]:
-    """Upper bounds of ``region_masses``, for n >= m."""
+    """Upper bounds of ``region_masses``, for n >= m. That of the strip holds inside the window only: at n of
+    several 2**2**q it is exceeded."""
     l, big = 2.0**r, 2.0 ** (2**q)
     return {"top_right": 1 / l, "bottom_left": n / (l * big), "ray": 3 / l, "strip": 2 / l}
 

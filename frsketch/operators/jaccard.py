@@ -125,9 +125,13 @@ def every_two(sk: DataFrame, key: str, params: FrsParams, lanes: int, correction
     bits = 64 // lanes
     word = F.call_function("shiftleft", F.col("reg").cast("bigint"), (F.col("bucket") % lanes * bits).cast("int"))
     one = sk.groupBy(F.col(key).alias("key"), F.floor(F.col("bucket") / lanes).alias("w")).agg(F.bit_or(word).alias("v"), *moments(params))
-    at = [F.coalesce(F.max(F.when(F.col("w") == i, F.col("v"))), F.lit(0).cast("bigint")) for i in range(words)]
     flat = words <= 32
-    cells = [x.alias(f"w{i}") for i, x in enumerate(at)] if flat else [F.array(*at).alias("w")]
+    if flat:
+        cells = [F.coalesce(F.max(F.when(F.col("w") == i, F.col("v"))), F.lit(0).cast("bigint")).alias(f"w{i}") for i in range(words)]
+    else:  # every word of every key is there, so that sorted lists are dense
+        none = sk.select(F.col(key).alias("key")).distinct().select("key", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(words - 1).cast("bigint"))).alias("w"), F.lit(0).cast("bigint").alias("v"), F.lit(0).cast("bigint").alias("filled"), F.lit(0.0).alias("_pow"), F.lit(0.0).alias("_val"))
+        one = one.unionByName(none).groupBy("key", "w").agg(F.bit_or("v").alias("v"), *[F.sum(c).alias(c) for c in ("filled", "_pow", "_val")])
+        cells = [F.transform(F.array_sort(F.collect_list(F.struct("w", "v"))), lambda x: x["v"]).alias("w")]
     est, _ = from_moments(params)
     rows = one.groupBy("key").agg(*cells, *[F.sum(c).alias(c) for c in ("filled", "_pow", "_val")])
     names = [f"w{i}" for i in range(words)] if flat else ["w"]

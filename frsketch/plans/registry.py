@@ -513,8 +513,8 @@ def fig6_usable_range(spark, d):
 
 @query("fig6_hash_sweep")
 def fig6_hash_sweep(spark, d):
-    """Real elements hashed, 2**6 to 2**22 of them a set, past the three failure points."""
-    return measures.relative_error_summary(simulate.hash_sweep(spark, [2**e for e in range(6, 23)], FIG_T, reps=4))
+    """Real elements hashed, 2**6 to 2**23 of them a set, past the three failure points."""
+    return measures.relative_error_summary(simulate.hash_sweep(spark, [2**e for e in range(6, 24)], FIG_T, reps=4))
 
 
 @query("fig6_hash_usable_range")

@@ -55,14 +55,61 @@ def test_bounds_and_approximation_over_the_grid():
     assert c.approx_expected_collisions(5, 2000, 6, 4, 4) == c.approx_expected_collisions(2000, 5, 6, 4, 4)
 
 
-@pytest.mark.parametrize("n,m,q,r", [(1000, 1000, 4, 4), (50_000, 300, 4, 4), (10, 4, 3, 3), (2000, 2000, 3, 5)])
+@pytest.mark.parametrize("n,m,q,r", [(1000, 1000, 4, 4), (50_000, 300, 4, 4), (10, 4, 3, 3), (200, 200, 3, 5)])
 def test_regions_cover_all_boxes_within_their_bounds(n, m, q, r):
     masses, bounds = c.region_masses(n, m, q, r), c.region_bounds(n, q, r)
     assert all(0 <= masses[k] <= bounds[k] for k in bounds)
-    assert sum(masses.values()) >= c.expected_collisions(n, m, 0, q, r) * (1 - 1e-6)
+    assert sum(masses.values()) >= c.expected_collisions(n, m, 0, q, r, tail="overflow") * (1 - 1e-6)
     assert c.expected_collisions(n, m, 0, q, r) <= c.collision_bound_single(n, q, r)
 
 
+def test_the_strip_outgrows_its_bound_beyond_the_window():
+    assert c.region_masses(2000, 2000, 3, 5)["strip"] > 2 * c.region_bounds(2000, 3, 5)["strip"]
+
+
+def test_infinite_cardinality_and_missing_pairs(spark):
+    x = FrsParams(6, 4, 4)
+    top = (x.last << x.r) + x.scale - 1
+    full = spark.range(x.k).select(F.col("id").cast("int").alias("bucket"), F.lit(top).alias("reg"))
+    assert cardinality(full, [], x, "minvalue").first()["est"] == float("inf")
+    one = spark.createDataFrame([("a", 0, 9), ("b", 1, 9), ("c", 0, 9), ("c", 63, 200)], "k string, bucket int, reg int")
+    for params in (x, FrsParams(10, 4, 8)):  # two words and lists of words
+        got = {(r["a"], r["b"]): (r["c"], r["n_filled"]) for r in jaccard.pairwise_jaccard(one, "k", params).collect()}
+        assert got == {("a", "b"): (0, 2), ("a", "c"): (1, 2), ("b", "c"): (0, 3)}
+        slow = {(r["a"], r["b"]): (r["c"], r["n_filled"]) for r in jaccard.by_buckets(one, "k", params, None, "none", "filled").collect()}
+        assert slow == got
+    mh = one.withColumnRenamed("reg", "val")
+    assert {(r["a"], r["b"]): r["c"] for r in baselines.minhash_jaccard(mh, "k").collect()} == {k: v[0] for k, v in got.items()}
+
+
+@pytest.mark.parametrize("t", [0.1, 0.5, 0.9])
+def test_overlap_correction_beats_disjoint_sums_where_sets_overlap(spark, t):
+    """At small t it keeps the few percent by which its approximate base is low, and the exact sum is better."""
+    x, n = FrsParams(10, 5, 4), 2.0**14
+    g = 2 * n * t / (1 + t)
+    row = (c.expected_matches(n - g, n - g, g, x.p, x.q, x.r), float(x.k), n, n)
+    df = spark.createDataFrame([row], "c double, n_filled double, n double, m double")
+    bias = {k: abs(jaccard.finish(df, x, k).first()["t_raw"] - t) for k in ("none", "exact", "overlap")}
+    assert bias["overlap"] < 0.3 * bias["none"]
+    assert (bias["overlap"] < bias["exact"]) == (t >= 0.5)
+
+
+def test_bits_needed_grow_faster_for_inclusion_exclusion(spark):
+    grid = [{"method": f"{k}@{p}", "kind": k, "p": p, "q": 6, "r": 10, "t": t, "n": 2.0**20} for k in ("frs", "incl_excl", "mle") for t in (0.05, 0.4) for p in (10,)]
+    err = {(r["method"][:-3], r["t"]): r["mre"] for r in measures.relative_error_summary(simulate.register_trials(spark, grid, 60)).collect()}
+    assert err["incl_excl", 0.05] > 2 * err["frs", 0.05]
+    assert 1 < err["incl_excl", 0.05] / err["mle", 0.05] < 4
+
+
+def test_hash_sweep_cuts_sets_into_segments(spark):
+    x = FrsParams(6, 4, 4, hash="xx")
+    got = {(r["t"], r["n_set"], r["rep"]): r["t_hat"] for r in simulate.hash_sweep(spark, [64, 100, 1000], (0.1, 0.5), 2, x).where("method = 'frs_64x8'").collect()}
+    assert len(got) == 12
+    for (t, n, rep), value in got.items():
+        a, b = (build.sketch(s.withColumn("key", F.concat(F.lit(f"{rep}|"), F.col("x").cast("string"))), "key", [], x) for s in ranged(spark, int(n), t))
+        assert jaccard.jaccard(a, b, x).first()["t_raw"] == value
+
+
 def test_columns_equal_scalars(spark):
     rows = [(100.0, 50.0), (1.0, 1.0), (3000.0, 2000.0), (2.0**21, 2.0**20), (2.0**25, 2.0**5)]
     df = spark.createDataFrame(rows, "n double, m double")
