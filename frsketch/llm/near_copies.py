@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from frsketch.llm import simhash
 from frsketch.llm.components import roots
-from frsketch.llm.shared import drop_stored, give_back, stored, texts as bounded
+from frsketch.llm.shared import drop_stored, give_back, release, stored, texts as bounded
 from frsketch.llm.suffix_dedup import filter_cells, repeat_filter
 
 SEED = 42
@@ -139,6 +139,7 @@ def alike(pairs: DataFrame, light: DataFrame, whole, num: int, den: int, name: s
     out = stored(both.where(common * den >= (F.size("cu") + F.size("cv") - common) * num).select("u", "v"), name)
     drop_stored(pairs)
     drop_stored(sets)
+    release(out.sparkSession)
     return out
 
 
@@ -184,6 +185,7 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
     exactly if they are by a path of pairs of Jaccard num / den or more. ``known``: such pairs found before, which
     are among the edges; what they join is not paired again."""
     wanted = sets.sparkSession.sparkContext.broadcast(repeat_filter(prefix_rows(sets, num, den)))
+    release(sets.sparkSession)
     rows = stored(prefix_rows(sets, num, den, wanted), "prefixes")  # elements that occur once are left out, but for those that the filter lets by
     crowd = rows.groupBy("x").agg(F.count("*").alias("g"), F.count_if("ix").alias("k")).where("g > 1 and k > 0")
     crowd = stored(crowd, "crowds")
@@ -235,6 +237,7 @@ def copy_classes(docs: DataFrame, key: str = "doc_id", text_col: str = "text", w
     more. A row for each row of ``docs``; keys are neither null nor repeated."""
     frequent = frequent_elements(docs, key, text_col, width)
     table = stored(set_frame(docs, key, text_col, width, frequent, (num, den)), "sets")
+    release(docs.sparkSession)
     nodes = stored(table.groupBy("node").agg(F.min(key).alias("id")), "nodes")
     first = table.join(nodes.select(F.col("id").alias(key)), key, "left_semi").select(F.col(key).alias("node"), "n", "fp", "odd", "cells")
 

@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import ctypes
+import gc
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 CACHE_BYTES = 48 << 20
 BATCH_BYTES = 4 << 20
@@ -43,6 +45,15 @@ def drop_stored(df: DataFrame) -> None:
         parent.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(parent, True)
 
 
+def release(spark: SparkSession) -> None:
+    """Between stages: the driver drops what no plan refers to any more, shuffle files included, and the executors'
+    JVMs return the heap that they do not use, which the Python workers beside them may need."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+    n = spark.sparkContext.defaultParallelism
+    spark.range(0, n, 1, n).select(F.java_method(F.lit("java.lang.System"), F.lit("gc"))).toDF("x").write.format("noop").mode("overwrite").save()
+
+
 def texts(docs: DataFrame) -> DataFrame:
     """``docs``, with Arrow batches to Python workers bounded in bytes from now on (a run-time setting of the
     session, kept where it is set already): rows are counted in thousands, and texts may be long."""

@@ -29,7 +29,6 @@ empty result; no other columns are read; texts below ``LENGTH`` bytes keep every
 
 from __future__ import annotations
 
-import gc
 import hashlib
 
 import numpy as np
@@ -39,7 +38,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from frsketch.llm.lyndon import suffix_array
-from frsketch.llm.shared import drop_stored, give_back, stored, texts as bounded
+from frsketch.llm.shared import drop_stored, give_back, release, stored, texts as bounded
 
 LENGTH = 100
 GRAM = 24
@@ -184,12 +183,6 @@ def repeat_filter(ks: DataFrame) -> bytes:
     return out.tobytes()
 
 
-def tidy(spark) -> None:
-    """Lets the JVM drop the shuffle files of plans that nothing refers to any more."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
-
-
 def others(rows: DataFrame, keys: list[str], place: str, also: list[str]) -> DataFrame:
     """(id, *also) of the rows that are not the first, by id and place, of those with equal keys. The
     firsts are stored, so both sides of the join come from exchanges and a hot key can be split."""
@@ -315,20 +308,20 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     kind = docs.schema[id_col].dataType.simpleString()
     rows = bounded(docs).where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     wanted = spark.sparkContext.broadcast(repeat_filter(anchor_frame(rows, kind)))
-    tidy(spark)
+    release(spark)
     runs = stored(anchor_frame(rows, kind, wanted), "runs")
     found = [unpacked(stored(others(runs, ["k", "c"], "at", ["at"]), "repeats")).select("id", "lo", "n")]
-    tidy(spark)
+    release(spark)
     classes = stored(runs.groupBy("k", "c").agg(F.min(F.struct("id", "at")).alias("f")).select("k", "f.id", "f.at"), "classes")
     drop_stored(runs)
-    tidy(spark)
+    release(spark)
     several = classes.groupBy("k").agg(F.count("*").alias("m")).where("m > 1").select("k")
     first = stored(unpacked(classes.join(several, "k", "left_semi")), "firsts")
     drop_stored(classes)
-    tidy(spark)
+    release(spark)
     cuts = stored(cut_frame(rows, first, kind), "cuts")
     drop_stored(first)
-    tidy(spark)
+    release(spark)
     spelt = ["k1", "k2", "before", "after"]
     found.append(stored(others(cuts, spelt, "lo", ["lo", "n"]), "repeats"))
     least = cuts.groupBy(*spelt).agg(F.min(F.struct("id", "lo", "n")).alias("f")).select(*spelt, "f.*")
@@ -337,11 +330,11 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     shared = least.groupBy("k1", "k2").agg(F.count("*").alias("different")).where("different > 1")
     shards = stored(least.join(shared, ["k1", "k2"]), "shards")
     drop_stored(least)
-    tidy(spark)
+    release(spark)
     found.append(stored(sorted_frame(shards.where(F.col("different") <= HOT), kind), "repeats"))
     found.append(stored(single_windows(shards.where(F.col("different") > HOT)), "repeats"))
     drop_stored(shards)
-    tidy(spark)
+    release(spark)
     out = found[0]
     for f in found[1:]:
         out = out.unionByName(f)

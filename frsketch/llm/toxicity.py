@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from frsketch.llm.shared import Cache, give_back, stored, texts as bounded, unused
+from frsketch.llm.shared import Cache, give_back, release, stored, texts as bounded, unused
 
 ORDER = 5
 BITS = 20
@@ -230,6 +230,7 @@ def hashed(grams: DataFrame, values: list[str], n: int, salt: int, bits: int) ->
 def fit_counts(rows: DataFrame, order: int = ORDER, bits: int = BITS) -> Model:
     """The model of rows (text, cls)."""
     grams = stored(spelt_out(count_words(rows), order), "grams")
+    release(rows.sparkSession)
     cols = ["tox", "ord", "every"]
     tables = {t: np.zeros((1 << bits, k), dtype=np.float32) for t, k in TABLES.items()}
 
@@ -250,6 +251,7 @@ def fit_counts(rows: DataFrame, order: int = ORDER, bits: int = BITS) -> Model:
         lctx = low.groupBy(F.expr(f"substring(gram, 1, {n - 1})").alias("gram")).agg(F.sum("n").alias("s"), F.count("*").alias("u"))
         add("lctx", hashed(lctx, ["s", "u"], n - 1, n, bits))
         wide = low.select("gram")
+    release(rows.sparkSession)
     return Model(tables, order, bits)
 
 
