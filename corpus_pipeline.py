@@ -13,13 +13,14 @@ from frsketch.llm.bpe import encode_frame
 from frsketch.llm.decontaminate import find_leaks
 from frsketch.llm.near_copies import copy_classes
 from frsketch.llm.queries import table, tokenizer_file
-from frsketch.llm.shared import stored
+from frsketch.llm.shared import release, stored
 from frsketch.llm.suffix_dedup import without_repeats
 from frsketch.llm.toxicity import ordinary_only
 
 
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents predicted toxic go."""
+    release(spark)
     return ordinary_only(docs, table(spark, sf_dir, "labels"))
 
 
@@ -29,6 +30,7 @@ def simhash(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     have Jaccard 0.8 or more of their sets of five-word shingles and are found without loss: SimHash links
     verified by exact Jaccard first, then prefixes, since fingerprints of such pairs differ in up to 14 of 64
     bits at sf0.1."""
+    release(spark)
     rows = stored(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
     label = copy_classes(rows, "_row").join(rows.select("_row", "doc_id"), "_row")
     keep = label.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "_row")).alias("least")).select("least._row")
@@ -37,6 +39,7 @@ def simhash(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def suffix_array(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Repeated strings are cut from the texts; where a cut parts a character, its rest goes too."""
+    release(spark)
     others = [c for c in docs.columns if c not in ("doc_id", "text", "n_chars")]
     out = without_repeats(docs, carry=others)
 
@@ -56,12 +59,14 @@ def suffix_array(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a benchmark passage go."""
+    release(spark)
     leaks = find_leaks(docs, table(spark, sf_dir, "benchmark")).select("doc_id").distinct()
     return docs.join(leaks, "doc_id", "left_anti").select(*docs.columns)
 
 
 def byte_bpe(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of what is left, with the digest of what they decode to."""
+    release(spark)
     out = encode_frame(docs, tokenizer_file("byte_bpe_50k.tiktoken"))
     return out.select("doc_id", "n_tokens", "ids", "ids_sha256", "decoded_sha256")
 
