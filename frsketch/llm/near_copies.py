@@ -133,6 +133,7 @@ def alike(pairs: DataFrame, light: DataFrame, whole, num: int, den: int, name: s
     differ = F.aggregate(F.zip_with("ou", "ov", lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda a, x: a + x)
     near = pairs.join(u, "u").join(v, "v").where(differ * (num + den) <= (F.col("nu") + F.col("nv")) * (den - num))
     pairs = stored(near.select("u", "v"), "candidates")
+    release(pairs.sparkSession)
     sets = whole(pairs.select("u").union(pairs.select("v")).distinct().withColumnRenamed("u", "node"))
     both = pairs.join(sets.select(F.col("node").alias("u"), F.col("cells").alias("cu")), "u").join(sets.select(F.col("node").alias("v"), F.col("cells").alias("cv")), "v")
     common = F.size(F.array_intersect("cu", "cv"))
@@ -186,7 +187,7 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
     are among the edges; what they join is not paired again."""
     wanted = sets.sparkSession.sparkContext.broadcast(repeat_filter(prefix_rows(sets, num, den)))
     release(sets.sparkSession)
-    rows = stored(prefix_rows(sets, num, den, wanted), "prefixes")  # elements that occur once are left out, but for those that the filter lets by
+    prefixes = rows = stored(prefix_rows(sets, num, den, wanted), "prefixes")  # elements that occur once are left out, but for those that the filter lets by
     crowd = rows.groupBy("x").agg(F.count("*").alias("g"), F.count_if("ix").alias("k")).where("g > 1 and k > 0")
     crowd = stored(crowd, "crowds")
     rows = rows.join(crowd.select("x", "g"), "x")
@@ -201,10 +202,12 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
         rows = rows.withColumn("root", F.col("node"))
     else:
         rows = rows.join(stored(roots(sets.select("node"), known), "known-classes"), "node")
-    rows = stored(rows.withColumn("big", F.lit(False)), "met")  # what shares an element with another
+    met = rows = stored(rows.withColumn("big", F.lit(False)), "met")  # what shares an element with another
+    drop_stored(prefixes)
+    release(sets.sparkSession)
     dealt = not crowd.where(F.col("g") > hot).isEmpty()
     if dealt:
-        dense = stored(rows.where(F.col("g") > hot).drop("big", "root"), "dense")
+        whole_dense = dense = stored(rows.where(F.col("g") > hot).drop("big", "root"), "dense")
         least = pivots_of(dense, pivots)
         near = [meet(dense, least, F.lit(True)), meet(least, dense, F.lit(True))]
         first = alike(near[0].unionByName(near[1]).distinct(), sets, whole, num, den, "pivot-pairs")
@@ -214,6 +217,9 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
         most = dense.groupBy("x", "root").count().groupBy("x").agg(F.max_by("root", F.struct("count", "root")).alias("main"))
         dense = dense.join(most, "x").withColumn("big", F.col("root") == F.col("main")).drop("main")
         rows = stored(rows.where(F.col("g") <= hot).unionByName(dense.select(rows.columns)), "dealt")
+        drop_stored(met)
+        drop_stored(whole_dense)
+        release(sets.sparkSession)
     ix = rows.where("ix")
     apart = F.col("a.root") != F.col("b.root")
     pairs = meet(ix.where("not big"), rows, apart)
