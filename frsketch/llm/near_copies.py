@@ -46,7 +46,7 @@ HOT = 8
 BITS = 4  # at which fingerprints are paired
 PIVOTS = 4
 PARITY_WORDS = 32  # 64-bit words of a parity map
-MAX_BROADCAST = 1_000_000  # ids of candidates
+MAX_BROADCAST = 1_000_000  # candidates, or their ids
 
 
 def shingle_set(text: str | None, width: int) -> np.ndarray:
@@ -135,7 +135,8 @@ def alike(pairs: DataFrame, light: DataFrame, whole, num: int, den: int, name: s
     pairs = stored(near.select("u", "v"), "candidates")
     release(pairs.sparkSession)
     sets = whole(pairs.select("u").union(pairs.select("v")).distinct().withColumnRenamed("u", "node"))
-    both = pairs.join(sets.select(F.col("node").alias("u"), F.col("cells").alias("cu")), "u").join(sets.select(F.col("node").alias("v"), F.col("cells").alias("cv")), "v")
+    few = pairs.count() <= MAX_BROADCAST  # else the sets are shuffled to both ends of the pairs
+    both = (F.broadcast(pairs) if few else pairs).join(sets.select(F.col("node").alias("u"), F.col("cells").alias("cu")), "u").join(sets.select(F.col("node").alias("v"), F.col("cells").alias("cv")), "v")
     common = F.size(F.array_intersect("cu", "cv"))
     out = stored(both.where(common * den >= (F.size("cu") + F.size("cv") - common) * num).select("u", "v"), name)
     drop_stored(pairs)
