@@ -45,7 +45,7 @@ PIECE = 50_000  # words hashed together
 HOT = 8
 BITS = 4  # at which fingerprints are paired
 PIVOTS = 4
-PARITY_WORDS = 32  # 64-bit words of a parity map
+PARITY_WORDS = 32  # 64-bit words of a parity map at the least
 MAX_BROADCAST = 1_000_000  # candidates, or their ids
 
 
@@ -76,8 +76,12 @@ def set_fingerprint(s: np.ndarray) -> int:
 
 def parity_map(s: np.ndarray) -> np.ndarray:
     """A bit for each residue of the hashes: is it held an odd number of times. Two maps differ in no more bits
-    than their sets in elements."""
-    odd = np.bincount((s & np.uint64(64 * PARITY_WORDS - 1)).astype(np.int64), minlength=64 * PARITY_WORDS) & 1
+    than their sets in elements. There are as many bits as elements or more, a power of two; the halves of a map
+    make the map of half the length."""
+    bits = 64 * PARITY_WORDS
+    while bits < len(s):
+        bits *= 2
+    odd = np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.int64)
 
 
@@ -107,7 +111,7 @@ def set_frame(docs: DataFrame, key: str, text_col: str, width: int, frequent: np
             also = []
             if share:
                 flat = np.concatenate(odd) if odd else np.zeros(0, np.int64)
-                also = [pa.array(fps, pa.int64()), pa.ListArray.from_arrays(pa.array(np.arange(len(odd) + 1) * PARITY_WORDS, pa.int32()), pa.array(flat))]
+                also = [pa.array(fps, pa.int64()), pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum([len(o) for o in odd])].astype(np.int32)), pa.array(flat))]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.binary()), pa.array(sizes, pa.int32()), *also, cells], [key, "node", "n", *(["fp", "odd"] if share else []), "cells"])
         give_back()
 
@@ -125,13 +129,21 @@ def frequent_elements(docs: DataFrame, key: str, text_col: str, width: int) -> n
     return np.sort(np.array([r["x"] for r in top.select("x").collect()], dtype=np.int64).view(np.uint64))
 
 
+def halved(odd):
+    half = (F.size(odd) / 2).cast("int")
+    return F.zip_with(F.slice(odd, 1, half), F.slice(odd, half + 1, half), lambda a, b: a.bitwiseXOR(b))
+
+
 def alike(pairs: DataFrame, light: DataFrame, whole, num: int, den: int, name: str) -> DataFrame:
     """The pairs (u, v) whose whole sets have Jaccard num / den or more, stored. ``light`` has node, n and odd of every set:
     pairs whose parity maps differ in more bits than such sets can in elements go first. ``whole`` gives the sets
     (node, cells) of the nodes asked for, so only candidates' sets are ever written, and they go again."""
     u, v = (light.select(F.col("node").alias(x), F.col("n").alias(f"n{x}"), F.col("odd").alias(f"o{x}")) for x in "uv")
-    differ = F.aggregate(F.zip_with("ou", "ov", lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda a, x: a + x)
-    near = pairs.join(u, "u").join(v, "v").where(differ * (num + den) <= (F.col("nu") + F.col("nv")) * (den - num))
+    # sets that fit in size have maps of one length, or one of twice the other's
+    half_u, half_v = (F.when(F.size(x) > F.size(y), halved(F.col(x))).otherwise(F.col(x)) for x, y in (("ou", "ov"), ("ov", "ou")))
+    differ = F.aggregate(F.zip_with(half_u, half_v, lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda a, x: a + x)
+    near = pairs.join(u, "u").join(v, "v").where(F.least("nu", "nv") * den >= F.greatest("nu", "nv") * num)
+    near = near.where(differ * (num + den) <= (F.col("nu") + F.col("nv")) * (den - num))
     pairs = stored(near.select("u", "v"), "candidates")
     release(pairs.sparkSession)
     sets = whole(pairs.select("u").union(pairs.select("v")).distinct().withColumnRenamed("u", "node"))

@@ -240,6 +240,9 @@ def test_near_copies_equal_brute_force(spark, hot):
             for _ in range(rng.randrange(5)):
                 v[rng.randrange(len(v))] = rng.choice(words)
             texts.append(" ".join(["all texts start with these words"] * (k % 2) + v))
+    for at in (2100, 4800):  # on either side of a step in the length of parity maps
+        w = [f"z{rng.randrange(10**6)}" for _ in range(at)]
+        texts += [" ".join(w), " ".join(w[at // 20 :]), " ".join(w[at // 3 :]), " ".join("y" if k % 61 == 0 else x for k, x in enumerate(w)), " ".join("y" if k % 36 == 0 else x for k, x in enumerate(w))]
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
     got = collections.defaultdict(set)
     for r in near_copies.copy_classes(docs, hot=hot, pivots=2).collect():
