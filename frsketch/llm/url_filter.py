@@ -8,7 +8,8 @@ its path's first characters, as many as some entry has. A blocked Bloom filter (
 removes the false ones; the longest entry left decides.
 
 The filter's size follows the list up to ``MAX_BLOCKS`` blocks (4 MiB), beyond which it only passes
-more false hits. The list is broadcast while it has at most ``MAX_BROADCAST`` rows, else shuffled.
+more false hits. The list is broadcast while it has at most ``MAX_BROADCAST`` rows, else shuffled. Hosts and
+paths are stored once with a number for each row, on which hits meet their rows again: no host is a hot key.
 
 Nulls and URLs without ``://`` have an empty host and path, which no entry fits. Equal entries with
 different actions: ``block`` wins. Repeated rows keep a row each; an empty table or list is no error;
@@ -20,6 +21,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from frsketch.llm.shared import stored
+
 WORDS = 4
 MAX_BLOCKS = 1 << 17
 MAX_BROADCAST = 100_000
@@ -75,7 +78,8 @@ def judge_urls(pages: DataFrame, rules: DataFrame, listed: DataFrame | None = No
     blocks = 1
     while blocks < MAX_BLOCKS and blocks * 64 * WORDS < 16 * shape["n"]:
         blocks *= 2
-    page = page.withColumn("row", F.monotonically_increasing_id()).withColumn("labels", F.size(F.split("host", "\\.")))
+    # numbered once: the numbers are a join key, and another evaluation of the input may give others
+    page = stored(page.withColumn("row", F.monotonically_increasing_id()), "urls").withColumn("labels", F.size(F.split("host", "\\.")))
     cands = F.filter(
         F.array(*[F.when((F.col("labels") >= k) & (F.length("path") >= n), F.concat(F.substring_index("host", ".", -k), F.substring("path", 1, n))) for k, n in cuts]),
         lambda c: c.isNotNull(),
