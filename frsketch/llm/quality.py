@@ -5,8 +5,9 @@ word unigrams and bigrams: one of trusted documents (label 1), one of all docume
 its mean log ratio per n-gram; the threshold is a fixed low percentile of the scores of the labelled
 trusted rows, so every document is decided by the same number and none by chance.
 
-The trusted rows are a bounded sample (``TRUSTED_ROWS``, smallest hashed ids); the corpus counts cover
-every document. What the driver sees is two count vectors of ``BUCKETS`` entries and one percentile.
+Every trusted row counts, and so does every document. Labels meet the texts by a sorted
+join; the percentile comes from the lowest scores alone. What the driver sees is two count vectors of
+``BUCKETS`` entries and two scores.
 
 A null or empty text has no words, fails the base rules and is not kept. Without labels the target is
 the corpus itself, all scores are 0 and pass. Repeated rows keep a row each; an empty table gives an
@@ -23,7 +24,6 @@ from pyspark.sql import functions as F
 from frsketch.llm.shared import stored
 
 BUCKETS = 16_384
-TRUSTED_ROWS = 10_000
 KEEP_SHARE = 0.005
 BLANKS = " \t\n\x0b\x0c\r"
 BLANK_CLASS = "[\\x20\\x09-\\x0D]+"
@@ -80,30 +80,48 @@ def gram_buckets(wh: Column, buckets: int) -> Column:
     return F.concat(one, two)
 
 
+def gram_counts(docs: DataFrame, id_col: str, text_col: str, buckets: int, trusted: DataFrame | None = None) -> list[float]:
+    """How often each bucket occurs in the documents, or in the trusted ones, plus one; on the driver one number a bucket."""
+    rows = docs.select(F.col(id_col).alias("_id"), F.coalesce(text_col, F.lit("")).alias("text"))
+    if trusted is not None:
+        rows = rows.join(trusted.withColumnRenamed(id_col, "_id").hint("merge"), "_id", "left_semi")  # at any size the texts are shuffled once
+    grams = rows.select(F.transform(words_of(F.col("text")), lambda w: F.xxhash64(w)).alias("wh")).select(F.explode(gram_buckets(F.col("wh"), buckets)).alias("b"))
+    out = [1.0] * buckets
+    for r in grams.groupBy("b").count().collect():
+        out[r["b"]] += r["count"]
+    return out
+
+
 def log_ratios(docs: DataFrame, trusted: DataFrame, id_col: str, text_col: str, buckets: int) -> list[float]:
     """log p(bucket | trusted) - log p(bucket | corpus); add-one smoothing."""
-    rows = docs.select(F.col(id_col).alias("_id"), F.coalesce(text_col, F.lit("")).alias("text"))
-    rows = rows.join(F.broadcast(trusted.select(F.col(id_col).alias("_id"), F.lit(1).alias("good")).distinct()), "_id", "left")
-    rows = rows.select("good", F.transform(words_of(F.col("text")), lambda w: F.xxhash64(w)).alias("wh"))
-    grams = rows.select("good", F.explode(gram_buckets(F.col("wh"), buckets)).alias("b"))
-    got = grams.groupBy("b").agg(F.count("*").alias("raw"), F.count("good").alias("good")).collect()  # one row a bucket
-    raw, good = [1.0] * buckets, [1.0] * buckets
-    for r in got:
-        raw[r["b"]] += r["raw"]
-        good[r["b"]] += r["good"]
-    n_raw, n_good = sum(raw), sum(good)
+    good = gram_counts(docs, id_col, text_col, buckets, trusted)
+    n_good = sum(good)
     if n_good == buckets:
         return [0.0] * buckets
+    raw = gram_counts(docs, id_col, text_col, buckets)
+    n_raw = sum(raw)
     return [math.log(g / n_good) - math.log(r / n_raw) for g, r in zip(good, raw)]
 
 
-def quality_frame(docs: DataFrame, labels: DataFrame | None = None, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", buckets: int = BUCKETS, trusted_rows: int = TRUSTED_ROWS, keep_share: float = KEEP_SHARE) -> DataFrame:
+def low_percentile(rows: DataFrame, col: str, share: float) -> float | None:
+    """The exact percentile, between its two neighbours as ``percentile`` has it: only the lowest ``share`` of the rows is
+    ordered."""
+    n = rows.count()
+    if not n:
+        return None
+    at = share * (n - 1)
+    low = rows.select(col).orderBy(col).limit(math.ceil(at) + 1)
+    two = [r[0] for r in low.orderBy(F.desc(col)).limit(2 if at > math.floor(at) else 1).collect()]
+    return two[-1] + (two[0] - two[-1]) * (at - math.floor(at))
+
+
+def quality_frame(docs: DataFrame, labels: DataFrame | None = None, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", buckets: int = BUCKETS, keep_share: float = KEEP_SHARE) -> DataFrame:
     """id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, score, kept."""
     spark = docs.sparkSession
     if labels is None:
         labels = spark.createDataFrame([], f"{id_col} {docs.schema[id_col].dataType.simpleString()}, {label_col} int")
     good = labels.where(F.col(label_col) == 1).select(id_col).where(F.col(id_col).isNotNull())
-    good = stored(good.orderBy(F.xxhash64(id_col), id_col).limit(trusted_rows), "trusted")  # a bounded sample
+    good = stored(good.distinct(), "trusted")
     ratio = log_ratios(docs, good, id_col, text_col, buckets)
     model = F.expr("cast(split('" + ",".join(f"{x:.6g}" for x in ratio) + "', ',') as array<double>)")
     rows = docs.select(F.col(id_col).alias("_id"), F.coalesce(text_col, F.lit("")).alias("text"))
@@ -112,7 +130,7 @@ def quality_frame(docs: DataFrame, labels: DataFrame | None = None, id_col: str
     out = out.withColumn("score", F.round(F.when(F.size("gb") > 0, total / F.size("gb")).otherwise(0.0), 9))
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
     out = stored(out.select("_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), "score"), "scored")
-    known = out.where(~F.col("base_failed")).join(F.broadcast(good.distinct().withColumnRenamed(id_col, "_id")), "_id")
-    cut = known.agg(F.percentile("score", F.lit(keep_share)).alias("t")).first()["t"]
+    known = out.where(~F.col("base_failed")).join(good.withColumnRenamed(id_col, "_id"), "_id", "left_semi")
+    cut = low_percentile(known, "score", keep_share)
     low = -math.inf if cut is None else cut
     return out.select(F.col("_id").alias(id_col), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "score", (~F.col("base_failed") & (F.col("score") >= F.lit(float(low)))).alias("kept"))
