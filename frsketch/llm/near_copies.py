@@ -11,8 +11,9 @@ differ in up to 14 of 64 bits, so sets of different classes then meet on prefixe
 Two sets of n >= m elements have Jaccard J >= ``num / den`` only if m >= J n and they share
 J / (1 + J) (n + m) elements. In any common order of all elements, the first n - ceil(J n) + 1 of the larger
 set (it probes) and the first m - ceil(2 J / (1 + J) m) + 1 of the smaller (it is indexed) then share one, and
-from there on enough elements are left. So candidates meet on such prefixes and no pair is lost; each is
-verified, by parity maps that rule most false ones out and then on the whole sets. The order is by hash, elements that a bounded sample of texts shows to be
+from there on enough elements are left. So candidates meet on such prefixes and no pair is lost. Where they meet,
+parity maps of 256 bits rule out most of those that differ in too many elements, so the near copies of a cloud that are
+too far from each other make no rows; the rest is verified, by longer maps and then on the whole sets. The order is by hash, elements that a bounded sample of texts shows to be
 frequent last: the sample bears on the cost alone.
 
 A prefix element held by over ``HOT`` nodes (a dense cloud of near copies) first has its holders compared with
@@ -46,6 +47,7 @@ HOT = 8
 BITS = 4  # at which fingerprints are paired
 PIVOTS = 4
 PARITY_WORDS = 32  # 64-bit words of a parity map at the least
+SHORT = [f"q{i}" for i in range(4)]  # words of the folded map that goes with each prefix element
 MAX_BROADCAST = 1_000_000  # candidates, or their ids
 
 
@@ -126,7 +128,7 @@ def frequent_elements(docs: DataFrame, key: str, text_col: str, width: int) -> n
     some = docs.where(F.pmod(F.xxhash64(text_col), F.lit(max(1, n // SAMPLE))) == 0)
     sets = set_frame(some, key, text_col, width, np.zeros(0, np.uint64)).dropDuplicates(["node"])
     top = sets.select(F.explode("cells").alias("x")).groupBy("x").count().where("count >= 3").orderBy(F.desc("count"), "x").limit(FREQUENT)
-    return np.sort(np.array([r["x"] for r in top.select("x").collect()], dtype=np.int64).view(np.uint64))
+    return np.sort(top.select("x").toArrow().column("x").to_numpy().view(np.uint64))
 
 
 def halved(odd):
@@ -170,7 +172,7 @@ def simhash_links(sets: DataFrame, whole, num: int = 4, den: int = 5, bits: int
 
 def prefix_rows(sets: DataFrame, num: int, den: int, wanted=None) -> DataFrame:
     """x of every element that probes; with ``wanted``, a broadcast filter, of those that pass it: x, node, n, pos (in the
-    common order), ix (is it indexed)."""
+    common order), ix (is it indexed) and ``SHORT``, the set's parity map folded."""
 
     def run(batches):
         bits = None if wanted is None else np.frombuffer(wanted.value, dtype=np.uint8)
@@ -187,15 +189,18 @@ def prefix_rows(sets: DataFrame, num: int, den: int, wanted=None) -> DataFrame:
             pos = at - (np.cumsum(size) - size)[row]
             n = np.asarray(b.column(1)).astype(np.int64)[row]
             indexed = n - -(-2 * n * num // (num + den)) + 1
-            yield pa.RecordBatch.from_arrays([pa.array(x[at]), b.column(0).take(pa.array(row)), pa.array(n, pa.int32()), pa.array(pos, pa.int32()), pa.array(pos < indexed)], ["x", "node", "n", "pos", "ix"])
+            odd = b.column(3)
+            begin = np.r_[0, np.cumsum(np.asarray(odd.value_lengths()))[:-1]] // len(SHORT)
+            short = np.bitwise_xor.reduceat(np.asarray(odd.flatten()).reshape(-1, len(SHORT)), begin, axis=0)[row]
+            yield pa.RecordBatch.from_arrays([pa.array(x[at]), b.column(0).take(pa.array(row)), pa.array(n, pa.int32()), pa.array(pos, pa.int32()), pa.array(pos < indexed), *[pa.array(q.copy()) for q in short.T]], ["x", "node", "n", "pos", "ix", *SHORT])
         give_back()
 
     kind = sets.schema["node"].dataType.simpleString()
-    return bounded(sets).where("n > 0").select("node", "n", "cells").mapInArrow(run, "k long" if wanted is None else f"x long, node {kind}, n int, pos int, ix boolean")
+    return bounded(sets).where("n > 0").select("node", "n", "cells", *([] if wanted is None else ["odd"])).mapInArrow(run, "k long" if wanted is None else f"x long, node {kind}, n int, pos int, ix boolean, " + ", ".join(f"{q} long" for q in SHORT))
 
 
 def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pivots: int = PIVOTS, known: DataFrame | None = None) -> DataFrame:
-    """Edges (u, v) among the distinct sets ``node``, ``n``, ``cells`` (what probes) so that two are joined by a path of edges
+    """Edges (u, v) among the distinct sets ``node``, ``n``, ``odd``, ``cells`` (what probes) so that two are joined by a path of edges
     exactly if they are by a path of pairs of Jaccard num / den or more. ``known``: such pairs found before, which
     are among the edges; what they join is not paired again."""
     wanted = sets.sparkSession.sparkContext.broadcast(repeat_filter(prefix_rows(sets, num, den)))
@@ -206,6 +211,8 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
     rows = rows.join(crowd.select("x", "g"), "x")
     a, b = F.struct("a.n", "a.node"), F.struct("b.n", "b.node")
     fits = (F.col("a.n") * den >= F.col("b.n") * num) & (F.least(F.col("a.n") - F.col("a.pos"), F.col("b.n") - F.col("b.pos")) * (num + den) >= (F.col("a.n") + F.col("b.n")) * num)
+    differ = sum((F.bit_count(F.col(f"a.{q}").bitwiseXOR(F.col(f"b.{q}"))) for q in SHORT), F.lit(0))
+    fits = fits & (differ * (num + den) <= (F.col("a.n") + F.col("b.n")) * (den - num))
 
     def meet(small, large, on):
         return small.alias("a").join(large.alias("b"), (F.col("a.x") == F.col("b.x")) & (a < b) & fits & on).select(F.col("a.node").alias("u"), F.col("b.node").alias("v"))
@@ -244,11 +251,11 @@ def links(sets: DataFrame, whole, num: int = 4, den: int = 5, hot: int = HOT, pi
 
 def pivots_of(dense: DataFrame, pivots: int) -> DataFrame:
     """Of the rows of each element those of the smallest hashed nodes; partial lists stay that short."""
-    row = F.struct(F.xxhash64("node").alias("h"), "node", "n", "pos")
+    row = F.struct(F.xxhash64("node").alias("h"), "node", "n", "pos", *SHORT)
     dealt = dense.withColumn("part", F.pmod(F.xxhash64("node", F.lit(1)), F.lit(64)))
     some = dealt.groupBy("x", "part").agg(F.slice(F.array_sort(F.collect_list(row)), 1, pivots).alias("p"))
     best = some.groupBy("x").agg(F.slice(F.array_sort(F.flatten(F.collect_list("p"))), 1, pivots).alias("p"))
-    return best.select("x", F.explode("p").alias("p")).select("x", "p.node", "p.n", "p.pos")
+    return best.select("x", F.explode("p").alias("p")).select("x", "p.node", "p.n", "p.pos", *[f"p.{q}" for q in SHORT])
 
 
 def copy_classes(docs: DataFrame, key: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 4, den: int = 5, hot: int = HOT, pivots: int = PIVOTS) -> DataFrame:

@@ -49,6 +49,7 @@ def release(spark: SparkSession) -> None:
     """Between stages: the driver drops what no plan refers to any more, shuffle files included, and the executors'
     JVMs return the heap that they do not use, which the Python workers beside them may need."""
     gc.collect()
+    give_back()
     spark.sparkContext._jvm.System.gc()
     n = spark.sparkContext.defaultParallelism
     spark.range(0, n, 1, n).select(F.java_method(F.lit("java.lang.System"), F.lit("gc"))).toDF("x").write.format("noop").mode("overwrite").save()

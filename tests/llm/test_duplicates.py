@@ -274,3 +274,24 @@ def test_pipeline_copies_with_null_and_repeated_ids(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     got = sorted((str(r["doc_id"]), r["text"]) for r in pipeline.simhash(spark, docs, SF).collect())
     assert got == sorted([("None", a), ("None", b), ("7", c), ("9", d), ("7", "another text of the same id")])
+
+
+def test_near_copies_too_far_apart_make_no_candidates(spark, monkeypatch):
+    """A text of 60 words with one word changed at places far from each other: Jaccard 46 / 66 of every two."""
+    from frsketch.llm import near_copies
+
+    base = [f"w{i}" for i in range(60)]
+    rows = [(k, " ".join(base[: 5 + 5 * (k % 11)] + [f"x{k}"] + base[6 + 5 * (k % 11) :])) for k in range(110)]
+    seen, real = [], near_copies.alike
+    monkeypatch.setattr(near_copies, "alike", lambda pairs, *more: (seen.append(pairs.count()), real(pairs, *more))[1])
+    got = near_copies.copy_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    sets = {k: set(near_copies.shingle_set(t, 5).tolist()) for k, t in rows}
+    classes = {}
+    for r in got:
+        classes.setdefault(r["root"], set()).add(r["doc_id"])
+    for a in sets:
+        for b in sets:
+            if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+                assert any({a, b} <= c for c in classes.values())
+    assert sorted(map(len, classes.values())) == [10] * 11
+    assert seen[-1] < 300  # of 4,950 pairs of different places
