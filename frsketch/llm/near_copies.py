@@ -190,7 +190,8 @@ def prefix_rows(sets: DataFrame, num: int, den: int, wanted=None) -> DataFrame:
             n = np.asarray(b.column(1)).astype(np.int64)[row]
             indexed = n - -(-2 * n * num // (num + den)) + 1
             odd = b.column(3)
-            begin = np.r_[0, np.cumsum(np.asarray(odd.value_lengths()))[:-1]] // len(SHORT)
+            long = np.asarray(odd.value_lengths()).astype(np.int64)
+            begin = (np.cumsum(long) - long) // len(SHORT)
             short = np.bitwise_xor.reduceat(np.asarray(odd.flatten()).reshape(-1, len(SHORT)), begin, axis=0)[row]
             yield pa.RecordBatch.from_arrays([pa.array(x[at]), b.column(0).take(pa.array(row)), pa.array(n, pa.int32()), pa.array(pos, pa.int32()), pa.array(pos < indexed), *[pa.array(q.copy()) for q in short.T]], ["x", "node", "n", "pos", "ix", *SHORT])
         give_back()
