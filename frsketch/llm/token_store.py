@@ -19,10 +19,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from frsketch.llm.bpe import text_batches
 from frsketch.llm.mixing_coder import decode_segment, encode_segment
 from frsketch.llm.shared import give_back, texts as bounded
-from frsketch.llm.token_counts import ids_of_texts, library
+from frsketch.llm.slice_ids import SliceIds
+from frsketch.llm.token_counts import library
 
 SEGMENT = 4_000_000
 
@@ -36,7 +36,8 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, id
     rows = rows.repartitionByRange(parts, "id").sortWithinPartitions("id", "text").withColumn("part", F.spark_partition_id())
 
     def run(batches):
-        lib = library(tokenizer)
+        known = SliceIds(library(tokenizer))
+        end = np.array([end_id], dtype=np.uint32)
         keys: list = []
         sizes: list[int] = []
         flat: list[np.ndarray] = []
@@ -51,21 +52,21 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, id
             for b in batches:
                 id_type = b.column(0).type
                 ids, places = b.column(0).to_pylist(), b.column(2).to_pylist()
-                for at, texts in text_batches(b):
-                    for k, parts_of in enumerate(ids_of_texts(lib, texts), at):
-                        got = np.fromiter((i for p in parts_of for i in p), dtype=np.uint32)
-                        if total and total + len(got) + 1 > segment:
-                            yield row()
-                            keys, sizes, flat, total, seg = [], [], [], 0, seg + 1
-                        part = places[k]
-                        keys.append(ids[k])
-                        sizes.append(len(got) + 1)
-                        flat += [got, np.array([end_id], dtype=np.uint32)]
-                        total += len(got) + 1
+                found, counts = known.of_texts(b.column(1))
+                upto = np.cumsum(counts).tolist()
+                for k, (n, to) in enumerate(zip(counts.tolist(), upto)):
+                    if total and total + n + 1 > segment:
+                        yield row()
+                        keys, sizes, flat, total, seg = [], [], [], 0, seg + 1
+                    part = places[k]
+                    keys.append(ids[k])
+                    sizes.append(n + 1)
+                    flat += [found[to - n : to], end]
+                    total += n + 1
             if keys:
                 yield row()
         finally:
-            lib.cache.clear()
+            known.clear()
             give_back()
 
     schema = f"part int, seg int, n_ids long, ids array<{kind}>, sizes array<int>, payload binary"
