@@ -13,16 +13,20 @@ Nulls are empty. A vocabulary file that does not split by this pattern is given
 from __future__ import annotations
 
 import codecs
+from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 
 from frsketch.llm.pretokens import CONTRACTIONS, codepoint_classes
 from frsketch.llm.shared import CACHE_BYTES
 from frsketch.llm.token_counts import Library
 
-ENTRY = 150  # bytes of a known slice besides its own
+ENTRY = 150  # bytes of a known slice besides its own, Arrow's table of them included
+AT_ONCE = 8_192  # slices whose tokens are held as objects
 BLANK = 4  # class of U+0020
 
 
@@ -38,8 +42,15 @@ def _byte_alphabet() -> str:
 ALPHABET = _byte_alphabet()
 
 
+@lru_cache(maxsize=1)
+def _byte_classes() -> np.ndarray:
+    """Classes of ASCII characters; a place for all others."""
+    return np.append(codepoint_classes()[:128], np.full(128, 2, dtype=np.uint8))
+
+
 def slice_starts_local(codes: np.ndarray, cls: np.ndarray, first: np.ndarray) -> np.ndarray:
-    """Start flags of the slices of texts that lie end to end, by neighbours alone; flags of first characters go in."""
+    """Start flags of the slices of texts that lie end to end, by neighbours alone. codes: code points,
+    or leading bytes; cls: classes; first: flags of first characters."""
     n = len(codes)
     if not n:
         return np.zeros(0, dtype=bool)
@@ -80,70 +91,78 @@ def cut_points(raw: np.ndarray, ends: np.ndarray, special=()) -> np.ndarray:
     for a, b in special:
         first[a] = first[b] = True
     first = first[:-1]
-    if not len(raw) or raw.max() < 0x80:
-        starts, at = slice_starts_local(raw, codepoint_classes()[:128].take(raw), first), None
+    keep = (raw & 0xC0) != 0x80  # the first byte of each character
+    wide = np.flatnonzero(raw >= 0xC0)
+    head = raw[keep] if len(wide) else raw
+    cls = _byte_classes().take(head)
+    if len(wide):
+        lead = raw[wide].astype(np.uint32)
+        code = lead & np.where(lead < 0xE0, 0x1F, np.where(lead < 0xF0, 0x0F, 0x07)).astype(np.uint32)
+        for j, least in ((1, 0xC0), (2, 0xE0), (3, 0xF0)):
+            more = lead >= least
+            code[more] = code[more] << 6 | raw[wide[more] + j] & 0x3F
+        cls[head >= 0xC0] = codepoint_classes().take(code)
+        starts = np.zeros(len(raw), dtype=bool)
+        starts[keep] = slice_starts_local(head, cls, first[keep])
     else:
-        at = np.flatnonzero((raw & 0xC0) != 0x80)
-        head = raw[at]
-        codes = head.astype(np.uint32)
-        for least, most, mask in ((0xC0, 0xE0, 0x1F), (0xE0, 0xF0, 0x0F), (0xF0, 0x100, 0x07)):
-            some = np.flatnonzero((head >= least) & (head < most)) if most < 0x100 else np.flatnonzero(head >= least)
-            code = (head[some] & mask).astype(np.uint32)
-            for j in range(1, {0x1F: 2, 0x0F: 3, 0x07: 4}[mask]):
-                code = code << 6 | raw[at[some] + j] & 0x3F
-            codes[some] = code
-        starts = slice_starts_local(codes, codepoint_classes().take(codes), first[at])
-    cut = np.flatnonzero(starts) if at is None else at[starts]
+        starts = slice_starts_local(head, cls, first)
+    cut = np.flatnonzero(starts)
     for a, b in special:
         cut = cut[(cut <= a) | (cut >= b)]
     return cut
 
 
+def _size(words: pa.Array) -> int:
+    return pc.sum(pc.binary_length(words)).as_py() or 0
+
+
 class SliceIds:
     """The slices that a vocabulary file has encoded so far, bounded in bytes, and their ids as arrays."""
 
     def __init__(self, lib: Library, limit: int = CACHE_BYTES):
         self.lib, self.limit = lib, limit
-        self.whole = {s.encode(): i for s, i in lib.added.items()}
+        self.whole = {codecs.charmap_decode(s.encode(), "strict", ALPHABET)[0]: i for s, i in lib.added.items()}
         self.special = regex.compile(lib.special.pattern.encode()) if lib.special else None
         self.clear()
 
     def clear(self) -> None:
-        self.known: dict[bytes, int] = {}
+        self.known = pa.array([], pa.large_binary())
         self.used = 0
         self.ids = np.zeros(0, dtype=np.uint32)
         self.begin = np.zeros(1, dtype=np.int64)  # of each known slice's ids, and the end
 
-    def numbers(self, words: list[bytes]) -> np.ndarray:
+    def numbers(self, words: pa.Array) -> np.ndarray:
         """The numbers of distinct slices, which are all known afterwards."""
-        missing = [w for w in words if w not in self.known]
-        need = sum(map(len, missing)) + ENTRY * len(missing)
-        if self.used + need > self.limit and self.known:
+        at = pc.index_in(words, self.known)
+        missing = words.filter(at.is_null())
+        need = _size(missing) + ENTRY * len(missing)
+        if self.used + need > self.limit and len(self.known):
             self.clear()
-            missing = words
-            need = sum(map(len, missing)) + ENTRY * len(missing)
-        self.used += need
-        if missing:
+            at, missing = pa.nulls(len(words), pa.int32()), words
+            need = _size(missing) + ENTRY * len(missing)
+        out = at.fill_null(-1).to_numpy().astype(np.int64)
+        if len(missing):
+            out[out < 0] = np.arange(len(self.known), len(self.known) + len(missing))
             ids, counts = self.encode(missing)
-            self.known.update(zip(missing, range(len(self.known), len(self.known) + len(missing))))
+            self.used += need
+            self.known = pa.concat_arrays([self.known, missing])
             self.ids = np.concatenate([self.ids, ids])
             self.begin = np.append(self.begin, self.begin[-1] + np.cumsum(counts))
-        return np.fromiter(map(self.known.__getitem__, words), dtype=np.int64, count=len(words))
+        return out
 
-    def encode(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    def encode(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of some slices end to end, how many each has)."""
-        spelt = codecs.charmap_decode(b"".join(words), "strict", ALPHABET)[0]
+        edges = np.frombuffer(words.buffers()[1], dtype=np.int64)[words.offset : words.offset + len(words) + 1]
+        spelt = codecs.charmap_decode(memoryview(words.buffers()[2])[edges[0] : edges[-1]], "strict", ALPHABET)[0]
+        edges = (edges - edges[0]).tolist()
         tokenize, whole = self.lib.tok.model.tokenize, self.whole
         ids: list[int] = []
-        counts, at = [], 0
-        for w in words:
-            n, end = len(ids), at + len(w)
-            if w in whole:
-                ids.append(whole[w])
-            else:
-                ids += [t.id for t in tokenize(spelt[at:end])]
-            counts.append(len(ids) - n)
-            at = end
+        counts: list[int] = []
+        for k in range(0, len(words), AT_ONCE):
+            some = [spelt[a:b] for a, b in zip(edges[k : k + AT_ONCE], edges[k + 1 : k + AT_ONCE + 1])]
+            got = [[whole[w]] if w in whole else [t.id for t in tokenize(w)] for w in some]
+            counts += map(len, got)
+            ids += chain.from_iterable(got)
         return np.array(ids, dtype=np.uint32), np.array(counts, dtype=np.int64)
 
     def of_texts(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -163,7 +182,7 @@ class SliceIds:
         cut = cut_points(np.frombuffer(data, dtype=np.uint8), edges[1:], self.specials(data, edges))
         slices = pa.Array.from_buffers(pa.large_binary(), len(cut), [None, pa.py_buffer(np.append(cut, n_bytes)), data])
         coded = slices.dictionary_encode()
-        number = self.numbers(coded.dictionary.to_pylist()).take(coded.indices.to_numpy())
+        number = self.numbers(coded.dictionary).take(coded.indices.to_numpy())
         begin = self.begin.take(number)
         size = self.begin.take(number + 1) - begin
         upto = np.append(0, np.cumsum(size))
@@ -175,6 +194,6 @@ class SliceIds:
         if self.special is None:
             return []
         whole = data.to_pybytes()
-        if not any(s in whole for s in self.whole):
+        if not any(s.encode() in whole for s in self.lib.added):
             return []
         return [m.span() for a, b in zip(edges.tolist(), edges[1:].tolist()) if b > a for m in self.special.finditer(whole, a, b)]
